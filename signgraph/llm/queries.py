@@ -1,10 +1,13 @@
 """Registration of the ten operators and the pipeline."""
 from __future__ import annotations
 
-from . import media, warc
+from . import media, quality, rules, toxicity, warc
 
 QUERIES = {
+    "op4_byte_cnn": quality.op4_byte_cnn,
     "op5_warc": warc.op5_warc,
+    "op6_toxicity_mil": toxicity.op6_toxicity_mil,
     "op7_transport_stream": media.op7_transport_stream,
+    "op8_robust_rules": rules.op8_robust_rules,
 }
 ORACLES = {"op5_warc": warc.OP5_SQL}
