@@ -1,9 +1,11 @@
 """Registration of the ten operators and the pipeline."""
 from __future__ import annotations
 
-from . import media, quality, rules, toxicity, warc
+from . import media, packing, quality, rules, simhash, toxicity, warc
 
 QUERIES = {
+    "op2_simhash": simhash.op2_simhash,
+    "op3_packing": packing.op3_packing,
     "op4_byte_cnn": quality.op4_byte_cnn,
     "op5_warc": warc.op5_warc,
     "op6_toxicity_mil": toxicity.op6_toxicity_mil,
