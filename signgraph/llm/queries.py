@@ -1,9 +1,10 @@
 """Registration of the ten operators and the pipeline."""
 from __future__ import annotations
 
-from . import media, packing, quality, rules, simhash, toxicity, warc
+from . import media, packing, quality, rules, simhash, suffix, toxicity, warc
 
 QUERIES = {
+    "op1_suffix_dedup": suffix.op1_suffix_dedup,
     "op2_simhash": simhash.op2_simhash,
     "op3_packing": packing.op3_packing,
     "op4_byte_cnn": quality.op4_byte_cnn,
