@@ -1,7 +1,7 @@
 """Registration of the ten operators and the pipeline."""
 from __future__ import annotations
 
-from . import media, packing, quality, rules, simhash, suffix, toxicity, warc
+from . import lines, media, packing, pieces, quality, rules, simhash, suffix, toxicity, warc
 
 QUERIES = {
     "op1_suffix_dedup": suffix.op1_suffix_dedup,
@@ -12,5 +12,7 @@ QUERIES = {
     "op6_toxicity_mil": toxicity.op6_toxicity_mil,
     "op7_transport_stream": media.op7_transport_stream,
     "op8_robust_rules": rules.op8_robust_rules,
+    "op9_line_dedup": lines.op9_line_dedup,
+    "op10_sentencepiece": pieces.op10_sentencepiece,
 }
 ORACLES = {"op5_warc": warc.OP5_SQL}
