@@ -18,6 +18,7 @@ import xxhash
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
+from .bytescan import mix
 from .common import components, documents, settle, text_view
 
 PAIRS = [(0, 1), (0, 2), (0, 3), (1, 2), (1, 3), (2, 3)]
@@ -211,6 +212,147 @@ def near_groups(docs: DataFrame, width: int = 5, radius: int = 2, seed: int = 42
     return marks.join(names, "fp").select("doc_id", "fp", "component_id")
 
 
+# -- groups by similarity -------------------------------------------------------------------------------------------------
+
+BANDS = 8
+_ODD = (np.random.default_rng(11).integers(1, 1 << 63, 2 * BANDS, dtype=np.int64).astype(np.uint64) << np.uint64(1)) | np.uint64(1)
+
+
+def _set_of(raw: bytes, width: int, seed: int) -> np.ndarray:
+    return np.unique(np.array(shingle_hashes(raw, width, seed), np.uint64))
+
+
+def _set_name(u: np.ndarray) -> np.uint64:
+    with np.errstate(over="ignore"):
+        return mix(mix(u).sum(dtype=np.uint64) + np.uint64(len(u)))
+
+
+def _signatures(width: int, seed: int):
+    def run(batches):
+        for b in batches:
+            data, offs = text_view(b.column(1))
+            raw, n = data.tobytes(), len(offs) - 1
+            name, bands, texts = np.zeros(n, np.uint64), np.zeros((n, BANDS), np.uint64), []
+            marks = np.zeros(n, np.uint64)
+            for i in range(n):
+                t = raw[offs[i] : offs[i + 1]]
+                u = _set_of(t, width, seed)
+                name[i] = _set_name(u)
+                texts.append(t)
+                with np.errstate(over="ignore"):
+                    least = np.array([(u * k).min() for k in _ODD]) if len(u) else np.zeros(2 * BANDS, np.uint64)
+                    bands[i] = mix(least[::2] * np.uint64(31) + least[1::2] + np.arange(BANDS, dtype=np.uint64))
+                if len(texts) == 64 or i == n - 1:
+                    marks[i + 1 - len(texts) : i + 1] = fingerprint_of(texts, width, seed)
+                    texts = []
+            flat = pa.ListArray.from_arrays(pa.array(np.arange(n + 1, dtype=np.int32) * BANDS), pa.array(bands.ravel().view(np.int64)))
+            yield pa.RecordBatch.from_arrays([b.column(0), pa.array(name.view(np.int64)), pa.array(marks.view(np.int64)), flat], names=["doc_id", "name", "fp", "bands"])
+
+    return run
+
+
+def _marked_sets(width: int, seed: int, bits_b):
+    def run(batches):
+        bits = bits_b.value
+        for b in batches:
+            data, offs = text_view(b.column(0))
+            raw, names, sets = data.tobytes(), [], []
+            for i in range(len(offs) - 1):
+                u = _set_of(raw[offs[i] : offs[i + 1]], width, seed)
+                v = int(_set_name(u))
+                slot = v >> 40
+                if bits[slot >> 3] >> (slot & 7) & 1:
+                    names.append(v)
+                    sets.append(u.tobytes())
+            yield pa.RecordBatch.from_arrays([pa.array(np.array(names, np.uint64).view(np.int64)), pa.array(sets, pa.binary())], names=["name", "set"])
+
+    return run
+
+
+def _similar_cells(radius: int, similarity: float, rows: int = 20_000, most: int = 64 << 20):
+    """Whole cells at a time: the Gray index gives pairs, those not yet connected are verified, the rest are left."""
+
+    def solve(cell, fp, name, sets):
+        n, top = len(fp), np.arange(len(fp))
+        parts = [np.frombuffer(x, np.uint64) for x in sets]
+
+        def root(i: int) -> int:
+            while top[i] != i:
+                top[i] = top[top[i]]
+                i = top[i]
+            return i
+
+        for a, b in GrayIndex(fp.view(np.uint64), cell).links(radius):
+            while (top[top] != top).any():
+                top[:] = top[top]
+            todo = np.flatnonzero(top[a] != top[b])
+            for i, j in zip(a[todo].tolist(), b[todo].tolist(), strict=True):
+                ri, rj = root(i), root(j)
+                if ri != rj:
+                    x, y = parts[i], parts[j]
+                    if min(len(x), len(y)) >= similarity * max(len(x), len(y)):
+                        both = len(np.intersect1d(x, y, assume_unique=True))
+                        if both >= similarity * (len(x) + len(y) - both):
+                            top[max(ri, rj)] = min(ri, rj)
+        links = [(name[i], name[r]) for i in range(n) if (r := root(i)) != i]
+        cols = list(zip(*links, strict=True)) or [[], []]
+        return pa.RecordBatch.from_arrays([pa.array(c, pa.int64()) for c in cols], names=["a", "b"])
+
+    def run(batches):
+        held, size = [], 0
+        for b in batches:
+            for row in zip(*(c.to_pylist() for c in b.columns), strict=True):
+                if held and row[0] != held[-1][0] and (len(held) > rows or size > most):
+                    yield solve(*_columns(held))
+                    held, size = [], 0
+                held.append(row)
+                size += len(row[3])
+        if held:
+            yield solve(*_columns(held))
+
+    return run
+
+
+def _columns(held: list) -> tuple:
+    c, f, n, s = zip(*held, strict=True)
+    return np.array(c, np.int64), np.array(f, np.int64), n, s
+
+
+def similar_groups(docs: DataFrame, width: int = 5, similarity: float = 0.8, radius: int = 20, seed: int = 42) -> DataFrame:
+    """(doc_id, component_id): texts whose shingle sets have at least that Jaccard similarity are linked.
+
+    At this similarity fingerprints differ in ten bits or so, too many for pigeonhole cells; cells are named by bands of two
+    minima of the shingle hashes instead (eight bands lose three pairs of ten thousand at 0.8, fewer above). Equal sets are
+    one; sets that share no cell are not fetched; in a cell the Gray index gives pairs within `radius` bits and their sets
+    are compared exactly, unless they are connected already.
+    """
+    spark = docs.sparkSession
+    src = docs.select(F.col("doc_id").cast("long").alias("doc_id"), F.col("text").cast("string").alias("text"))
+    marks = settle(src.mapInArrow(_signatures(width, seed), "doc_id long, name long, fp long, bands array<long>"), "signatures")
+    own = marks.groupBy("name").agg(F.min("doc_id").alias("least"), F.max("fp").alias("fp"), F.first("bands").alias("bands"))
+    cells = own.select("name", "fp", F.explode("bands").alias("cell"))
+    shared = cells.groupBy("cell").agg(F.count("*").alias("k")).where("k > 1").select("cell")
+    held = settle(cells.join(shared, "cell").select("cell", "fp", "name"), "cells")
+    # A bitmap of 2^24 bits names the sets to fetch; when it is crowded it only lets more sets through.
+    slots = held.select(F.shiftrightunsigned("name", 40).alias("s")).groupBy(F.shiftright("s", 3).alias("byte")).agg(F.expr("bit_or(shiftleft(1, cast(s & 7 as int))) as v")).toArrow()
+    bits = np.zeros(1 << 21, np.uint8)
+    bits[slots.column("byte").to_numpy()] = slots.column("v").to_numpy()
+    sets = src.select("text").mapInArrow(_marked_sets(width, seed, spark.sparkContext.broadcast(bits)), "name long, set binary").groupBy("name").agg(F.max("set").alias("set"))
+    full = held.join(sets, "name").select("cell", "fp", "name", "set")
+    links = full.repartition("cell").sortWithinPartitions("cell", "name").mapInArrow(_similar_cells(radius, similarity), "a long, b long")
+    comp = components(links.distinct())
+    least = own.select("name", "least").join(comp.withColumnRenamed("id", "name"), "name", "left").withColumn("comp", F.coalesce("comp", "name"))
+    head = least.groupBy("comp").agg(F.min("least").alias("component_id"))
+    names = settle(least.join(head, "comp").select("name", "component_id"), "names")
+    return marks.select("doc_id", "name").join(names, "name").select("doc_id", "component_id")
+
+
+def one_of_each(docs: DataFrame) -> DataFrame:
+    """docs, all columns: of each group of similar texts the row with the smallest doc_id."""
+    keep = similar_groups(docs).where(F.col("doc_id").eqNullSafe(F.col("component_id"))).select(F.col("doc_id").alias("_id")).distinct()
+    return docs.join(keep, F.col("doc_id").cast("long").eqNullSafe(F.col("_id")), "left_semi")
+
+
 def op2_simhash(spark: SparkSession, sf_dir: str) -> DataFrame:
     got = near_groups(documents(spark, sf_dir, "doc_id", "text"), width=3, radius=2, seed=42)
     return got.select("doc_id", F.lower(F.lpad(F.hex("fp"), 16, "0")).alias("fingerprint"), "component_id")

@@ -307,9 +307,9 @@ def _cleaner(length: int, keep_text: bool):
 _NONE = hashlib.sha256(b"").hexdigest()
 
 
-def repeats(docs: DataFrame, length: int = LENGTH, gram: int = GRAM, part: int = PART, keep_text: bool = False) -> DataFrame:
-    """One row for each row of docs (doc_id, text): doc_id, n_bytes, n_removed, n_spans, kept_sha256, and with keep_text what is
-    left where something was removed (kept, null elsewhere; bytes of a character that was cut through are left out)."""
+def repeat_tables(docs: DataFrame, length: int = LENGTH, gram: int = GRAM, part: int = PART, keep_text: bool = False) -> tuple[DataFrame, DataFrame]:
+    """Two tables: each row's doc_id, text key (tid), digest and size; and per text key with something to remove: n_removed, n_spans,
+    kept_sha256 and, with keep_text, what is left (kept; bytes of a character that was cut through are left out)."""
     src = docs.select(F.col("doc_id").cast("long").alias("doc_id"), F.coalesce(F.col("text").cast("string"), F.lit("")).alias("text"))
     marks = settle(src.mapInArrow(_anchor_rows(length, gram), "doc_id long, tid binary, sha string, n long, anchors binary"), "anchors")
     texts = marks.where(F.col("n") >= length).groupBy("tid").agg(F.min("doc_id").alias("rep"), F.count("*").alias("c"), F.max("anchors").alias("anchors"))
@@ -337,10 +337,25 @@ def repeats(docs: DataFrame, length: int = LENGTH, gram: int = GRAM, part: int =
     cleaned = held.where("c = 1").select("tid", "text").join(spans.hint("shuffle_hash"), "tid").mapInArrow(_cleaner(length, keep_text), "tid binary, n_removed long, n_spans long, kept_sha256 string, kept string")
     copies = marks.where(F.col("n") >= length).groupBy("tid").agg(F.count("*").alias("c"), F.max("n").alias("n_removed")).where("c > 1").select("tid", "n_removed", F.lit(1).cast("long").alias("n_spans"), F.lit(_NONE).alias("kept_sha256"), F.lit("").alias("kept"))
     news = settle(cleaned.unionByName(copies), "cleaned")
+    return marks, news
+
+
+def repeats(docs: DataFrame, length: int = LENGTH, gram: int = GRAM, part: int = PART) -> DataFrame:
+    """One row for each row of docs (doc_id, text): doc_id, n_bytes, n_removed, n_spans, kept_sha256."""
+    marks, news = repeat_tables(docs, length, gram, part)
     zero = F.lit(0).cast("long")
     out = marks.select("doc_id", "tid", "sha", "n").join(news, "tid", "left")
-    cols = ["doc_id", F.col("n").alias("n_bytes"), F.coalesce("n_removed", zero).alias("n_removed"), F.coalesce("n_spans", zero).alias("n_spans"), F.coalesce("kept_sha256", "sha").alias("kept_sha256")]
-    return out.select(*cols, *(["kept", "tid"] if keep_text else []))
+    return out.select("doc_id", F.col("n").alias("n_bytes"), F.coalesce("n_removed", zero).alias("n_removed"), F.coalesce("n_spans", zero).alias("n_spans"), F.coalesce("kept_sha256", "sha").alias("kept_sha256"))
+
+
+def without_repeats(docs: DataFrame, length: int = LENGTH) -> DataFrame:
+    """docs, all columns, with repeated strings taken out of text (n_chars follows where there is such a column)."""
+    _, news = repeat_tables(docs, length, keep_text=True)
+    key = F.expr("substring(unhex(sha2(coalesce(cast(text as string), ''), 256)), 1, 16)")
+    out = docs.join(news.select(F.col("tid").alias("_tid"), F.col("kept").alias("_kept")), key == F.col("_tid"), "left").withColumn("text", F.coalesce("_kept", "text"))
+    if "n_chars" in docs.columns:
+        out = out.withColumn("n_chars", F.coalesce(F.char_length("text"), F.lit(0)).cast(docs.schema["n_chars"].dataType))
+    return out.select(*docs.columns)
 
 
 def op1_suffix_dedup(spark: SparkSession, sf_dir: str) -> DataFrame:
