@@ -1,0 +1 @@
+"""Approximate nearest-neighbour search on sign-magnitude codes, as Spark programs."""
