@@ -169,20 +169,26 @@ def code_pairs(s, d, below=60) -> DataFrame:
     return analysis.pairs(sm(s, d).select("vec_id", "p", "s", "embedding"), below=below)
 
 
-_ab = [F.col(c) for c in ("a_p", "a_s", "b_p", "b_s")]
-_names = [F.col("a_vec_id").alias("a"), F.col("b_vec_id").alias("b")]
+def _ab() -> list:
+    return [F.col(c) for c in ("a_p", "a_s", "b_p", "b_s")]
+
+
+def _names() -> list:
+    return [F.col("a_vec_id").alias("a"), F.col("b_vec_id").alias("b")]
+
+
 S_AB = f"{LISTS}, a AS (SELECT * FROM k WHERE vec_id < 60), o AS (SELECT * FROM k WHERE vec_id < 60)"
 S_ON = "FROM a JOIN o ON a.vec_id < o.vec_id"
-add("bq_distance_pairs", lambda s, d: code_pairs(s, d).select(*_names, distance.bq(*_ab, W).alias("d")), f"{S_AB} SELECT a.vec_id AS a, o.vec_id AS b, {s_bq('a', 'o')} AS d {S_ON}")
-add("bq_categories", lambda s, d: code_pairs(s, d).select(*_names, *distance.categories(*_ab, W, DIM)), f"{CODES}, j AS (SELECT a.vec_id AS a, o.vec_id AS b, a.p = o.p AS e, a.s + o.s AS t FROM c a JOIN c o ON a.i = o.i AND a.vec_id < o.vec_id AND o.vec_id < 60) SELECT a, b, " + ", ".join(f"CAST(count(*) FILTER ({'e' if same else 'NOT e'} AND t = {t}) AS INTEGER) AS {'same' if same else 'diff'}_{n}" for same in (True, False) for t, n in ((2, "both"), (1, "one"), (0, "none"))) + " FROM j GROUP BY a, b")
-add("hamming_pairs", lambda s, d: code_pairs(s, d).select(*_names, distance.hamming(F.col("a_p"), F.col("b_p"), W).alias("h")), f"{S_AB} SELECT a.vec_id AS a, o.vec_id AS b, {s_ham('a', 'o')} AS h {S_ON}")
+add("bq_distance_pairs", lambda s, d: code_pairs(s, d).select(*_names(), distance.bq(*_ab(), W).alias("d")), f"{S_AB} SELECT a.vec_id AS a, o.vec_id AS b, {s_bq('a', 'o')} AS d {S_ON}")
+add("bq_categories", lambda s, d: code_pairs(s, d).select(*_names(), *distance.categories(*_ab(), W, DIM)), f"{CODES}, j AS (SELECT a.vec_id AS a, o.vec_id AS b, a.p = o.p AS e, a.s + o.s AS t FROM c a JOIN c o ON a.i = o.i AND a.vec_id < o.vec_id AND o.vec_id < 60) SELECT a, b, " + ", ".join(f"CAST(count(*) FILTER ({'e' if same else 'NOT e'} AND t = {t}) AS INTEGER) AS {'same' if same else 'diff'}_{n}" for same in (True, False) for t, n in ((2, "both"), (1, "one"), (0, "none"))) + " FROM j GROUP BY a, b")
+add("hamming_pairs", lambda s, d: code_pairs(s, d).select(*_names(), distance.hamming(F.col("a_p"), F.col("b_p"), W).alias("h")), f"{S_AB} SELECT a.vec_id AS a, o.vec_id AS b, {s_ham('a', 'o')} AS h {S_ON}")
 _deg = lambda: F.degrees(F.acos(distance.cosine(F.col("a_embedding"), F.col("b_embedding"))))
-add("angle_estimate", lambda s, d: code_pairs(s, d).select(*_names, F.round(distance.angle_from_hamming(distance.hamming(F.col("a_p"), F.col("b_p"), W), DIM), 6).alias("est_deg"), F.round(_deg(), 6).alias("true_deg")), f"{S_AB} SELECT a.vec_id AS a, o.vec_id AS b, round({s_ham('a', 'o')} * 180.0 / {DIM}, 6) AS est_deg, round(degrees(acos({s_cos('a', 'o')})), 6) AS true_deg {S_ON}")
+add("angle_estimate", lambda s, d: code_pairs(s, d).select(*_names(), F.round(distance.angle_from_hamming(distance.hamming(F.col("a_p"), F.col("b_p"), W), DIM), 6).alias("est_deg"), F.round(_deg(), 6).alias("true_deg")), f"{S_AB} SELECT a.vec_id AS a, o.vec_id AS b, round({s_ham('a', 'o')} * 180.0 / {DIM}, 6) AS est_deg, round(degrees(acos({s_cos('a', 'o')})), 6) AS true_deg {S_ON}")
 add("exact_topk", lambda s, d: ranked6(exact_top(s, d)), f"{SPLIT}, {EXACT} SELECT qid, rank, vec_id, round(value, 6) AS sim FROM ex")
 add("bq_topk", lambda s, d: bq_top(s, d), f"{SPLIT}, {BQ} SELECT * FROM bq")
 add("hamming_topk", lambda s, d: ham_top(s, d), f"{SPLIT}, {s_rank('hm', s_ham('q', 'b'))} SELECT * FROM hm")
 add("adc_topk", lambda s, d: ranked6(adc_top(s, d), "value"), f"{SPLIT}, {s_rank('ad', ADC_S, desc=True)} SELECT qid, rank, vec_id, round(value, 6) AS value FROM ad")
-add("adc_scores", lambda s, d: analysis.pairs(sm(s, d).select("vec_id", "embedding", distance.levels(F.col("p"), F.col("s"), DIM).alias("y")), below=40).select(*_names, F.round(distance.adc(F.col("a_embedding"), F.col("b_y")), 6).alias("score")), f"{LISTS} SELECT a.vec_id AS a, o.vec_id AS b, round(list_dot_product(a.e, o.y), 6) AS score FROM k a JOIN k o ON a.vec_id < o.vec_id AND o.vec_id < 40")
+add("adc_scores", lambda s, d: analysis.pairs(sm(s, d).select("vec_id", "embedding", distance.levels(F.col("p"), F.col("s"), DIM).alias("y")), below=40).select(*_names(), F.round(distance.adc(F.col("a_embedding"), F.col("b_y")), 6).alias("score")), f"{LISTS} SELECT a.vec_id AS a, o.vec_id AS b, round(list_dot_product(a.e, o.y), 6) AS score FROM k a JOIN k o ON a.vec_id < o.vec_id AND o.vec_id < 40")
 S_SQ = f"WITH {U}, {SQ2}, w AS (SELECT vec_id, list(v ORDER BY i) AS v FROM z GROUP BY vec_id), q AS (SELECT * FROM w WHERE vec_id % 10 = 0), b AS (SELECT * FROM w WHERE vec_id % 10 <> 0), {s_rank('sq', 'CAST(list_sum(list_transform(list_zip(q.v, b.v), lambda x: abs(x[1] - x[2]))) AS INTEGER)')}"
 add("sq2_topk", lambda s, d: sq2_top(s, d), f"{S_SQ} SELECT * FROM sq")
 BQ64 = s_rank("bq", s_bq("q", "b"), k=64)
@@ -201,9 +207,9 @@ add("overlap_by_encoding", overlap_by, f"{SPLIT}, {EXACT}, {BQ}, {s_rank('hm', s
 BUDGETS = [10, 16, 32, 64]
 add("recall_at_budget", lambda s, d: metrics.recall_at_budget(bq_top(s, d, 64), exact_top(s, d), BUDGETS).select("budget", F.round("recall", 6).alias("recall"), F.round("precision", 6).alias("precision")), f"{SPLIT}, {EXACT}, {BQ64}, n AS (SELECT count(DISTINCT qid) AS n FROM ex), g AS (SELECT unnest([10, 16, 32, 64]) AS budget) SELECT CAST(budget AS INTEGER) AS budget, round(count(ex.vec_id) / (any_value(n) * 10.0), 6) AS recall, round(count(ex.vec_id) / count(*)::DOUBLE, 6) AS precision FROM g JOIN bq ON bq.rank <= budget LEFT JOIN ex ON ex.qid = bq.qid AND ex.vec_id = bq.vec_id, n GROUP BY budget")
 add("compat_probe", lambda s, d: analysis.compatibility(vectors(s, d)), f"{LISTS}, {ALL_PAIRS}, {KNN_EX}, {KNN_BQ}, r AS (SELECT (SELECT count(*) FROM k) AS n, round((SELECT count(*) FROM ex JOIN bq ON ex.qid = bq.qid AND ex.vec_id = bq.vec_id) / ((SELECT count(*) FROM k) * 10.0), 6) AS overlap) SELECT n, 10 AS k, overlap, CASE WHEN overlap < 0.5 THEN 'no-go' WHEN overlap >= 0.6 THEN 'go' ELSE 'inconclusive' END AS verdict FROM r")
-_pr = [F.round("p_s", 6).alias("p_s"), F.round("nu2", 6).alias("nu2")]
-add("strong_rate", lambda s, d: analysis.strong_rate(sm(s, d), DIM).select("n", *_pr), f"{CODES} SELECT count(DISTINCT vec_id) AS n, round(avg(s), 6) AS p_s, round((1 + 3 * avg(s)) * (1 + 3 * avg(s)), 6) AS nu2 FROM c")
-add("strong_rate_by_label", lambda s, d: analysis.strong_rate(sm(s, d), DIM, "label").select("label", "n", *_pr), f"{CODES} SELECT label, count(DISTINCT vec_id) AS n, round(avg(s), 6) AS p_s, round((1 + 3 * avg(s)) * (1 + 3 * avg(s)), 6) AS nu2 FROM c GROUP BY label")
+_pr = lambda: [F.round("p_s", 6).alias("p_s"), F.round("nu2", 6).alias("nu2")]
+add("strong_rate", lambda s, d: analysis.strong_rate(sm(s, d), DIM).select("n", *_pr()), f"{CODES} SELECT count(DISTINCT vec_id) AS n, round(avg(s), 6) AS p_s, round((1 + 3 * avg(s)) * (1 + 3 * avg(s)), 6) AS nu2 FROM c")
+add("strong_rate_by_label", lambda s, d: analysis.strong_rate(sm(s, d), DIM, "label").select("label", "n", *_pr()), f"{CODES} SELECT label, count(DISTINCT vec_id) AS n, round(avg(s), 6) AS p_s, round((1 + 3 * avg(s)) * (1 + 3 * avg(s)), 6) AS nu2 FROM c GROUP BY label")
 S_DEG = f"{LISTS}, g AS (SELECT degrees(acos(greatest(-1, least(1, {s_cos('a', 'o')})))) AS deg FROM k a JOIN k o ON a.vec_id < o.vec_id AND o.vec_id < 300)"
 add("angle_stats", lambda s, d: analysis.angle_stats(vectors(s, d), 300).select("pairs", F.round("mean", 6).alias("mean"), F.round("sd", 6).alias("sd")), f"{S_DEG} SELECT count(*) AS pairs, round(avg(deg), 6) AS mean, round(stddev_pop(deg), 6) AS sd FROM g")
 add("angle_hist", lambda s, d: analysis.angle_hist(vectors(s, d), below=300), f"{S_DEG} SELECT CAST(floor(deg / 5) AS INTEGER) AS bucket, count(*) AS n FROM g GROUP BY 1")
@@ -281,7 +287,7 @@ def filtered(s, d) -> DataFrame:
 
 add("filtered_topk", filtered, f"{SPLIT}, {s_rank('bq', s_bq('q', 'b'), join='b.label = 3')} SELECT * FROM bq")
 _pairs = lambda s, d: analysis.pairs(sm(s, d).select("vec_id", "p", "s", "embedding"))
-add("bq_range_join", lambda s, d: _pairs(s, d).select(*_names, distance.bq(*_ab, W).alias("d")).where("d <= 36"), f"{LISTS} SELECT a.vec_id AS a, o.vec_id AS b, {s_bq('a', 'o')} AS d FROM k a JOIN k o ON a.vec_id < o.vec_id WHERE {s_bq('a', 'o')} <= 36")
+add("bq_range_join", lambda s, d: _pairs(s, d).select(*_names(), distance.bq(*_ab(), W).alias("d")).where("d <= 36"), f"{LISTS} SELECT a.vec_id AS a, o.vec_id AS b, {s_bq('a', 'o')} AS d FROM k a JOIN k o ON a.vec_id < o.vec_id WHERE {s_bq('a', 'o')} <= 36")
 
 
 def near(s, d, how: str) -> DataFrame:
