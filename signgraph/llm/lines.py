@@ -6,8 +6,8 @@ ordered by rarity (counts of hash buckets over all lines; ties by hash), so that
 matching lines share a prefix word.
 
 Equal sets are one. A first pass meets sets by prefix word under length, positional and parity-sketch filters (the sketch
-is a lower bound of the symmetric difference, so it loses nothing) and only marks sets with a candidate. A second pass
-fetches the words of marked sets, repeats the filters and verifies the similarity itself; a pair counts at its first common
+is a lower bound of the symmetric difference, so it loses nothing) and keeps the rows with a candidate. A second pass
+fetches the words of their sets, repeats the filters and verifies the similarity itself; a pair counts at its first common
 word only. A word in more than `block` sets is dealt out as pairs of blocks. Nothing is emitted by pair, only by set.
 
 Lines without a word stay and match nothing. Null or empty texts have no such line. Rows that repeat a doc_id get the
@@ -21,12 +21,13 @@ from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from .bytescan import SPACE, mix, prefix_sums, runs, span_hash
-from .common import blocks, documents, settle, text_view
+from .common import blocks, documents, release, settle, text_view
 
 BUCKETS = 1 << 18
 FIRST = -(1 << 63)
 #: Similarity as a fraction: 4 / 5.
 NUM, DEN = 4, 5
+_BYTES = np.uint64(256) ** np.arange(6, dtype=np.uint64)
 
 
 def _words(data: np.ndarray, offs: np.ndarray) -> tuple[np.ndarray, np.ndarray, np.ndarray, np.ndarray]:
@@ -54,14 +55,15 @@ def _bucket_counts(batches):
     yield pa.RecordBatch.from_arrays([pa.array(k.astype(np.int32)), pa.array(total[k])], names=["k", "c"])
 
 
-def rarity(docs: DataFrame) -> np.ndarray:
-    """Word counts by hash bucket: BUCKETS numbers at most, whatever the input."""
+def rarity(docs: DataFrame, block: int) -> tuple[np.ndarray, int]:
+    """Rank of each hash bucket by its word count (BUCKETS numbers, whatever the input), and the first rank of a bucket that
+    holds more than `block` words: no word of a lower rank can stand in more than `block` sets."""
     got = docs.select(F.col("text").cast("string")).mapInArrow(_bucket_counts, "k int, c long").groupBy("k").agg(F.sum("c").alias("c")).toArrow()
     out = np.zeros(BUCKETS, np.int64)
     out[got.column("k").to_numpy()] = got.column("c").to_numpy()
     rank = np.empty(BUCKETS, np.uint32)
     rank[np.lexsort((np.arange(BUCKETS), out))] = np.arange(BUCKETS)
-    return rank
+    return rank, int((out <= block).sum())
 
 
 def prefix_size(n: np.ndarray) -> np.ndarray:
@@ -123,7 +125,8 @@ def _token_rows(rank_b, bits_b):
                 at = np.flatnonzero((bits[slot >> 3] >> (slot & 7)) & 1)
                 _, first = np.unique(s.sid[at], return_index=True)
                 at = at[first]
-                words = [s.key[s.start[i] : s.start[i] + s.n[i]].tobytes() for i in at.tolist()]
+                low = np.ascontiguousarray(s.key.view(np.uint8).reshape(-1, 8)[:, :6])  # 46 bits of hash and two of rank
+                words = [low[s.start[i] : s.start[i] + s.n[i]].tobytes() for i in at.tolist()]
                 yield pa.RecordBatch.from_arrays([pa.array(s.sid[at].view(np.int64)), pa.array(words, pa.binary())], names=["sid", "words"])
 
     return run
@@ -186,7 +189,8 @@ def _mark(batches):
         for i, j in _filtered(cell, side, n, pos, sketch.view(np.uint64)):
             ok = sid[i] != sid[j]
             hit[i[ok]] = hit[j[ok]] = True
-        yield pa.RecordBatch.from_arrays([pa.array(np.unique(sid[hit]))], names=["sid"])
+        kinds = (pa.int64(), pa.int32(), pa.int32(), pa.int32(), pa.int64(), pa.int64())
+        yield pa.RecordBatch.from_arrays([pa.array(v[hit]).cast(k) for v, k in zip((cell, side, n, pos, sketch, sid), kinds, strict=True)], names=["cell", "side", "n", "pos", "sketch", "sid"])
 
     yield from _whole_cells(batches, 6, solve)
 
@@ -199,7 +203,7 @@ def _verify(batches):
         cell, side, n, pos, sketch, sid, doc, line = (v[order] for v in (cell, side, n.astype(np.int64), pos.astype(np.int64), sketch, sid, doc, line))
         # One copy of each set's words, all end to end, as (set, word) in one sorted array.
         _, first, own = np.unique(sid, return_index=True, return_inverse=True)
-        part = [np.frombuffer(words[int(order[k])].as_py(), np.uint64) for k in first]
+        part = [np.frombuffer(words[int(order[k])].as_py(), np.uint8).reshape(-1, 6).astype(np.uint64) @ _BYTES for k in first]
         size = np.array([len(p) for p in part])
         base = np.cumsum(size) - size
         flat = np.concatenate(part)
@@ -234,17 +238,21 @@ def _verify(batches):
     yield from _whole_cells(batches, 9, solve)
 
 
-def _celled(post: DataFrame, block: int, *more: str) -> DataFrame:
-    """Postings (w, pos, n, sketch, sid, ...) dealt to cells: a word's rows together, or by pairs of blocks of a common word."""
-    count = post.groupBy("w").agg(F.count("*").alias("k")).where("k > 1")
-    held = post.join(count, "w")
+def _celled(post: DataFrame, block: int, common: int) -> DataFrame:
+    """Postings (w, pos, n, sketch, sid) dealt to cells: a word's rows together, or by pairs of blocks where a word of a
+    common bucket stands in more than `block` sets."""
+    rank = F.shiftrightunsigned("w", 46)
+    cols = ["n", "pos", "sketch", "sid"]
+    rare = post.where(rank < common).select(F.col("w").alias("cell"), F.lit(-1).alias("side"), *cols)
+    often = post.where(rank >= common)
+    held = often.join(often.groupBy("w").agg(F.count("*").alias("k")).where("k > 1"), "w")
     parts = F.ceil(F.col("k") / block).cast("int")
     mine = F.pmod(F.col("sid"), parts).cast("int")
     flat = F.array(F.struct(F.lit(0).alias("i"), F.lit(0).alias("j"), F.lit(-1).alias("side")))
     grid = F.transform(F.sequence(F.lit(0), F.col("parts") - 1), lambda o: F.struct(F.least(o, F.col("mine")).alias("i"), F.greatest(o, F.col("mine")).alias("j"), F.when(o == F.col("mine"), F.lit(-1)).otherwise((F.col("mine") > o).cast("int")).alias("side")))
     held = held.withColumn("parts", parts).withColumn("mine", mine).withColumn("cell", F.explode(F.when(F.col("parts") == 1, flat).otherwise(grid)))
-    rows = held.select(F.xxhash64("w", "cell.i", "cell.j").alias("cell"), F.col("cell.side").alias("side"), "n", "pos", "sketch", "sid", *more)
-    return rows.repartition("cell").sortWithinPartitions("cell")
+    dealt = held.select(F.xxhash64("w", "cell.i", "cell.j").alias("cell"), F.col("cell.side").alias("side"), *cols)
+    return rare.unionByName(dealt).repartition("cell").sortWithinPartitions("cell")
 
 
 def line_decisions(docs: DataFrame, block: int = 4096) -> DataFrame:
@@ -252,20 +260,23 @@ def line_decisions(docs: DataFrame, block: int = 4096) -> DataFrame:
     from 0, n_links the matches of its lines' sets with other sets."""
     spark = docs.sparkSession
     src = docs.select(F.coalesce(F.col("doc_id").cast("long"), F.lit(FIRST)).alias("doc_id"), F.col("text").cast("string").alias("text"))
-    rank = spark.sparkContext.broadcast(rarity(src))
+    rank, common = rarity(src, block)
+    rank = spark.sparkContext.broadcast(rank)
     kind = "sid long, doc_id long, line int, n int, sketch long, prefix array<long>"
-    lines = settle(src.mapInArrow(_line_rows(rank), kind), "lines")
-    sets = settle(lines.groupBy("sid").agg(F.min("doc_id").alias("first"), F.min_by("line", F.struct("doc_id", "line")).alias("at"), F.max("n").alias("n"), F.max("sketch").alias("sketch"), F.first("prefix").alias("prefix"), F.count("*").alias("c")), "sets")
+    wide = settle(src.mapInArrow(_line_rows(rank), kind), "lines")
+    sets = settle(wide.groupBy("sid").agg(F.min("doc_id").alias("first"), F.min_by("line", F.struct("doc_id", "line")).alias("at"), F.max("n").alias("n"), F.max("sketch").alias("sketch"), F.first("prefix").alias("prefix"), F.count("*").alias("c")), "sets")
+    lines = settle(wide.select("sid", "doc_id", "line"), "lines")
+    release(wide)
     post = sets.select("sid", "n", "sketch", F.posexplode("prefix").alias("pos", "w"))
-    marked = settle(_celled(post, block).mapInArrow(_mark, "sid long").distinct(), "marked")
+    marked = settle(_celled(post, block, common).mapInArrow(_mark, "cell long, side int, n int, pos int, sketch long, sid long"), "marked")
     # A bitmap of 2^24 bits names the marked sets to the scan; when it is crowded it only lets more words through.
     slots = marked.select(F.shiftrightunsigned("sid", 40).alias("s")).groupBy(F.shiftright("s", 3).alias("byte")).agg(F.expr("bit_or(shiftleft(1, cast(s & 7 as int))) as v")).toArrow()
     bits = np.zeros(1 << 21, np.uint8)
     bits[slots.column("byte").to_numpy()] = slots.column("v").to_numpy()
-    words = src.select("text").mapInArrow(_token_rows(rank, spark.sparkContext.broadcast(bits)), "sid long, words binary")
-    words = words.groupBy("sid").agg(F.max("words").alias("words")).join(marked, "sid")
-    full = sets.join(words, "sid").select("sid", "n", "sketch", "first", "at", "words", F.posexplode("prefix").alias("pos", "w"))
-    seen = _celled(full, block, "first", "at", "words").mapInArrow(_verify, "sid long, links long, late boolean")
+    words = src.select("text").mapInArrow(_token_rows(rank, spark.sparkContext.broadcast(bits)), "sid long, words binary").groupBy("sid").agg(F.max("words").alias("words"))
+    where = sets.select("sid", "first", "at").join(words, "sid")
+    full = marked.join(where, "sid").select("cell", "side", "n", "pos", "sketch", "sid", "first", "at", "words")
+    seen = full.repartition("cell").sortWithinPartitions("cell").mapInArrow(_verify, "sid long, links long, late boolean")
     found = settle(seen.groupBy("sid").agg(F.sum("links").alias("links"), F.max("late").alias("late")), "found")
     info = sets.select("sid", "first", "at", "c").join(found, "sid", "left").where("c > 1 or links is not null").select("sid", "first", "at", "links", "late")
     judged = lines.select("sid", "doc_id", "line").join(info, "sid", "left")
