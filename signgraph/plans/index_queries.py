@@ -36,7 +36,7 @@ def table(s: SparkSession, rows: list[tuple]) -> DataFrame:
 
 
 def recall_of(got: DataFrame, truth: DataFrame) -> float:
-    return round(metrics.recall(got, truth).first()["recall"], 6)
+    return round(metrics.recall(got, truth).first()["recall"] or 0.0, 6)
 
 
 def grid(index: Index, q: DataFrame, truth: DataFrame, name: str, label: str, efs, **how) -> list[tuple]:
