@@ -226,9 +226,10 @@ def least_bins(size: np.ndarray, limit: int) -> int:
     return best
 
 
-def evolve(size: list[int], limit: int, seed: int, patterns: list[list[int]] = (), people: int = 6, rounds: int = 30) -> list[list[int]]:
+def evolve(size: list[int], limit: int, seed: int, patterns: list[list[int]] = (), people: int = 6, rounds: int | None = None) -> list[list[int]]:
     """The best packing found for one island."""
     r = np.random.default_rng(seed)
+    rounds = rounds or max(30, 60_000 // max(1, len(size)))  # small islands are cheap and get more
     n, goal = len(size), least_bins(np.array(size, np.int64), limit) if size else 0
     everyone = list(range(n))
 
@@ -269,7 +270,7 @@ def evolve(size: list[int], limit: int, seed: int, patterns: list[list[int]] = (
     crowd.sort(key=lambda c: c[0])
     idle = 0
     for _ in range(rounds):
-        if crowd[0][0][0] <= goal or idle >= 10:
+        if crowd[0][0][0] <= goal or idle >= max(10, rounds // 3):
             break
         a, b = crowd[int(r.integers(0, max(1, people // 2)))][1], crowd[int(r.integers(0, people))][1]
         full = [x for x in b if sum(size[i] for i in x) >= limit - 1]
