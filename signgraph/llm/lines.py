@@ -89,10 +89,13 @@ class Sets:
             self.sid = mix(np.add.reduceat(mix(self.key), self.start) + self.n.astype(np.uint64)) if len(own) else np.zeros(0, np.uint64)
         self.doc, self.line = doc[own], number[own]
 
-    def sketch(self) -> np.ndarray:
-        """Parity of the words' hash bits: each word that two sets do not share changes one bit at most."""
-        bit = np.uint64(1) << (mix(self.key ^ np.uint64(0x5DEECE66D)) & np.uint64(63))
-        return np.bitwise_xor.reduceat(bit, self.start) if len(self.start) else bit
+    def sketch(self) -> tuple[np.ndarray, np.ndarray]:
+        """Parity of the words' hash bits, 128 of them: each word that two sets do not share changes one bit at most."""
+        h = mix(self.key ^ np.uint64(0x5DEECE66D))
+        bit, upper = np.uint64(1) << (h & np.uint64(63)), (h >> np.uint64(6)) & np.uint64(1)
+        if not len(self.start):
+            return bit, bit
+        return np.bitwise_xor.reduceat(bit * (np.uint64(1) - upper), self.start), np.bitwise_xor.reduceat(bit * upper, self.start)
 
 
 def _line_rows(rank_b):
@@ -106,8 +109,9 @@ def _line_rows(rank_b):
                 pre = prefix_size(s.n)
                 edge = np.concatenate([[0], np.cumsum(pre)])
                 flat = s.key[np.repeat(s.start - edge[:-1], pre) + np.arange(edge[-1])]
+                low, high = s.sketch()
                 prefix = pa.ListArray.from_arrays(pa.array(edge.astype(np.int32)), pa.array(flat.view(np.int64)))
-                yield pa.RecordBatch.from_arrays([pa.array(s.sid.view(np.int64)), pa.array(ids[lo + s.doc]), pa.array(s.line.astype(np.int32)), pa.array(s.n.astype(np.int32)), pa.array(s.sketch().view(np.int64)), prefix], names=["sid", "doc_id", "line", "n", "sketch", "prefix"])
+                yield pa.RecordBatch.from_arrays([pa.array(s.sid.view(np.int64)), pa.array(ids[lo + s.doc]), pa.array(s.line.astype(np.int32)), pa.array(s.n.astype(np.int32)), pa.array(low.view(np.int64)), pa.array(high.view(np.int64)), prefix], names=["sid", "doc_id", "line", "n", "sketch", "sketch2", "prefix"])
 
     return run
 
@@ -151,12 +155,12 @@ def _windows(cell: np.ndarray, side: np.ndarray, n: np.ndarray, limit: int = 1 <
         lo = hi
 
 
-def _filtered(cell, side, n, pos, sketch):
+def _filtered(cell, side, n, pos, low, high):
     for i, j in _windows(cell, side, n):
         both = n[i] + n[j]
         need = -(-NUM * both // (NUM + DEN))
         most = np.minimum(pos[i], pos[j]) + 1 + np.minimum(n[i] - pos[i], n[j] - pos[j]) - 1
-        ok = (most >= need) & (np.bitwise_count(sketch[i] ^ sketch[j]) <= both - 2 * need)
+        ok = (most >= need) & (np.bitwise_count(low[i] ^ low[j]).astype(np.int64) + np.bitwise_count(high[i] ^ high[j]) <= both - 2 * need)
         yield i[ok], j[ok]
 
 
@@ -182,25 +186,25 @@ def _arrays(t: pa.Table, n: int) -> list[np.ndarray]:
 
 def _mark(batches):
     def solve(t):
-        cell, side, n, pos, sketch, sid = _arrays(t, 6)
+        cell, side, n, pos, low, high, sid = _arrays(t, 7)
         order = np.lexsort((n, cell))
-        cell, side, n, pos, sketch, sid = (v[order] for v in (cell, side, n.astype(np.int64), pos.astype(np.int64), sketch, sid))
+        cell, side, n, pos, low, high, sid = (v[order] for v in (cell, side, n.astype(np.int64), pos.astype(np.int64), low, high, sid))
         hit = np.zeros(len(n), bool)
-        for i, j in _filtered(cell, side, n, pos, sketch.view(np.uint64)):
+        for i, j in _filtered(cell, side, n, pos, low.view(np.uint64), high.view(np.uint64)):
             ok = sid[i] != sid[j]
             hit[i[ok]] = hit[j[ok]] = True
-        kinds = (pa.int64(), pa.int32(), pa.int32(), pa.int32(), pa.int64(), pa.int64())
-        yield pa.RecordBatch.from_arrays([pa.array(v[hit]).cast(k) for v, k in zip((cell, side, n, pos, sketch, sid), kinds, strict=True)], names=["cell", "side", "n", "pos", "sketch", "sid"])
+        kinds = (pa.int64(), pa.int32(), pa.int32(), pa.int32(), pa.int64(), pa.int64(), pa.int64())
+        yield pa.RecordBatch.from_arrays([pa.array(v[hit]).cast(k) for v, k in zip((cell, side, n, pos, low, high, sid), kinds, strict=True)], names=["cell", "side", "n", "pos", "sketch", "sketch2", "sid"])
 
-    yield from _whole_cells(batches, 6, solve)
+    yield from _whole_cells(batches, 7, solve)
 
 
 def _verify(batches):
     def solve(t):
-        cell, side, n, pos, sketch, sid, doc, line = _arrays(t, 8)
+        cell, side, n, pos, low, high, sid, doc, line = _arrays(t, 9)
         order = np.lexsort((n, cell))
-        words = t.column(8).combine_chunks() if isinstance(t.column(8), pa.ChunkedArray) else t.column(8)
-        cell, side, n, pos, sketch, sid, doc, line = (v[order] for v in (cell, side, n.astype(np.int64), pos.astype(np.int64), sketch, sid, doc, line))
+        words = t.column(9).combine_chunks() if isinstance(t.column(9), pa.ChunkedArray) else t.column(9)
+        cell, side, n, pos, low, high, sid, doc, line = (v[order] for v in (cell, side, n.astype(np.int64), pos.astype(np.int64), low, high, sid, doc, line))
         # One copy of each set's words, all end to end, as (set, word) in one sorted array.
         _, first, own = np.unique(sid, return_index=True, return_inverse=True)
         part = [np.frombuffer(words[int(order[k])].as_py(), np.uint8).reshape(-1, 6).astype(np.uint64) @ _BYTES for k in first]
@@ -211,7 +215,7 @@ def _verify(batches):
         code = np.searchsorted(names, flat)
         table = np.sort(np.repeat(np.arange(len(part)), size) * len(names) + code)
         links, late = np.zeros(len(n), np.int64), np.zeros(len(n), bool)
-        for i, j in _filtered(cell, side, n, pos, sketch.view(np.uint64)):
+        for i, j in _filtered(cell, side, n, pos, low.view(np.uint64), high.view(np.uint64)):
             for lo in range(0, len(i), 1 << 14):
                 a, b = i[lo : lo + (1 << 14)], j[lo : lo + (1 << 14)]
                 keep = sid[a] != sid[b]
@@ -235,14 +239,14 @@ def _verify(batches):
         at = np.flatnonzero(links)
         yield pa.RecordBatch.from_arrays([pa.array(sid[at]), pa.array(links[at]), pa.array(late[at])], names=["sid", "links", "late"])
 
-    yield from _whole_cells(batches, 9, solve)
+    yield from _whole_cells(batches, 10, solve)
 
 
 def _celled(post: DataFrame, block: int, common: int) -> DataFrame:
     """Postings (w, pos, n, sketch, sid) dealt to cells: a word's rows together, or by pairs of blocks where a word of a
     common bucket stands in more than `block` sets."""
     rank = F.shiftrightunsigned("w", 46)
-    cols = ["n", "pos", "sketch", "sid"]
+    cols = ["n", "pos", "sketch", "sketch2", "sid"]
     rare = post.where(rank < common).select(F.col("w").alias("cell"), F.lit(-1).alias("side"), *cols)
     often = post.where(rank >= common)
     held = often.join(often.groupBy("w").agg(F.count("*").alias("k")).where("k > 1"), "w")
@@ -262,20 +266,20 @@ def line_decisions(docs: DataFrame, block: int = 4096) -> DataFrame:
     src = docs.select(F.coalesce(F.col("doc_id").cast("long"), F.lit(FIRST)).alias("doc_id"), F.col("text").cast("string").alias("text"))
     rank, common = rarity(src, block)
     rank = spark.sparkContext.broadcast(rank)
-    kind = "sid long, doc_id long, line int, n int, sketch long, prefix array<long>"
+    kind = "sid long, doc_id long, line int, n int, sketch long, sketch2 long, prefix array<long>"
     wide = settle(src.mapInArrow(_line_rows(rank), kind), "lines")
-    sets = settle(wide.groupBy("sid").agg(F.min("doc_id").alias("first"), F.min_by("line", F.struct("doc_id", "line")).alias("at"), F.max("n").alias("n"), F.max("sketch").alias("sketch"), F.first("prefix").alias("prefix"), F.count("*").alias("c")), "sets")
+    sets = settle(wide.groupBy("sid").agg(F.min("doc_id").alias("first"), F.min_by("line", F.struct("doc_id", "line")).alias("at"), F.max("n").alias("n"), F.max("sketch").alias("sketch"), F.max("sketch2").alias("sketch2"), F.first("prefix").alias("prefix"), F.count("*").alias("c")), "sets")
     lines = settle(wide.select("sid", "doc_id", "line"), "lines")
     release(wide)
-    post = sets.select("sid", "n", "sketch", F.posexplode("prefix").alias("pos", "w"))
-    marked = settle(_celled(post, block, common).mapInArrow(_mark, "cell long, side int, n int, pos int, sketch long, sid long"), "marked")
+    post = sets.select("sid", "n", "sketch", "sketch2", F.posexplode("prefix").alias("pos", "w"))
+    marked = settle(_celled(post, block, common).mapInArrow(_mark, "cell long, side int, n int, pos int, sketch long, sketch2 long, sid long"), "marked")
     # A bitmap of 2^24 bits names the marked sets to the scan; when it is crowded it only lets more words through.
     slots = marked.select(F.shiftrightunsigned("sid", 40).alias("s")).groupBy(F.shiftright("s", 3).alias("byte")).agg(F.expr("bit_or(shiftleft(1, cast(s & 7 as int))) as v")).toArrow()
     bits = np.zeros(1 << 21, np.uint8)
     bits[slots.column("byte").to_numpy()] = slots.column("v").to_numpy()
     words = src.select("text").mapInArrow(_token_rows(rank, spark.sparkContext.broadcast(bits)), "sid long, words binary").groupBy("sid").agg(F.max("words").alias("words"))
     where = sets.select("sid", "first", "at").join(words, "sid")
-    full = marked.join(where, "sid").select("cell", "side", "n", "pos", "sketch", "sid", "first", "at", "words")
+    full = marked.join(where, "sid").select("cell", "side", "n", "pos", "sketch", "sketch2", "sid", "first", "at", "words")
     seen = full.repartition("cell").sortWithinPartitions("cell").mapInArrow(_verify, "sid long, links long, late boolean")
     found = settle(seen.groupBy("sid").agg(F.sum("links").alias("links"), F.max("late").alias("late")), "found")
     info = sets.select("sid", "first", "at", "c").join(found, "sid", "left").where("c > 1 or links is not null").select("sid", "first", "at", "links", "late")
