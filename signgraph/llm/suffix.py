@@ -7,7 +7,8 @@ array and a Burrows-Wheeler transform, and backward extension of intervals, brea
 increasing order up to the threshold. Suffixes whose value with a neighbour was never set share at least `length` bytes.
 
 Equal texts and equal stretches are counted once and carried as a multiplicity. A group of very many different stretches
-is dealt out in parts; starts that are single in their part then meet by the hash of their string.
+is dealt out in parts; starts that are single in their text index then meet by the hash of their string all strings of the
+other indexes, those that stand there twice or more as well.
 
 Null and empty texts have nothing to remove. Repeated rows are copies of each other. Empty tables give empty results.
 """
@@ -25,6 +26,7 @@ from .common import blocks, documents, settle, text_view
 
 LENGTH, GRAM = 400, 64
 PART = 2000  # stretches of one anchor that are indexed together
+TARGET = 1 << 20  # bytes of stretches from which a text index is closed
 _POS = np.uint64((1 << 24) - 1)
 ANCHOR = np.dtype([("h", "<u8"), ("a", "<u4"), ("b", "<u4")])
 
@@ -155,24 +157,30 @@ def _runs(hit: np.ndarray) -> np.ndarray:
     return edge.astype("<u4")
 
 
-def _index(length: int, part: int, target: int = 1 << 20):
-    """Streams stretches sorted by (h, part) through text indexes that hold whole groups."""
+def _index(length: int, part: int, target: int):
+    """Streams stretches sorted by (h, part) through text indexes that hold whole parts."""
 
     def solve(rows: list) -> list:
         size = np.array([len(r[5]) for r in rows])
         text = np.frombuffer(b"".join(r[5] + b"\xff" for r in rows), np.uint8)
         hit = shared_starts(text, length)
-        at, out = 0, []
+        at, out, seen = 0, [], {}
         for (h, _, m1, m2, n, seg), k in zip(rows, size.tolist(), strict=True):
             own = hit[at : at + k - length + 1]
             single = None
-            if n > part and not own.all():  # other parts of this anchor may hold the same strings
-                data = np.frombuffer(seg, np.uint8)
-                s = np.flatnonzero(~own)
-                single = np.concatenate([s.astype("<i8"), span_hash(prefix_sums(data), s, s + length).view("<i8")]).tobytes()
+            if n > part:  # other indexes may hold the same strings of this anchor
+                s = np.arange(len(own))
+                w = span_hash(prefix_sums(np.frombuffer(seg, np.uint8)), s, s + length).view("<i8")
+                if own.any():
+                    seen.setdefault(h, []).append(w[own])
+                if not own.all():
+                    single = np.concatenate([s[~own].astype("<i8"), w[~own]]).tobytes()
             if own.any() or single is not None:
                 out.append((h, m1, m2, _runs(own).tobytes(), single))
             at += k + 1
+        for h, ws in seen.items():  # strings that stand here twice or more: one row each, without a start
+            w = np.unique(np.concatenate(ws))
+            out.append((h, 0, 0, b"", np.concatenate([np.full(len(w), -1, "<i8"), w]).tobytes()))
         return out
 
     def emit(rows: list) -> pa.RecordBatch:
@@ -307,7 +315,7 @@ def _cleaner(length: int, keep_text: bool):
 _NONE = hashlib.sha256(b"").hexdigest()
 
 
-def repeat_tables(docs: DataFrame, length: int = LENGTH, gram: int = GRAM, part: int = PART, keep_text: bool = False) -> tuple[DataFrame, DataFrame]:
+def repeat_tables(docs: DataFrame, length: int = LENGTH, gram: int = GRAM, part: int = PART, keep_text: bool = False, target: int = TARGET) -> tuple[DataFrame, DataFrame]:
     """Two tables: each row's doc_id, text key (tid), digest and size; and per text key with something to remove: n_removed, n_spans,
     kept_sha256 and, with keep_text, what is left (kept; bytes of a character that was cut through are left out)."""
     src = docs.select(F.col("doc_id").cast("long").alias("doc_id"), F.coalesce(F.col("text").cast("string"), F.lit("")).alias("text"))
@@ -324,12 +332,12 @@ def repeat_tables(docs: DataFrame, length: int = LENGTH, gram: int = GRAM, part:
     groups = kinds.groupBy("h").agg(F.count("*").alias("nd"), F.sum((F.col("c") == 1).cast("int")).alias("ns")).where("nd > 1 and ns > 0").select("h", "nd")
     want = kinds.join(groups, "h").groupBy("tid").agg(F.collect_list(F.struct("h", "m1", "m2", "nd")).alias("want"))
     bodies = held.select("tid", "text", "hits").join(want.hint("shuffle_hash"), "tid").select("text", "hits", "want").mapInArrow(_bodies(length, part), "h long, part long, m1 long, m2 long, nd long, seg binary")
-    found = settle(bodies.repartition("h", "part").sortWithinPartitions("h", "part").mapInArrow(_index(length, part), "h long, m1 long, m2 long, runs binary, single binary"), "found")
+    found = settle(bodies.repartition("h", "part").sortWithinPartitions("h", "part").mapInArrow(_index(length, part, target), "h long, m1 long, m2 long, runs binary, single binary"), "found")
     single = found.where("single is not null").select("h", "m1", "m2", "single").mapInArrow(_single_rows, "h long, m1 long, m2 long, s long, w long")
-    # Starts that are single in their part: one row a string and part, counted over the parts of the anchor.
+    # Every string of a text index has one row here, with its start where it is single; they are counted over the indexes.
     met = single.groupBy("h", "w").agg(F.count("*").alias("k")).where("k > 1").select("h", "w")
     none, nil = F.lit(None).cast("binary").alias("runs"), F.lit(None).cast("array<long>").alias("more")
-    late = single.join(met, ["h", "w"]).groupBy("h", "m1", "m2").agg(F.collect_list("s").alias("more")).select("h", "m1", "m2", none, "more")
+    late = single.where("s >= 0").join(met, ["h", "w"]).groupBy("h", "m1", "m2").agg(F.collect_list("s").alias("more")).select("h", "m1", "m2", none, "more")
     full = kinds.where("c > 1").select("h", "m1", "m2", none, nil)
     partial = found.where(F.octet_length("runs") > 0).select("h", "m1", "m2", "runs", nil).unionByName(late)
     done = full.unionByName(partial.join(full.select("h", "m1", "m2"), ["h", "m1", "m2"], "left_anti"))
@@ -340,9 +348,9 @@ def repeat_tables(docs: DataFrame, length: int = LENGTH, gram: int = GRAM, part:
     return marks, news
 
 
-def repeats(docs: DataFrame, length: int = LENGTH, gram: int = GRAM, part: int = PART) -> DataFrame:
+def repeats(docs: DataFrame, length: int = LENGTH, gram: int = GRAM, part: int = PART, target: int = TARGET) -> DataFrame:
     """One row for each row of docs (doc_id, text): doc_id, n_bytes, n_removed, n_spans, kept_sha256."""
-    marks, news = repeat_tables(docs, length, gram, part)
+    marks, news = repeat_tables(docs, length, gram, part, target=target)
     zero = F.lit(0).cast("long")
     out = marks.select("doc_id", "tid", "sha", "n").join(news, "tid", "left")
     return out.select("doc_id", F.col("n").alias("n_bytes"), F.coalesce("n_removed", zero).alias("n_removed"), F.coalesce("n_spans", zero).alias("n_spans"), F.coalesce("kept_sha256", "sha").alias("kept_sha256"))

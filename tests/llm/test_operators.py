@@ -50,6 +50,25 @@ def test_suffix(spark, odd, empty, part):
     assert suffix.without_repeats(odd).columns == odd.columns
 
 
+def test_suffix_meets_over_parts(spark):
+    """A string of a dealt anchor that is single in one text index and stands twice or more in another."""
+    r = np.random.default_rng(5)
+
+    def word(n):
+        return "".join(map(chr, r.integers(97, 123, n)))
+
+    core = word(100)
+    rows = []
+    for i in range(12):
+        tail = word(40) if i % 3 == 0 else tail  # three texts share a longer extension of the passage
+        rows.append((i, word(60) + core + tail + word(60)))
+    texts = [t.encode() for _, t in rows]
+    want = [(i, int(m.sum())) for (i, _), m in zip(rows, removed(texts, 120), strict=True)]
+    docs = spark.createDataFrame(rows, "doc_id long, text string")
+    for part in (1, 2, 3):
+        assert sorted((x.doc_id, x.n_removed) for x in suffix.repeats(docs, 120, 16, part, target=0).collect()) == want
+
+
 def test_suffix_kernel():
     t = b"abcabcabcabcXYZabcabcabc\xffZabcabcabcabc\xff"
     hit = suffix.shared_starts(np.frombuffer(t, np.uint8), 9)
