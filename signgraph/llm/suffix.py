@@ -27,7 +27,7 @@ from .common import blocks, documents, settle, text_view
 LENGTH, GRAM = 400, 64
 PART = 2000  # stretches of one anchor that are indexed together
 TARGET = 1 << 20  # bytes of stretches from which a text index is closed
-_POS = np.uint64((1 << 24) - 1)
+_POS = np.uint64((1 << 24) - 1)  # places in a piece of a text; pieces overlap
 ANCHOR = np.dtype([("h", "<u8"), ("a", "<u4"), ("b", "<u4")])
 
 
@@ -48,8 +48,12 @@ def anchors(data: np.ndarray, offs: np.ndarray, length: int = LENGTH, gram: int
         return np.zeros(0, ANCHOR), np.zeros(0, np.int64)
     at = np.arange(n - gram + 1)
     h = span_hash(prefix_sums(data), at, at + gram)
-    low = _slide_min((h & ~_POS) | at.astype(np.uint64), length - gram + 1)
-    own = (low & _POS).astype(np.int64)
+    own = np.empty(n - length + 1, np.int64)
+    step = int(_POS) + 1 - (length - gram)  # so many starts have grams whose places fit below the hash
+    for lo in range(0, len(own), step):
+        part = h[lo : lo + step + length - gram]
+        low = _slide_min((part & ~_POS) | at[: len(part)].astype(np.uint64), length - gram + 1)
+        own[lo : lo + step] = lo + (low & _POS).astype(np.int64)
     size = np.diff(offs)
     valid = np.zeros(n + 1, np.int32)
     long = size >= length

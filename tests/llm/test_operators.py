@@ -69,6 +69,22 @@ def test_suffix_meets_over_parts(spark):
         assert sorted((x.doc_id, x.n_removed) for x in suffix.repeats(docs, 120, 16, part, target=0).collect()) == want
 
 
+@pytest.mark.parametrize("bits", [24, 9])
+def test_anchors_of_long_texts(monkeypatch, bits):
+    """Positions of few bits stand for texts of many pieces."""
+    monkeypatch.setattr(suffix, "_POS", np.uint64((1 << bits) - 1))
+    r = np.random.default_rng(6)
+    passage = r.integers(0, 26, 700, np.uint8) + 97
+    data = np.concatenate([r.integers(0, 26, 333, np.uint8) + 97, passage, r.integers(0, 26, 5000, np.uint8) + 97, passage])
+    a, doc = suffix.anchors(data, np.array([0, len(data)]), 400, 64)
+    assert (doc == 0).all() and a["a"][0] == 0 and a["b"][-1] == len(data) - 400 and (a["a"][1:] == a["b"][:-1] + 1).all()
+    own = np.repeat(a["h"], a["b"] - a["a"] + 1)
+    assert (own[333 : 333 + 301] == own[-301:]).all()
+    at = np.arange(len(data) - 63)
+    h = bytescan.span_hash(bytescan.prefix_sums(data), at, at + 64)
+    assert all(h[s : s + 337][np.argmin(h[s : s + 337] & ~suffix._POS)] == own[s] for s in range(0, len(own), 7))
+
+
 def test_suffix_kernel():
     t = b"abcabcabcabcXYZabcabcabc\xffZabcabcabcabc\xff"
     hit = suffix.shared_starts(np.frombuffer(t, np.uint8), 9)
