@@ -40,12 +40,16 @@ def shingle_hashes(raw: bytes, width: int, seed: int) -> list[int]:
 
 def fingerprint_of(texts: list[bytes], width: int, seed: int) -> np.ndarray:
     """Fingerprints as uint64."""
-    each = [shingle_hashes(t, width, seed) for t in texts]
+    return majority([np.array(shingle_hashes(t, width, seed), np.uint64) for t in texts])
+
+
+def majority(each: list[np.ndarray]) -> np.ndarray:
+    """The majority of each bit over the hashes of each text, as uint64."""
     n = np.array([len(h) for h in each])
-    flat = np.fromiter((v for h in each for v in h), np.uint64, int(n.sum()))
-    key = flat.view(np.uint8).reshape(-1, 8).astype(np.int64) + np.arange(8) * 256 + np.repeat(np.arange(len(texts)), n)[:, None] * 2048
-    count = np.bincount(key.ravel(), minlength=len(texts) * 2048).reshape(len(texts), 8, 256) @ _BITS
-    bits = (2 * count.reshape(len(texts), 64) > n[:, None]).astype(np.uint8)
+    flat = np.concatenate([*each, np.zeros(0, np.uint64)])
+    key = flat.view(np.uint8).reshape(-1, 8).astype(np.int64) + np.arange(8) * 256 + np.repeat(np.arange(len(each)), n)[:, None] * 2048
+    count = np.bincount(key.ravel(), minlength=len(each) * 2048).reshape(len(each), 8, 256) @ _BITS
+    bits = (2 * count.reshape(len(each), 64) > n[:, None]).astype(np.uint8)
     return np.packbits(bits, axis=1, bitorder="little").view(np.uint64).ravel()
 
 
@@ -232,19 +236,19 @@ def _signatures(width: int, seed: int):
         for b in batches:
             data, offs = text_view(b.column(1))
             raw, n = data.tobytes(), len(offs) - 1
-            name, bands, texts = np.zeros(n, np.uint64), np.zeros((n, BANDS), np.uint64), []
+            name, bands, sets, held = np.zeros(n, np.uint64), np.zeros((n, BANDS), np.uint64), [], 0
             marks = np.zeros(n, np.uint64)
             for i in range(n):
-                t = raw[offs[i] : offs[i + 1]]
-                u = _set_of(t, width, seed)
+                u = _set_of(raw[offs[i] : offs[i + 1]], width, seed)
                 name[i] = _set_name(u)
-                texts.append(t)
+                sets.append(u)  # each shingle once: a repeated phrase does not weigh more
+                held += len(u)
                 with np.errstate(over="ignore"):
                     least = np.array([(u * k).min() for k in _ODD]) if len(u) else np.zeros(2 * BANDS, np.uint64)
                     bands[i] = mix(least[::2] * np.uint64(31) + least[1::2] + np.arange(BANDS, dtype=np.uint64))
-                if len(texts) == 64 or i == n - 1:
-                    marks[i + 1 - len(texts) : i + 1] = fingerprint_of(texts, width, seed)
-                    texts = []
+                if len(sets) == 64 or held > 1 << 17 or i == n - 1:
+                    marks[i + 1 - len(sets) : i + 1] = majority(sets)
+                    sets, held = [], 0
             flat = pa.ListArray.from_arrays(pa.array(np.arange(n + 1, dtype=np.int32) * BANDS), pa.array(bands.ravel().view(np.int64)))
             yield pa.RecordBatch.from_arrays([b.column(0), pa.array(name.view(np.int64)), pa.array(marks.view(np.int64)), flat], names=["doc_id", "name", "fp", "bands"])
 
@@ -270,11 +274,13 @@ def _marked_sets(width: int, seed: int, bits_b):
 
 
 def _similar_cells(radius: int, similarity: float, rows: int = 20_000, most: int = 64 << 20):
-    """Whole cells at a time: the Gray index gives pairs, those not yet connected are verified, the rest are left."""
+    """Whole cells at a time: pairs of the Gray index that are not yet connected are verified, then all others of the cell
+    that can be similar."""
 
     def solve(cell, fp, name, sets):
         n, top = len(fp), np.arange(len(fp))
         parts = [np.frombuffer(x, np.uint64) for x in sets]
+        size = np.array([len(x) for x in parts])
 
         def root(i: int) -> int:
             while top[i] != i:
@@ -294,6 +300,24 @@ def _similar_cells(radius: int, similarity: float, rows: int = 20_000, most: int
                         both = len(np.intersect1d(x, y, assume_unique=True))
                         if both >= similarity * (len(x) + len(y) - both):
                             top[max(ri, rj)] = min(ri, rj)
+        for i, near in _prefix_mates(_open(cell, top), cell, parts, similarity):
+            while (top[top] != top).any():
+                top[:] = top[top]
+            near = near[top[near] != top[i]]
+            near = near[np.minimum(size[near], size[i]) >= similarity * np.maximum(size[near], size[i])]
+            for k in range(0, len(near), 256):
+                part = near[k : k + 256]
+                part = part[top[part] != top[i]]
+                if not len(part):
+                    continue
+                flat = np.concatenate([parts[j] for j in part])
+                at = np.minimum(np.searchsorted(parts[i], flat), size[i] - 1)
+                both = np.add.reduceat(parts[i][at] == flat, np.append(0, np.cumsum(size[part])[:-1]))
+                for j in part[both >= similarity * (size[part] + size[i] - both)].tolist():
+                    ri, rj = root(i), root(j)
+                    top[max(ri, rj)] = min(ri, rj)
+                while (top[top] != top).any():
+                    top[:] = top[top]
         links = [(name[i], name[r]) for i in range(n) if (r := root(i)) != i]
         cols = list(zip(*links, strict=True)) or [[], []]
         return pa.RecordBatch.from_arrays([pa.array(c, pa.int64()) for c in cols], names=["a", "b"])
@@ -313,6 +337,43 @@ def _similar_cells(radius: int, similarity: float, rows: int = 20_000, most: int
     return run
 
 
+def _open(cell: np.ndarray, top: np.ndarray) -> np.ndarray:
+    """Places in cells that are not yet connected."""
+    while (top[top] != top).any():
+        top[:] = top[top]
+    _, first, no = np.unique(cell, return_index=True, return_inverse=True)
+    apart = np.zeros(len(first), bool)
+    apart[no[top != top[first][no]]] = True
+    return np.flatnonzero(apart[no])
+
+
+def _prefix_mates(at: np.ndarray, cell: np.ndarray, parts: list, similarity: float):
+    """(i, places after i) of all pairs of a cell among the places at that can have that similarity: with the shingles of each set ordered from
+    the rarest in the cell on, such pairs share one of the first |x| - similarity * |x| + 1."""
+    size = np.array([len(parts[i]) for i in at], np.int64)
+    if not size.sum():
+        return
+    own = np.repeat(np.arange(len(at)), size)
+    _, token = np.unique(np.concatenate([parts[i] for i in at]), return_inverse=True)
+    cells, no = np.unique(cell[at], return_inverse=True)
+    _, token, count = np.unique(token * len(cells) + no[own], return_inverse=True, return_counts=True)
+    order = np.lexsort((token, count[token], own))
+    own, token = own[order], token[order]
+    place = np.arange(len(own)) - np.repeat(np.cumsum(size) - size, size)
+    first = place < (size - np.ceil(similarity * size - 1e-9) + 1)[own]
+    own, token = own[first], token[first]
+    post = np.argsort(token, kind="stable")  # the sets of each shingle, in order
+    lo = np.searchsorted(token[post], token)
+    hi = np.searchsorted(token[post], token, "right")
+    shared = hi - lo > 1
+    for i in np.unique(own[shared]).tolist():
+        a, b = np.searchsorted(own, [i, i + 1])
+        mates = np.unique(np.concatenate([own[post[x:y]] for x, y in zip(lo[a:b].tolist(), hi[a:b].tolist(), strict=True)]))
+        mates = mates[mates > i]
+        if len(mates):
+            yield int(at[i]), at[mates]
+
+
 def _columns(held: list) -> tuple:
     c, f, n, s = zip(*held, strict=True)
     return np.array(c, np.int64), np.array(f, np.int64), n, s
@@ -323,8 +384,9 @@ def similar_groups(docs: DataFrame, width: int = 5, similarity: float = 0.8, rad
 
     At this similarity fingerprints differ in ten bits or so, too many for pigeonhole cells; cells are named by bands of two
     minima of the shingle hashes instead (eight bands lose three pairs of ten thousand at 0.8, fewer above). Equal sets are
-    one; sets that share no cell are not fetched; in a cell the Gray index gives pairs within `radius` bits and their sets
-    are compared exactly, unless they are connected already.
+    one; sets that share no cell are not fetched; in a cell the Gray index first gives pairs within `radius` bits, whose sets
+    are compared exactly unless they are connected already, and then sets that are still apart are compared exactly where
+    one of their rarest shingles is the same, which holds for every similar pair. The radius decides only the order.
     """
     spark = docs.sparkSession
     src = docs.select(F.col("doc_id").cast("long").alias("doc_id"), F.col("text").cast("string").alias("text"))

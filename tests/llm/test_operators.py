@@ -4,6 +4,7 @@ import hashlib
 import re
 
 import numpy as np
+import pyarrow as pa
 import pytest
 from pyspark.sql import functions as F
 
@@ -110,6 +111,27 @@ def test_simhash(spark, odd, empty):
     assert kept.columns == odd.columns and {r.doc_id for r in kept.collect()} >= {3, 6}
 
 
+def test_similar_beyond_the_radius(spark):
+    """A repeated phrase moves a fingerprint of texts far, but not of sets; and no radius hides a similar pair."""
+    r = np.random.default_rng(8)
+    base = [f"w{x}" for x in r.integers(0, 10**9, 104)]
+    rows = [(0, " ".join(base)), (1, " ".join(base + ["p q r s t"] * 50)), (2, " ".join(base[:60] + ["other"] * 44))]
+    docs = spark.createDataFrame(rows, "doc_id long, text string")
+    sets = [simhash._set_of(t.encode(), 5, 42) for _, t in rows]
+    fp = simhash.fingerprint_of([t.encode() for _, t in rows], 5, 42)
+    assert len(np.intersect1d(sets[0], sets[1])) >= 0.8 * len(np.union1d(sets[0], sets[1])) and np.bitwise_count(fp[0] ^ fp[1]) > 20
+    assert [x.component_id for x in simhash.similar_groups(docs).orderBy("doc_id").collect()] == [0, 0, 2]
+    assert [x.component_id for x in simhash.similar_groups(docs, radius=0).orderBy("doc_id").collect()] == [0, 0, 2]
+    own = [np.unique(np.concatenate([r.choice(a, n, replace=False), r.integers(1 << 40, 1 << 60, m)])).astype(np.uint64) for a in r.integers(0, 1 << 40, (9, 60)) for n, m in zip(r.integers(45, 61, 25), r.integers(0, 10, 25), strict=True)]
+    cell = np.repeat(np.arange(3), 75)
+    cols = [pa.array(cell), pa.array(simhash.majority(own).view(np.int64)), pa.array(np.arange(225)), pa.array([x.tobytes() for x in own], pa.binary())]
+    got = simhash.forest(225, [(b.column(0).to_numpy(), b.column(1).to_numpy()) for b in simhash._similar_cells(0, 0.8)([pa.RecordBatch.from_arrays(cols, names=["cell", "fp", "name", "set"])])])
+    both = np.array([[len(np.intersect1d(x, y)) for y in own] for x in own])
+    size = np.array([len(x) for x in own])
+    i, j = np.nonzero((both >= 0.8 * (size[:, None] + size - both)) & (cell[:, None] == cell))
+    assert (got == simhash.forest(225, [(i, j)])).all() and 20 < len(np.unique(got)) < 220
+
+
 def test_packing(spark, odd, empty):
     import public_tokenizers
 
