@@ -247,12 +247,28 @@ def hashvec_documents(s, d):
     return codec.encode_sm(doc_vectors(s, d), 64).select("vec_id", F.round("tau", 5).alias("tau"), F.col("p")[0].alias("p0"), F.col("s")[0].alias("s0"))
 
 
+def near_codes(c: DataFrame, radius: int = 2) -> DataFrame:
+    """(a, b, d, kind) of codes (vec_id, p, s) of one word. 'copy': b has the code of a, the least id with that code.
+    'near': a < b are such least ids and their sign words differ in at most radius (2 at most) bits; d is the two-bit distance."""
+    if radius > 2:
+        raise ValueError("the cells are made for a radius of 2 at most")
+    own = c.groupBy("p", "s").agg(F.min("vec_id").alias("a"))
+    copies = c.join(own, ["p", "s"]).where("vec_id <> a").select("a", F.col("vec_id").alias("b"), F.lit(0).alias("d"), F.lit("copy").alias("kind"))
+    w = F.col("p")[0]
+    block = [F.shiftrightunsigned(w, 16 * k).bitwiseAND(F.lit(0xFFFF)) for k in range(4)]
+    # Two differing bits leave two of the four blocks whole.
+    cells = F.array(*[F.struct(F.lit(4 * i + j).alias("t"), F.shiftleft(block[i], 16).bitwiseOR(block[j]).alias("k")) for i in range(4) for j in range(i + 1, 4)])
+    dealt = own.select("a", "p", "s", F.explode(cells).alias("cell"))
+    x, y = (dealt.select("cell", F.col("a").alias(n), F.col("p").alias(f"{n}_p"), F.col("s").alias(f"{n}_s")) for n in "ab")
+    met = x.join(y, "cell").where("a < b").where(distance.hamming(F.col("a_p"), F.col("b_p"), 1) <= radius)
+    near = met.select("a", "b", distance.bq(F.col("a_p"), F.col("a_s"), F.col("b_p"), F.col("b_s"), 1).alias("d"), F.lit("near").alias("kind")).distinct()
+    return copies.unionByName(near)
+
+
 @add("near_dup_docs")
 def near_dup_docs(s, d):
-    """Documents whose codes are equal or nearly so: equal sign words meet by join, then the two-bit distance decides."""
-    c = codec.encode_sm(doc_vectors(s, d), 64)
-    a, b = (c.select(F.col("vec_id").alias(n), F.col("p").alias(f"{n}_p"), F.col("s").alias(f"{n}_s"), F.col("p")[0].alias("w")) for n in "ab")
-    return a.join(b, "w").where("a < b").select("a", "b", distance.bq(F.col("a_p"), F.col("a_s"), F.col("b_p"), F.col("b_s"), 1).alias("d"))
+    """Documents with equal codes as members of their least id, and pairs of such ids whose signs differ in two bits at most."""
+    return near_codes(codec.encode_sm(doc_vectors(s, d), 64).select("vec_id", "p", "s"))
 
 
 @add("benchmark_leak_nn")
