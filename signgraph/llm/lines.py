@@ -27,7 +27,8 @@ from pyspark.sql import functions as F
 from .bytescan import SPACE, mix, prefix_sums, runs, span_hash
 from .common import blocks, documents, release, settle, text_view
 
-BUCKETS = 1 << 18
+BUCKETS = 1 << 16  # of words that are not frequent
+SHARE = 1 << 18  # a frequent word is at least one in so many
 FIRST = -(1 << 63)
 #: Similarity as a fraction: 4 / 5.
 NUM, DEN = 4, 5
@@ -89,8 +90,8 @@ def _word_counts(batches, most: int = 1 << 21):
         h = np.sort(np.concatenate(held))
         at = np.flatnonzero(np.append(True, h[1:] != h[:-1]))
         n = np.diff(np.append(at, len(h)))
-        often = n * BUCKETS >= len(h)
-        total = np.bincount((h >> np.uint64(46)).astype(np.int64), minlength=BUCKETS)
+        often = n * SHARE >= len(h)
+        total = np.bincount((h >> np.uint64(48)).astype(np.int64), minlength=BUCKETS)
         k = np.flatnonzero(total)
         none = pa.nulls(int(often.sum()), pa.int32())
         yield pa.RecordBatch.from_arrays([none, pa.array(h[at[often]].view(np.int64)), pa.array(n[often])], names=["k", "h", "c"])
@@ -117,7 +118,7 @@ class Rarity:
     def __init__(self, words: np.ndarray, counts: np.ndarray, buckets: np.ndarray, block: int):
         order = np.argsort(words)
         self.words, counts = words[order], counts[order]
-        slot = (self.words >> np.uint64(46)).astype(np.int64)
+        slot = (self.words >> np.uint64(48)).astype(np.int64)
         # Counts of words are lower bounds, those of whole buckets exact, so what they leave bounds every other word.
         left = buckets - np.bincount(slot, weights=counts, minlength=BUCKETS).astype(np.int64)
         every = np.concatenate([left, np.where(buckets[slot] <= block, counts, np.maximum(counts, block + 1))])
@@ -127,7 +128,7 @@ class Rarity:
         self.common = int((every <= block).sum())
 
     def keys(self, h: np.ndarray) -> np.ndarray:
-        rank = self.bucket[(h >> np.uint64(46)).astype(np.int64)]
+        rank = self.bucket[(h >> np.uint64(48)).astype(np.int64)]
         if len(self.words):
             at = np.minimum(np.searchsorted(self.words, h), len(self.words) - 1)
             rank = np.where(self.words[at] == h, self.own[at], rank)
@@ -135,12 +136,12 @@ class Rarity:
 
 
 def rarity(docs: DataFrame, block: int) -> Rarity:
-    """Both tables that reach the driver have at most 2^18 rows, by arithmetic."""
+    """The tables that reach the driver have at most 2^16 and 2^18 rows, by arithmetic."""
     counts = settle(docs.select(F.col("text").cast("string")).mapInArrow(_word_counts, "k int, h long, c long").groupBy("k", "h").agg(F.sum("c").alias("c")), "words")
     rest = counts.where("k is not null").select("k", "c").toArrow()
     buckets = np.zeros(BUCKETS, np.int64)
     buckets[rest.column("k").to_numpy()] = rest.column("c").to_numpy()
-    frequent = counts.where(F.col("k").isNull() & (F.col("c") * BUCKETS >= int(buckets.sum()))).select("h", "c").toArrow()
+    frequent = counts.where(F.col("k").isNull() & (F.col("c") * SHARE >= int(buckets.sum()))).select("h", "c").toArrow()
     release(counts)
     return Rarity(frequent.column("h").to_numpy().view(np.uint64), frequent.column("c").to_numpy(), buckets, block)
 
@@ -451,11 +452,10 @@ def line_decisions(docs: DataFrame, block: int = 4096, volume: int = 1 << 20) ->
     rank = spark.sparkContext.broadcast(ranks)
     kind = "sid long, sid2 long, doc_id long, line int, whole long, n int, sketch long, sketch2 long, prefix array<long>"
     wide = settle(src.mapInArrow(_line_rows(rank), kind), "lines")
-    same = ["sid", "sid2", "n", "sketch", "sketch2"]
-    merged = wide.groupBy(*same).agg(F.min(F.struct("doc_id", "line", "whole")).alias("first"), F.first("prefix").alias("prefix"), F.count("*").alias("c"))
-    sets = settle(merged.select(*same, F.col("first.doc_id").alias("first"), F.col("first.line").alias("at"), "first.whole", "prefix", "c", F.monotonically_increasing_id().alias("id")), "sets")
-    lines = settle(wide.select(*same, "doc_id", "line"), "lines")
-    release(wide)
+    same, sizes = ["sid", "sid2"], ["n", "sketch", "sketch2"]
+    merged = wide.groupBy(*same).agg(*[F.max(c).alias(c) for c in sizes], F.min(F.struct("doc_id", "line", "whole")).alias("first"), F.first("prefix").alias("prefix"), F.count("*").alias("c"))
+    sets = settle(merged.select(*same, *sizes, F.col("first.doc_id").alias("first"), F.col("first.line").alias("at"), "first.whole", "prefix", "c", F.monotonically_increasing_id().alias("id")), "sets")
+    lines = wide.select(*same, "doc_id", "line")
     post = sets.select("id", F.col("n").alias("size"), "sketch", "sketch2", F.col("prefix")[0].alias("lead"), F.posexplode("prefix").alias("pos", "w"))
     post = post.select("w", (F.shiftleft(F.col("size").cast("long"), 32) + F.shiftleft(F.col("pos").cast("long"), 2)).alias("packed"), "sketch", "sketch2", F.when(F.col("pos") > 0, F.col("lead")).otherwise(0).alias("lead"), "id")
     marked = settle(_celled(post, block, ranks.common).mapInArrow(_mark, _POST), "marked")
@@ -482,7 +482,7 @@ def line_decisions(docs: DataFrame, block: int = 4096, volume: int = 1 << 20) ->
     gone = F.coalesce(F.col("late"), F.lit(False)) | (F.col("first").isNotNull() & ((F.col("doc_id") != F.col("first")) | (F.col("line") != F.col("at"))))
     by = judged.groupBy("doc_id").agg(F.count("*").alias("n_lines"), F.sum(gone.cast("long")).alias("n_removed"), F.array_distinct(F.sort_array(F.collect_list(F.when(gone, F.col("line"))))).alias("removed"), F.coalesce(F.sum("links"), F.lit(0)).alias("n_links"))
     out = settle(by, "decisions")
-    for t in (sets, lines, marked, names, found):
+    for t in (wide, sets, marked, names, found):
         release(t)
     return out
 
