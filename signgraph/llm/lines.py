@@ -30,6 +30,7 @@ from .common import blocks, documents, release, settle, text_view
 BUCKETS = 1 << 16  # of words that are not frequent
 SHARE = 1 << 18  # a frequent word is at least one in so many
 FIRST = -(1 << 63)
+STEP = 1 << 17  # bytes whose arrays stay in a core's cache
 #: Similarity as a fraction: 4 / 5.
 NUM, DEN = 4, 5
 _LOW = np.uint64((1 << 32) - 1)
@@ -99,7 +100,7 @@ def _word_counts(batches, most: int = 1 << 21):
 
     for b in batches:
         data, offs = text_view(b.column(0))
-        for lo, hi in blocks(offs):
+        for lo, hi in blocks(offs, STEP):
             text = data[offs[lo] : offs[hi]]
             s, e = runs(~SPACE[text], offs[lo : hi + 1] - offs[lo])
             held.append(span_hash(prefix_sums(text), s, e))
@@ -211,7 +212,7 @@ def _line_rows(rank_b):
         for b in batches:
             data, offs = text_view(b.column(1))
             ids = b.column(0).to_numpy(zero_copy_only=False)
-            for lo, hi in blocks(offs):
+            for lo, hi in blocks(offs, STEP):
                 s = Sets(data[offs[lo] : offs[hi]], offs[lo : hi + 1] - offs[lo], rank)
                 pre = prefix_size(s.n)
                 edge = np.concatenate([[0], np.cumsum(pre)])
@@ -230,7 +231,7 @@ def _set_texts(rank_b, bits_b):
         rank, bits = rank_b.value, bits_b.value
         for b in batches:
             data, offs = text_view(b.column(0))
-            for lo, hi in blocks(offs):
+            for lo, hi in blocks(offs, STEP):
                 part = data[offs[lo] : offs[hi]]
                 at = _lines(part, offs[lo : hi + 1] - offs[lo])
                 end, whole = _line_hashes(part, at, prefix_sums(part))
@@ -272,14 +273,17 @@ def _unpack(packed: np.ndarray) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
     return packed >> 32, packed >> 2 & 0x3FFFFFFF, (packed & 3) - 1
 
 
-def _filtered(cell, side, n, pos, lead, low, high):
-    """Pairs that may match and may have their first common word in this cell: not those behind an equal first word."""
+def _filtered(cell, side, n, pos, lead, lead2, low, high):
+    """Pairs that may match and may have their first common word in this cell: not those with an equal word before
+    it among their first two."""
     for i, j in _windows(cell, side, n):
         both = n[i] + n[j]
         need = -(-NUM * both // (NUM + DEN))
         most = np.minimum(pos[i], pos[j]) + np.minimum(n[i] - pos[i], n[j] - pos[j])
         ok = (most >= need) & (np.bitwise_count(low[i] ^ low[j]).astype(np.int64) + np.bitwise_count(high[i] ^ high[j]) <= both - 2 * need)
-        ok &= (pos[i] == 0) | (pos[j] == 0) | (lead[i] != lead[j])
+        i, j = i[ok], j[ok]
+        a, b = pos[i], pos[j]
+        ok = (a == 0) | (b == 0) | ((lead[i] != lead[j]) & ((a < 2) | (lead2[i] != lead[j])) & ((b < 2) | (lead[i] != lead2[j])) & ((a < 2) | (b < 2) | (lead2[i] != lead2[j])))
         if ok.any():
             yield i[ok], j[ok]
 
@@ -310,17 +314,17 @@ def _arrays(t: pa.Table, n: int) -> list[np.ndarray]:
     return [t.column(i).to_numpy() for i in range(n)]
 
 
-_POST = "cell long, packed long, sketch long, sketch2 long, lead long, id long"
+_POST = "cell long, packed long, sketch long, sketch2 long, lead long, lead2 long, id long"
 
 
 def _mark(batches):
     def solve(t):
-        cols = _arrays(t, 6)
+        cols = _arrays(t, 7)
         order = np.lexsort((cols[1], cols[0]))
-        cell, packed, low, high, lead, _ = cols = [v[order] for v in cols]
+        cell, packed, low, high, lead, lead2, _ = cols = [v[order] for v in cols]
         n, pos, side = _unpack(packed)
         hit = np.zeros(len(n), bool)
-        for i, j in _filtered(cell, side, n, pos, lead, low.view(np.uint64), high.view(np.uint64)):
+        for i, j in _filtered(cell, side, n, pos, lead, lead2, low.view(np.uint64), high.view(np.uint64)):
             hit[i] = hit[j] = True
         yield pa.RecordBatch.from_arrays([pa.array(v[hit]) for v in cols], names=[x.split()[0] for x in _POST.split(", ")])
 
@@ -334,7 +338,7 @@ class Words:
         data, offs = text_view(texts)
         s, e = runs(data != 32, offs)
         h = np.empty(len(s), np.uint64)
-        for lo, hi in blocks(offs):
+        for lo, hi in blocks(offs, STEP):
             a, b = np.searchsorted(s, offs[[lo, hi]])
             h[a:b] = span_hash(prefix_sums(data[offs[lo] : offs[hi]]), s[a:b] - offs[lo], e[a:b] - offs[lo])
         self.base = np.searchsorted(s, offs[:-1])
@@ -395,14 +399,14 @@ def _matches(w: Words, own, pos, n, i, j, limit: int = 1 << 19):
 
 def _verify(batches):
     def solve(t):
-        cols = _arrays(t, 8)
+        cols = _arrays(t, 9)
         order = np.lexsort((cols[1], cols[0]))
-        cell, packed, low, high, lead, sid, doc, line = (v[order] for v in cols)
+        cell, packed, low, high, lead, lead2, sid, doc, line = (v[order] for v in cols)
         n, pos, side = _unpack(packed)
         _, first, own = np.unique(sid, return_index=True, return_inverse=True)
-        words = Words(t.column(8).combine_chunks().take(pa.array(order[first])))
+        words = Words(t.column(9).combine_chunks().take(pa.array(order[first])))
         links, late = np.zeros(len(n), np.int64), np.zeros(len(n), bool)
-        for i, j in _filtered(cell, side, n, pos, lead, low.view(np.uint64), high.view(np.uint64)):
+        for i, j in _filtered(cell, side, n, pos, lead, lead2, low.view(np.uint64), high.view(np.uint64)):
             for a, b in _matches(words, own, pos, n, i, j):
                 links += np.bincount(a, minlength=len(n)) + np.bincount(b, minlength=len(n))
                 after = (doc[a] > doc[b]) | (doc[a] == doc[b]) & (line[a] > line[b])
@@ -413,7 +417,7 @@ def _verify(batches):
     yield from _whole_cells(batches, solve)
 
 
-_COLS = ["packed", "sketch", "sketch2", "lead", "id"]
+_COLS = ["packed", "sketch", "sketch2", "lead", "lead2", "id"]
 
 
 def _packed(side):
@@ -456,8 +460,8 @@ def line_decisions(docs: DataFrame, block: int = 4096, volume: int = 1 << 20) ->
     merged = wide.groupBy(*same).agg(*[F.max(c).alias(c) for c in sizes], F.min(F.struct("doc_id", "line", "whole")).alias("first"), F.first("prefix").alias("prefix"), F.count("*").alias("c"))
     sets = settle(merged.select(*same, *sizes, F.col("first.doc_id").alias("first"), F.col("first.line").alias("at"), "first.whole", "prefix", "c", F.monotonically_increasing_id().alias("id")), "sets")
     lines = wide.select(*same, "doc_id", "line")
-    post = sets.select("id", F.col("n").alias("size"), "sketch", "sketch2", F.col("prefix")[0].alias("lead"), F.posexplode("prefix").alias("pos", "w"))
-    post = post.select("w", (F.shiftleft(F.col("size").cast("long"), 32) + F.shiftleft(F.col("pos").cast("long"), 2)).alias("packed"), "sketch", "sketch2", F.when(F.col("pos") > 0, F.col("lead")).otherwise(0).alias("lead"), "id")
+    post = sets.select("id", F.col("n").alias("size"), "sketch", "sketch2", F.col("prefix")[0].alias("lead"), F.get("prefix", F.lit(1)).alias("lead2"), F.posexplode("prefix").alias("pos", "w"))
+    post = post.select("w", (F.shiftleft(F.col("size").cast("long"), 32) + F.shiftleft(F.col("pos").cast("long"), 2)).alias("packed"), "sketch", "sketch2", F.when(F.col("pos") > 0, F.col("lead")).otherwise(0).alias("lead"), F.when(F.col("pos") > 1, F.col("lead2")).otherwise(0).alias("lead2"), "id")
     marked = settle(_celled(post, block, ranks.common).mapInArrow(_mark, _POST), "marked")
     names = settle(marked.select("id").distinct().join(sets.select("id", "sid", "sid2", "first", "at", "whole"), "id"), "names")
     # A bitmap of 2^24 bits names the lines of marked sets to the scan; when it is crowded it only lets more lines through.
