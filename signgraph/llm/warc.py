@@ -6,8 +6,8 @@ a manifest table records what the successful attempts wrote, then a second pass
 leaves only a temporary file that no manifest names, and both passes can be repeated. Payloads of at least
 `least` bytes that equal an earlier page's become revisit records.
 
-Nulls: a null payload is empty, a null url or page id is left out of the headers. Repeated rows are repeated records (all
-rows of the smallest page id are responses). An empty table gives an empty archive. Extra columns are ignored.
+Nulls: a null payload is empty, a null url or page id is left out of the headers. Repeated rows are repeated records: of equal
+payloads, all rows of the smallest page id are responses; an id may stand on several payloads, each judged by itself. An empty table gives an empty archive. Extra columns are ignored.
 """
 from __future__ import annotations
 
@@ -100,7 +100,7 @@ def _writer(folder: str, roll: int):
         store, base = _fs(folder)
         store.create_dir(base, recursive=True)
         out, made, n, size, shard, digest = None, [], 0, 0, 0, None
-        held: tuple[int | None, int | None] = (None, None)
+        held: tuple = (None, None, None)
 
         def close():
             nonlocal out, shard
@@ -110,13 +110,13 @@ def _writer(folder: str, roll: int):
                 out, shard = None, shard + 1
 
         for b in batches:
-            ids, urls, pays, firsts, marks = (c for c in b.columns)
+            ids, digests, urls, pays, firsts, marks = (c for c in b.columns)
             for k in range(len(ids)):
-                i = ids[k].as_py()
-                if marks[k].as_py() == 0:
-                    held = (i, firsts[k].as_py())
+                i, d = ids[k].as_py(), digests[k].as_py()
+                if marks[k].as_py() == 0:  # the payload d of page i is a revisit; its rows come next
+                    held = (i, d, firsts[k].as_py())
                     continue
-                first = firsts[k].as_py() if i is None else held[1] if held[0] == i else None
+                first = firsts[k].as_py() if i is None else held[2] if held[:2] == (i, d) else None
                 raw = pack(record(i, urls[k].as_py(), pays[k].as_py() or b"", first))
                 if out is None:
                     temp = f".{part:06d}-{shard:05d}-{attempt}.tmp"
@@ -154,20 +154,22 @@ def write_archive(pages: DataFrame, folder: str, id_col: str = "page_id", url_co
     """Write pages as WARC shards below folder; returns the manifest, which lies in folder/_manifest.
 
     Which page is the response is found on digests alone (partial minima, then a join that may split hot digests); the
-    revisits meet their pages in the one range exchange that also sorts the records, so payloads are moved once.
+    revisits meet their pages, by id and digest, in the one range exchange that also sorts the records, so payloads are moved once.
     """
     spark = pages.sparkSession
-    p = pages.select(F.col(id_col).cast("long").alias("i"), F.col(url_col).cast("string").alias("u"), F.coalesce(F.col(payload_col).cast("binary"), F.lit(b"")).alias("p"))
-    keys = p.select("i", F.sha2("p", 256).alias("d"), F.octet_length("p").alias("n")).where(F.col("n") >= least).select("i", "d")
+    p = pages.select(F.col(id_col).cast("long").alias("i"), F.col(url_col).cast("string").alias("u"), F.coalesce(F.col(payload_col).cast("binary"), F.lit(b"")).alias("p")).withColumn("d", F.unhex(F.sha2("p", 256)))
+    keys = p.where(F.octet_length("p") >= least).select("i", "d")
     first = keys.groupBy("d").agg(F.min("i").alias("f"), F.count("*").alias("c")).where("c > 1").select("d", "f")
-    again = keys.join(first, "d").where("i is not null and i <> f").select("i", "f").distinct()
-    nulls = p.where("i is null").select("i", "u", "p", F.sha2("p", 256).alias("d"), F.octet_length("p").alias("n")).join(first, "d", "left")
+    again = keys.join(first, "d").where("i is not null and i <> f").select("i", "d", "f").distinct()
+    nulls = p.where("i is null").join(first, "d", "left")
+    cols = ["i", "d", "u", "p", "f", "m"]
     rows = (
-        p.where("i is not null").select("i", "u", "p", F.lit(None).cast("long").alias("f"), F.lit(1).alias("m"))
-        .unionByName(nulls.select("i", "u", "p", F.when(F.col("n") >= least, F.col("f")).alias("f"), F.lit(1).alias("m")))
-        .unionByName(again.select("i", F.lit(None).cast("string").alias("u"), F.lit(None).cast("binary").alias("p"), "f", F.lit(0).alias("m")))
+        p.where("i is not null").select("i", "d", "u", "p", F.lit(None).cast("long").alias("f"), F.lit(1).alias("m"))
+        .unionByName(nulls.select("i", "d", "u", "p", F.when(F.octet_length("p") >= least, F.col("f")).alias("f"), F.lit(1).alias("m")))
+        .unionByName(again.select("i", "d", F.lit(None).cast("string").alias("u"), F.lit(None).cast("binary").alias("p"), "f", F.lit(0).alias("m")))
     )
-    made = rows.repartitionByRange("i").sortWithinPartitions("i", "m", "u", F.sha2("p", 256)).mapInArrow(_writer(folder, roll), _MANIFEST)
+    # Ranges of (page, digest): many rows without an id, or with one id, still go to many tasks.
+    made = rows.select(*cols).repartitionByRange("i", "d").sortWithinPartitions("i", "d", "m", "u").mapInArrow(_writer(folder, roll), _MANIFEST)
     made.write.mode("overwrite").parquet(f"{folder}/_pending")
     pending = spark.read.schema(_MANIFEST).parquet(f"{folder}/_pending")
     done = pending.repartition("name").mapInArrow(_committer(folder), "name string, records long")

@@ -190,6 +190,19 @@ def test_warc(spark, tmp_path):
     assert warc.page_of(warc._urn(-5, "ab" * 32)) == -5 and warc.page_of(warc._urn(1 << 60, "ab" * 32)) == 1 << 60
 
 
+def test_warc_repeated_ids(spark, empty, tmp_path):
+    """An id on several payloads: each payload is judged by itself and none is lost."""
+    a, b = "A" * 300, "B" * 300
+    rows = [(1, a), (5, a), (5, b), (None, b), (None, b), (5, None), (7, "x")]
+    pages = spark.createDataFrame([(i, "u", h) for i, h in rows], "page_id long, url string, html string")
+    warc.write_archive(pages, f"file://{tmp_path}/w")
+    got = warc.read_archive(spark, f"file://{tmp_path}/w", with_body=True).collect()
+    kinds = collections.Counter((r.page_id, r.payload_bytes, r.record_type, r.refers_to, bytes(r.body)[:1]) for r in got)
+    assert kinds == {(1, 300, "response", None, b"A"): 1, (5, 300, "revisit", 1, b""): 1, (5, 300, "response", None, b"B"): 1, (None, 300, "revisit", 5, b""): 2, (5, 0, "response", None, b""): 1, (7, 1, "response", None, b"x"): 1}
+    warc.write_archive(pages.limit(0), f"file://{tmp_path}/e")
+    assert warc.read_archive(spark, f"file://{tmp_path}/e").count() == 0
+
+
 def test_media(spark, odd, empty):
     for n in (*range(0, 400, 7), 31_991, 32_000, 64_001):
         p = bytes(range(256)) * (n // 256 + 1)
