@@ -17,26 +17,29 @@ def strong_rate(codes: DataFrame, dim: int, *group: str) -> DataFrame:
     return out.withColumn("nu2", F.pow(1 + 3 * F.col("p_s"), 2))
 
 
-def pairs(df: DataFrame, id_col: str = "vec_id", below: int | None = None) -> DataFrame:
-    """All a < b of a small frame, columns prefixed a_ and b_. Quadratic by its nature: for samples and fixtures."""
-    d = df if below is None else df.where(F.col(id_col) < below)
-    a = d.select(*[F.col(c).alias(f"a_{c}") for c in d.columns])
-    b = d.select(*[F.col(c).alias(f"b_{c}") for c in d.columns])
-    return a.join(F.broadcast(b), F.col(f"a_{id_col}") < F.col(f"b_{id_col}"))
+#: One row in so many is a query of the pair statistics; each meets all rows.
+EVERY = 50
 
 
-def angles(df: DataFrame, below: int | None = None) -> DataFrame:
+def pairs(df: DataFrame, id_col: str = "vec_id", every: int = EVERY) -> DataFrame:
+    """The stated query set (ids divisible by `every`) with all other rows; columns prefixed a_ (query) and b_."""
+    a = df.where(F.col(id_col) % every == 0).select(*[F.col(c).alias(f"a_{c}") for c in df.columns])
+    b = df.select(*[F.col(c).alias(f"b_{c}") for c in df.columns])
+    return exact.paired(a, b, f"a_{id_col}", f"b_{id_col}").where(F.col(f"a_{id_col}") != F.col(f"b_{id_col}"))
+
+
+def angles(df: DataFrame, every: int = EVERY) -> DataFrame:
     """(a_vec_id, b_vec_id, deg)."""
     c = distance.cosine(F.col("a_embedding"), F.col("b_embedding"))
-    return pairs(df.select("vec_id", "embedding"), below=below).select("a_vec_id", "b_vec_id", F.degrees(F.acos(F.greatest(F.lit(-1.0), F.least(F.lit(1.0), c)))).alias("deg"))
+    return pairs(df.select("vec_id", "embedding"), every=every).select("a_vec_id", "b_vec_id", F.degrees(F.acos(F.greatest(F.lit(-1.0), F.least(F.lit(1.0), c)))).alias("deg"))
 
 
-def angle_stats(df: DataFrame, below: int | None = None) -> DataFrame:
-    return angles(df, below).agg(F.count("*").alias("pairs"), F.avg("deg").alias("mean"), F.stddev_pop("deg").alias("sd"))
+def angle_stats(df: DataFrame, every: int = EVERY) -> DataFrame:
+    return angles(df, every).agg(F.count("*").alias("pairs"), F.avg("deg").alias("mean"), F.stddev_pop("deg").alias("sd"))
 
 
-def angle_hist(df: DataFrame, width: float = 5.0, below: int | None = None) -> DataFrame:
-    return angles(df, below).groupBy(F.floor(F.col("deg") / width).cast("int").alias("bucket")).agg(F.count("*").alias("n"))
+def angle_hist(df: DataFrame, width: float = 5.0, every: int = EVERY) -> DataFrame:
+    return angles(df, every).groupBy(F.floor(F.col("deg") / width).cast("int").alias("bucket")).agg(F.count("*").alias("n"))
 
 
 def coord_stats(df: DataFrame, col: str = "embedding") -> DataFrame:
@@ -51,30 +54,29 @@ def normal_share(df: DataFrame, col: str = "embedding", limit: float = 5.991) ->
     return e.agg(F.avg((F.col("n") / 6 * (F.col("g") ** 2 + F.col("k") ** 2 / 4) <= limit).cast("double")).alias("share"))
 
 
-def effective_rank(df: DataFrame, col: str = "embedding") -> float:
-    """Participation ratio of the eigenvalues of the Gram matrix; one D x D partial sum a task."""
-    import numpy as np
+def effective_rank(df: DataFrame, col: str = "embedding") -> DataFrame:
+    """(rank): participation ratio of the Gram matrix, (sum of its eigenvalues)^2 over the sum of their squares, that is trace^2
+    over the sum of squared entries; one D x D partial sum a task."""
     import pyarrow as pa
 
     def run(batches):
         total = None
         for b in batches:
-            x = exact.matrix(b.column(0))
-            total = x.T @ x if total is None else total + x.T @ x
+            if b.num_rows:
+                x = exact.matrix(b.column(0))
+                total = x.T @ x if total is None else total + x.T @ x
         if total is not None:
-            yield pa.RecordBatch.from_arrays([pa.array([total.ravel().tolist()], pa.list_(pa.float64()))], names=["g"])
+            d = len(total)
+            yield pa.RecordBatch.from_arrays([pa.array([k // d for k in range(d * d)], pa.int32()), pa.array([k % d for k in range(d * d)], pa.int32()), pa.array(total.ravel())], names=["i", "j", "v"])
 
-    rows = df.select(F.col(col).cast("array<double>")).mapInArrow(run, "g array<double>").select(F.posexplode("g").alias("i", "v")).groupBy("i").agg(F.sum("v").alias("v")).orderBy("i").collect()
-    g = np.array([r["v"] for r in rows]).reshape(int(math.isqrt(len(rows))), -1)
-    w = np.linalg.eigvalsh(g)
-    return float(w.sum() ** 2 / (w * w).sum())
+    g = df.select(F.col(col).cast("array<double>")).mapInArrow(run, "i int, j int, v double").groupBy("i", "j").agg(F.sum("v").alias("v"))
+    return g.agg((F.pow(F.sum(F.when(F.col("i") == F.col("j"), F.col("v")).otherwise(0.0)), 2) / F.sum(F.col("v") * F.col("v"))).alias("rank"))
 
 
-def triplets(codes: DataFrame, vectors: DataFrame, below: int, near: int = 10, far: int = 50) -> DataFrame:
-    """(q, v, w): v among the near nearest of q, w among those up to far, over ids below a bound."""
-    small = vectors.where(F.col("vec_id") < below).select("vec_id", "embedding")
-    both = small.select(F.col("vec_id").alias("q"), F.col("embedding").alias("qe")).join(F.broadcast(small), F.col("q") != F.col("vec_id"))
-    ranked = exact.top(both.select("q", "vec_id", distance.cosine(F.col("qe"), F.col("embedding")).alias("sim")), far, "q", F.col("sim").desc(), F.col("vec_id"))
+def triplets(vectors: DataFrame, near: int = 10, far: int = 50, every: int = EVERY) -> DataFrame:
+    """(q, v, w): q a query, v among its `near` nearest of all rows, w among those behind them up to `far`."""
+    c = pairs(vectors.select("vec_id", "embedding"), every=every).select(F.col("a_vec_id").alias("q"), F.col("b_vec_id").alias("vec_id"), distance.cosine(F.col("a_embedding"), F.col("b_embedding")).alias("sim"))
+    ranked = exact.top(c, far, "q", F.col("sim").desc(), F.col("vec_id"))
     a = ranked.where(F.col("rank") <= near).select("q", F.col("vec_id").alias("v"))
     b = ranked.where(F.col("rank") > near).select("q", F.col("vec_id").alias("w"))
     return a.join(b, "q")
@@ -101,12 +103,12 @@ def misrank_bound(codes: DataFrame, trip: DataFrame, dim: int, span: float = 8.0
     return z.agg(F.sum("m").alias("mu"), F.sum("var").alias("v")).withColumn("bound", F.exp(-(F.col("mu") ** 2) / (2 * F.col("v") + F.lit(2.0 / 3.0) * span * F.col("mu"))))
 
 
-def angle_concentration(codes: DataFrame, vectors: DataFrame, dim: int, eps: list[float], below: int) -> DataFrame:
+def angle_concentration(codes: DataFrame, vectors: DataFrame, dim: int, eps: list[float], every: int = EVERY) -> DataFrame:
     """(eps, share, bound): pairs whose share of differing signs is further than eps from angle / pi."""
     d = codes.select("vec_id", "p").join(vectors.select("vec_id", "embedding"), "vec_id")
     h = distance.hamming(F.col("a_p"), F.col("b_p"), codec.words_of(dim)) / F.lit(float(dim))
     t = F.acos(F.greatest(F.lit(-1.0), F.least(F.lit(1.0), distance.cosine(F.col("a_embedding"), F.col("b_embedding"))))) / math.pi
-    dev = pairs(d, below=below).select(F.abs(h - t).alias("dev"))
+    dev = pairs(d, every=every).select(F.abs(h - t).alias("dev"))
     e = dev.withColumn("eps", F.explode(F.array(*[F.lit(x) for x in eps])))
     bound = F.least(F.lit(1.0), 2 * F.exp(-2.0 * dim * F.col("eps") * F.col("eps")))
     return e.groupBy("eps").agg(F.avg((F.col("dev") > F.col("eps")).cast("double")).alias("share")).withColumn("bound", bound)

@@ -1,47 +1,90 @@
-"""Layered small-world graphs: levels drawn from the id, a graph for each level, a descent that ends on the lowest."""
+"""Layered small-world graphs: levels drawn from the id, a graph for each level, a descent that ends on the lowest.
+
+Built once into a table (a row a node, its lists of all its levels), one task a shard; searched from that table.
+"""
 from __future__ import annotations
 
+from dataclasses import dataclass
+
 import numpy as np
 import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from .. import kernels
-from ..index import _scatter
+from ..index import _matrix, _scatter
 from ..operators import exact
 
+_ROWS = "shard int, place int, node long, level int, lists array<array<int>>, v array<double>"
+#: alpha in hundredths and refill of each variant: mutually distant neighbours; the nearest; distant ones, then the nearest of the rest.
+VARIANTS = {"diverse": (100, False), "nearest": (10**9, False), "refill": (100, True)}
+
 
 def levels(vectors: DataFrame, m: int, seed: int = 42) -> DataFrame:
-    """(vec_id, level): floor(-ln U / ln m), U from the hash of the id."""
-    u = (F.pmod(F.xxhash64(F.col("vec_id"), F.lit(seed)), F.lit(1 << 30)) + 1) / float(1 << 30)
+    """(vec_id, level): floor(-ln U / ln m), U from eight hex digits of the MD5 of seed and id."""
+    u = (F.conv(F.substring(F.md5(F.concat(F.lit(f"{seed}:"), F.col("vec_id").cast("string"))), 1, 8), 16, 10).cast("long") + 1) / float(1 << 32)
     return vectors.select("vec_id", F.floor(-F.log(u) / np.log(m)).cast("int").alias("level"))
 
 
-def search(queries: DataFrame, base: DataFrame, m: int = 16, ef_c: int = 64, ef: int = 64, k: int = 10, heuristic: str = "diverse", seed: int = 42) -> DataFrame:
-    """(qid, rank, vec_id, sim) on one shard. heuristic: 'diverse' keeps mutually distant neighbours, 'nearest' the nearest,
-    'refill' is 'diverse' with more slack."""
-    alpha = {"diverse": 100, "nearest": 10**9, "refill": 130}[heuristic]
-    q = queries.select(F.lit(0).alias("g"), F.col("vec_id").cast("long").alias("qid"), F.col("embedding").cast("array<double>").alias("v"))
-    b = base.join(levels(base, m, seed), "vec_id").select(F.lit(0).alias("g"), F.col("vec_id").cast("long"), "level", F.col("embedding").cast("array<double>").alias("v"))
-
-    def run(qt: pa.Table, bt: pa.Table) -> pa.Table:
-        names, kinds = ["qid", "vec_id", "d"], [pa.int64(), pa.int64(), pa.int64()]
-        if not qt.num_rows or not bt.num_rows:
-            return pa.table([pa.array([], t) for t in kinds], names=names)
-        ids, lev = bt.column("vec_id").to_numpy(), bt.column("level").to_numpy()
-        o = np.lexsort((ids, _scatter(ids, seed), -lev))
-        ids, lev = ids[o], lev[o]
-        mt = kernels.Metric.of("float", exact.matrix(bt.column("v").combine_chunks())[o])
-        mq = kernels.Metric.of("float", exact.matrix(qt.column("v").combine_chunks()))
-        entry = np.zeros((mq.n, 1), np.int64)
-        for level in range(int(lev.max()), -1, -1):
-            n = int((lev >= level).sum())
-            part = mt.take(np.arange(n))
-            nbrs, _ = kernels.link(part, m if level == 0 else max(2, m // 2), ef_c, alpha)
-            got, d, _ = kernels.beam(part, nbrs, mq, entry, min(n, ef if level == 0 else 1))
-            entry = np.maximum(got[:, :1], 0)
-        r, c = np.nonzero(got >= 0)
-        return pa.table([pa.array(qt.column("qid").to_numpy()[r]), pa.array(ids[got[r, c]]), pa.array(d[r, c])], names=names)
-
-    cands = q.groupBy("g").cogroup(b.groupBy("g")).applyInArrow(run, "qid long, vec_id long, d long")
-    return exact.rerank(cands, base, queries, k)
+@dataclass(frozen=True)
+class Layered:
+    rows: DataFrame
+    vectors: DataFrame
+    shards: int
+
+    @staticmethod
+    def build(base: DataFrame, m: int = 16, ef_c: int = 64, heuristic: str = "diverse", seed: int = 42, shards: int = 1) -> Layered:
+        alpha, refill = VARIANTS[heuristic]
+        b = base.select(F.col("vec_id").cast("long").alias("vec_id"), F.col("embedding").cast("array<double>").alias("v"))
+        b = b.join(levels(b, m, seed), "vec_id").withColumn("shard", F.pmod(F.xxhash64("vec_id", F.lit(seed)), F.lit(shards)).cast("int"))
+
+        def run(t: pa.Table) -> pa.Table:
+            ids, lev = t.column("vec_id").to_numpy(), t.column("level").to_numpy()
+            o = np.lexsort((ids, _scatter(ids, seed), -lev))  # nodes of a level are a prefix
+            ids, lev, x = ids[o], lev[o], _matrix(t, "v")[o]
+            base = kernels.Metric.of("float", x)
+            lists: list[list[list[int]]] = [[] for _ in ids]
+            for level in range(int(lev.max()) + 1):
+                n = int((lev >= level).sum())
+                nbrs, _ = kernels.link(base.take(np.arange(n)), m if level == 0 else max(2, m // 2), ef_c, alpha, refill=refill)
+                for i in range(n):
+                    lists[i].append(nbrs[i][nbrs[i] >= 0].tolist())
+            flat = pa.ListArray.from_arrays(pa.array(np.arange(len(ids) + 1, dtype=np.int32) * x.shape[1]), pa.array(x.ravel()))
+            return pa.table([pa.array(np.full(len(ids), t.column("shard")[0].as_py(), np.int32)), pa.array(np.arange(len(ids), dtype=np.int32)), pa.array(ids), pa.array(lev.astype(np.int32)), pa.array(lists, pa.list_(pa.list_(pa.int32()))), flat], names=[c.split()[0] for c in _ROWS.split(", ")])
+
+        return Layered(b.select("shard", "vec_id", "level", "v").groupBy("shard").applyInArrow(run, _ROWS).persist(), base, shards)
+
+    def candidates(self, queries: DataFrame, ef: int = 64) -> DataFrame:
+        """(qid, vec_id, d, evals, expanded, touched)."""
+        q = queries.select(F.explode(F.sequence(F.lit(0), F.lit(self.shards - 1))).alias("shard"), F.col("vec_id").cast("long").alias("qid"), F.col("embedding").cast("array<double>").alias("v"))
+        names = ["qid", "vec_id", "d", "evals", "expanded", "touched"]
+
+        def run(qt: pa.Table, t: pa.Table) -> pa.Table:
+            if not qt.num_rows or not t.num_rows:
+                return pa.table([pa.array([], pa.int64()) for _ in names], names=names)
+            t = t.sort_by("place")
+            ids, lev, lists = t.column("node").to_numpy(), t.column("level").to_numpy(), t.column("lists").to_pylist()
+            base, mine = kernels.Metric.of("float", _matrix(t, "v")), kernels.Metric.of("float", _matrix(qt, "v"))
+            work = np.zeros((mine.n, 2), np.int64)
+            entry = np.zeros((mine.n, 1), np.int64)
+            for level in range(int(lev.max()), -1, -1):
+                n = int((lev >= level).sum())
+                nbrs = np.full((n, max(1, max(len(lists[i][level]) for i in range(n)))), -1, np.int64)
+                for i in range(n):
+                    nbrs[i, : len(lists[i][level])] = lists[i][level]
+                got, d, w = kernels.beam(base.take(np.arange(n)), nbrs, mine, entry, min(n, ef if level == 0 else 1))
+                entry = np.maximum(got[:, :1], 0)
+                work += w[:, :2]
+            r, c = np.nonzero(got >= 0)
+            return pa.table([pa.array(qt.column("qid").to_numpy()[r]), pa.array(ids[got[r, c]]), pa.array(d[r, c]), pa.array(work[r, 0]), pa.array(work[r, 1]), pa.array(np.full(len(r), len(ids)))], names=names)
+
+        got = q.groupBy("shard").cogroup(self.rows.groupBy("shard")).applyInArrow(run, ", ".join(f"{n} long" for n in names))
+        return exact.top(got, ef, "qid", F.col("d"), F.col("vec_id")).drop("rank") if self.shards > 1 else got
+
+    def search(self, queries: DataFrame, ef: int = 64, k: int = 10) -> DataFrame:
+        """(qid, rank, vec_id, sim)."""
+        return exact.rerank(self.candidates(queries, ef), self.vectors, queries, k)
+
+
+def search(queries: DataFrame, base: DataFrame, m: int = 16, ef_c: int = 64, ef: int = 64, k: int = 10, heuristic: str = "diverse", seed: int = 42, shards: int = 1) -> DataFrame:
+    return Layered.build(base, m, ef_c, heuristic, seed, shards).search(queries, ef, k)

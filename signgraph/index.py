@@ -1,7 +1,12 @@
-"""The sharded graph index: codes, graph and vectors as three tables, so that a search reads floats only to rerank."""
+"""The sharded graph index: one hot table (codes and adjacency) that stage 1 reads, one cold table (vectors) for reranking.
+
+hot: shard, place, node, p, s (planes), nbrs (places within the shard), nd (distances), code (bytes of another code, or null).
+A search on codes reads no float: it broadcasts nothing and joins nothing but the encoded queries, dealt to the shards.
+"""
 from __future__ import annotations
 
-from dataclasses import dataclass, replace
+import json
+from dataclasses import dataclass, field, replace
 
 import numpy as np
 import pyarrow as pa
@@ -14,6 +19,11 @@ from .operators import exact
 
 #: Nodes of a shard: its arrays take some hundred bytes a node in one task.
 SHARD = 1_000_000
+_HOT = "shard int, place int, node long, p array<long>, s array<long>, nbrs array<int>, nd array<long>, code binary"
+_WORK = ["evals", "expanded", "hops", "reads", "touched"]
+_FOUND = "qid long, vec_id long, d long, " + ", ".join(f"{w} long" for w in _WORK)
+#: Navigation on planes, on the byte code, on floats.
+_PLANES, _BYTES = ("bq2", "bq1", "adc"), ("sq2", "pq")
 
 
 def alpha_for(m: int) -> float:
@@ -22,135 +32,253 @@ def alpha_for(m: int) -> float:
 
 
 def _matrix(t: pa.Table, name: str) -> np.ndarray:
-    return exact.matrix(t.column(name).combine_chunks() if not isinstance(t.column(name), pa.Array) else t.column(name))
+    return exact.matrix(t.column(name).combine_chunks())
+
+
+def _words(t: pa.Table, name: str) -> np.ndarray:
+    c = t.column(name).combine_chunks()
+    return np.ascontiguousarray(c.flatten().to_numpy(zero_copy_only=False).reshape(len(c), -1)).view(np.uint64)
+
+
+def _padded(t: pa.Table, name: str, width: int, fill: int) -> np.ndarray:
+    c = t.column(name).combine_chunks()
+    size = c.value_lengths().to_numpy(zero_copy_only=False).astype(np.int64)
+    flat = c.flatten().to_numpy(zero_copy_only=False)
+    out = np.full((len(c), max(1, width, int(size.max()) if len(size) else 1)), fill, np.int64)
+    row = np.repeat(np.arange(len(c)), size)
+    out[row, np.arange(len(flat)) - np.repeat(np.cumsum(size) - size, size)] = flat
+    return out
+
+
+def _lists(x: np.ndarray, keep: np.ndarray, kind: pa.DataType) -> pa.Array:
+    return pa.ListArray.from_arrays(pa.array(np.concatenate([[0], np.cumsum(keep.sum(1))]).astype(np.int32)), pa.array(x[keep]).cast(kind))
+
+
+def _bytes_of(kind: str, x: np.ndarray, more: dict) -> pa.Array:
+    """The byte code of floats, for the metrics that navigate on one."""
+    if kind == "sq2":
+        c = kernels.Metric.of("sq2", x, **more).a["c"].astype(np.uint8)
+    elif kind == "pq":
+        c = kernels.pq_encode(x / np.maximum(np.linalg.norm(x, axis=1, keepdims=True), 1e-12), more["book"])
+    else:
+        return pa.nulls(len(x), pa.binary())
+    return pa.array([r.tobytes() for r in c], pa.binary())
+
+
+def _hot(shard: int, ids: np.ndarray, p: np.ndarray, s: np.ndarray, nbrs: np.ndarray, nd: np.ndarray, code: pa.Array) -> pa.Table:
+    every = np.ones(p.shape, bool)
+    planes = [_lists(v.view(np.int64), every, pa.int64()) for v in (p, s)]
+    return pa.table([pa.array(np.full(len(ids), shard, np.int32)), pa.array(np.arange(len(ids), dtype=np.int32)), pa.array(ids), *planes, _lists(nbrs, nbrs >= 0, pa.int32()), _lists(nd, nbrs >= 0, pa.int64()), code], names=[c.split()[0] for c in _HOT.split(", ")])
+
+
+def _scatter(ids: np.ndarray, seed: int) -> np.ndarray:
+    with np.errstate(over="ignore"):
+        h = (ids.astype(np.uint64) + np.uint64(seed)) * np.uint64(0x9E3779B97F4A7C15)
+        return h ^ (h >> np.uint64(29))
 
 
 def _build_shard(metric: str, m: int, ef_c: int, alpha100: int, batch: str, ties: str, seed: int, more: dict):
     def run(t: pa.Table) -> pa.Table:
-        ids = t.column("vec_id").to_numpy()
-        x = _matrix(t, "v")
+        ids, x = t.column("vec_id").to_numpy(), _matrix(t, "v")
         order = np.lexsort((ids, _scatter(ids, seed)))  # the order of insertion does not depend on the layout of the input
         ids, x = ids[order], x[order]
-        base = kernels.Metric.of(metric, x, **more)
+        p, s, _ = kernels.sm_codes(x)
         fine = kernels.Metric.of("adc", x) if ties == "adc" else None
-        nbrs, nd = kernels.link(base, m, ef_c, alpha100, batch, ties, fine)
-        rows = [(ids[r[r >= 0]], d[r >= 0]) for r, d in zip(nbrs, nd, strict=True)]
-        shard = t.column("shard")[0].as_py()
-        return pa.table([pa.array(np.full(len(ids), shard, np.int32)), pa.array(ids), pa.array(np.arange(len(ids))), pa.array([a for a, _ in rows], pa.list_(pa.int64())), pa.array([b for _, b in rows], pa.list_(pa.int64()))], names=["shard", "node", "place", "nbrs", "nd"])
+        nbrs, nd = kernels.link(kernels.Metric.of(metric, x, **more), m, ef_c, alpha100, batch, ties, fine)
+        return _hot(t.column("shard")[0].as_py(), ids, p, s, nbrs, nd, _bytes_of(metric, x, more))
 
     return run
 
 
-def _scatter(ids: np.ndarray, seed: int) -> np.ndarray:
-    with np.errstate(over="ignore"):
-        h = (ids.astype(np.uint64) + np.uint64(seed)) * np.uint64(0x9E3779B97F4A7C15)
-        return h ^ (h >> np.uint64(29))
+def _base(t: pa.Table, kind: str, dim: int, more: dict) -> kernels.Metric:
+    if kind in _PLANES:
+        return kernels.Metric.of_planes(kind, _words(t, "p"), _words(t, "s"), dim)
+    if kind in _BYTES:
+        return kernels.Metric.of_codes(kind, np.frombuffer(b"".join(t.column("code").to_pylist()), np.uint8).reshape(t.num_rows, -1), **more)
+    return kernels.Metric.of(kind, _matrix(t, "v"), **more)
 
 
-def _search_shard(metric: str, nav: str, ef: int, width: int, entries: int, more: dict):
+def _search_shard(nav: str, dim: int, ef: int, width: int, entries: int, cache: int, more: dict):
     def run(q: pa.Table, t: pa.Table) -> pa.Table:
-        names = ["qid", "vec_id", "d", "evals", "expanded", "hops", "touched"]
-        kinds = [pa.int64(), pa.int64(), pa.int64(), pa.int64(), pa.int64(), pa.int64(), pa.int64()]
+        names = [c.split()[0] for c in _FOUND.split(", ")]
         if not q.num_rows or not t.num_rows:
-            return pa.table([pa.array([], k) for k in kinds], names=names)
+            return pa.table([pa.array([], pa.int64()) for _ in names], names=names)
         t = t.sort_by("place")
-        ids = t.column("node").to_numpy()
-        where = {v: i for i, v in enumerate(ids.tolist())}
-        lists = t.column("nbrs").to_pylist()
-        nbrs = np.full((len(ids), max(1, max(map(len, lists)))), -1, np.int64)
-        for i, r in enumerate(lists):
-            nbrs[i, : len(r)] = [where.get(v, -1) for v in r]
-        base = kernels.Metric.of(nav, _matrix(t, "v"), **more)
+        ids, nbrs = t.column("node").to_numpy(), _padded(t, "nbrs", 1, -1)
+        base = _base(t, nav, dim, more)
         qids, qx = q.column("qid").to_numpy(), _matrix(q, "v")
         out = [[] for _ in names]
         entry = np.arange(min(entries, len(ids)))
-        for lo in range(0, len(qids), 256):
-            got, d, work = kernels.beam(base, nbrs, kernels.Metric.of(nav, qx[lo : lo + 256], **more), entry, min(ef, len(ids)), width)
+        cached = kernels.near_entry(nbrs, 0, cache) if cache else None
+        step = max(1, min(256, (64 << 20) // len(ids)))  # the visited bits of a batch of queries take 64 MB at most
+        for lo in range(0, len(qids), step):
+            got, d, work = kernels.beam(base, nbrs, kernels.Metric.of(nav, qx[lo : lo + step], **more), entry, min(ef, len(ids)), width, cached=cached)
             r, c = np.nonzero(got >= 0)
-            for col, v in zip(out, (qids[lo + r], ids[got[r, c]], d[r, c], work[r, 0], work[r, 1], work[r, 2], np.full(len(r), len(ids))), strict=True):
+            for col, v in zip(out, (qids[lo + r], ids[got[r, c]], d[r, c], *work[r].T, np.full(len(r), len(ids))), strict=True):
                 col.append(v)
         return pa.table([pa.array(np.concatenate(c).astype(np.int64)) for c in out], names=names)
 
     return run
 
 
+def _insert_shard(metric: str, dim: int, m: int, ef_c: int, alpha100: int, batch: str, seed: int, more: dict):
+    def run(t: pa.Table, new: pa.Table) -> pa.Table:
+        if not new.num_rows:
+            t = t.sort_by("place")
+            return t.select([c.split()[0] for c in _HOT.split(", ")])
+        ids, x = new.column("vec_id").to_numpy(), _matrix(new, "v")
+        order = np.lexsort((ids, _scatter(ids, seed)))
+        ids, x = ids[order], x[order]
+        p, s, _ = kernels.sm_codes(x)
+        fresh, code = kernels.Metric.of(metric, x, **more), _bytes_of(metric, x, more)
+        if not t.num_rows:
+            nbrs, nd = kernels.link(fresh, m, ef_c, alpha100, batch)
+            return _hot(new.column("shard")[0].as_py(), ids, p, s, nbrs, nd, code)
+        t = t.sort_by("place")
+        old = _base(t, metric, dim, more)
+        every = kernels.Metric.joined(old, kernels.Metric(metric, **{k: fresh.a[k] for k in old.a}))
+        if metric == "pq":  # both sides are met by their reconstruction, as stored
+            every.a["x"] = every.a["r"]
+        grown = (_padded(t, "nbrs", 2 * m, -1), _padded(t, "nd", 2 * m, 0))
+        nbrs, nd = kernels.link(every, m, ef_c, alpha100, batch, grown=grown)
+        planes = [np.concatenate([_words(t, n), v]) for n, v in (("p", p), ("s", s))]
+        codes = pa.concat_arrays([t.column("code").combine_chunks().cast(pa.binary()), code])
+        return _hot(t.column("shard")[0].as_py(), np.concatenate([t.column("node").to_numpy(), ids]), *planes, nbrs, nd, codes)
+
+    return run
+
+
+def _delete_shard(metric: str, dim: int, m: int, alpha100: int, more: dict):
+    def run(t: pa.Table, dead: pa.Table) -> pa.Table:
+        names = [c.split()[0] for c in _HOT.split(", ")]
+        if not dead.num_rows or not t.num_rows:
+            return t.select(names)
+        t = t.sort_by("place")
+        ids = t.column("node").to_numpy()
+        base = _base(t, metric, dim, more)
+        if metric == "pq":
+            base.a["x"] = base.a["r"]
+        stay, nbrs, nd = kernels.repair(base, _padded(t, "nbrs", 2 * m, -1), _padded(t, "nd", 2 * m, 0), np.isin(ids, dead.column("vec_id").to_numpy()), m, alpha100)
+        kept = t.take(pa.array(stay))
+        return _hot(t.column("shard")[0].as_py(), ids[stay], _words(kept, "p"), _words(kept, "s"), nbrs, nd, kept.column("code").combine_chunks().cast(pa.binary()))
+
+    return run
+
+
 @dataclass(frozen=True)
 class Index:
-    """codes: shard, vec_id, v is not kept here; graph: shard, node, place, nbrs, nd; vectors: shard, vec_id, embedding."""
-
     vectors: DataFrame
-    graph: DataFrame
+    hot: DataFrame
     dim: int
     m: int
     metric: str
     seed: int
     shards: int
-    more: dict
+    more: dict = field(default_factory=dict)
+    alpha100: int = 120
 
     @staticmethod
     def build(vectors: DataFrame, id_col: str = "vec_id", vec_col: str = "embedding", m: int = 32, ef_c: int = 128, alpha: float | str = 1.2, metric: str = "bq2", shards: int | str = "auto", seed: int = 42, batch: str = "doubling", ties: str = "id", path: str | None = None, **more) -> Index:
-        """One task builds one shard; alpha='auto' follows the degree. With a path the graph is written once and read back."""
+        """One task builds one shard; alpha='auto' follows the degree. With a path the tables are written once and read back."""
         dim = codec.dimension(vectors, vec_col)
         ok, _ = codec.split_rejects(vectors, vec_col, dim)
         n = ok.count() if shards == "auto" else 0
         shards = max(1, -(-n // SHARD)) if shards == "auto" else shards
-        alpha = alpha_for(m) if alpha == "auto" else alpha
-        v = ok.select(F.pmod(F.xxhash64(F.col(id_col), F.lit(seed)), F.lit(shards)).cast("int").alias("shard"), F.col(id_col).cast("long").alias("vec_id"), F.col(vec_col).alias("embedding"))
+        alpha100 = round((alpha_for(m) if alpha == "auto" else alpha) * 100)
+        v = ok.select(_shard(F.col(id_col).cast("long"), seed, shards), F.col(id_col).cast("long").alias("vec_id"), F.col(vec_col).alias("embedding"))
+        if metric == "sq2" and "span" not in more:
+            x = v.select(F.min(F.array_min("embedding")), F.max(F.array_max("embedding"))).first()
+            more = more | {"span": (float(x[0] or 0), float(x[1] or 0))}
         src = v.select("shard", "vec_id", F.col("embedding").cast("array<double>").alias("v"))
-        graph = src.groupBy("shard").applyInArrow(_build_shard(metric, m, ef_c, round(alpha * 100), batch, ties, seed, more), "shard int, node long, place long, nbrs array<long>, nd array<long>")
+        hot = src.groupBy("shard").applyInArrow(_build_shard(metric, m, ef_c, alpha100, batch, ties, seed, more), _HOT)
+        out = Index(v, hot, dim, m, metric, seed, shards, more, alpha100)
         if path:
-            graph.write.mode("overwrite").parquet(f"{path}/graph")
-            graph = vectors.sparkSession.read.parquet(f"{path}/graph")
-        else:
-            graph = graph.persist()  # evicted or lost parts are built again: the build is deterministic
-        return Index(v, graph, dim, m, metric, seed, shards, more)
-
-    def search(self, queries: DataFrame, k: int = 10, ef: int = 64, nav: str | None = None, rerank: bool = True, id_col: str = "vec_id", vec_col: str = "embedding", width: int = 1, entries: int = 1, where=None, **more) -> DataFrame:
-        """(qid, rank, vec_id, sim), or value instead of sim without rerank. All shards are searched; pools meet in a window."""
+            out.save(path)
+            return Index.load(vectors.sparkSession, path)
+        return replace(out, hot=hot.persist())  # evicted or lost parts are built again: the build is deterministic
+
+    def search(self, queries: DataFrame, k: int = 10, ef: int = 64, nav: str | None = None, rerank: bool = True, id_col: str = "vec_id", vec_col: str = "embedding", width: int = 1, entries: int = 1, where: DataFrame | None = None, **more) -> DataFrame:
+        """(qid, rank, vec_id, sim), or value instead of sim without rerank. All shards are searched; pools meet in a window.
+
+        where: allowed ids. Pools are filtered; while a query has fewer than k of min(k, allowed) ids, the beam is widened four
+        times, up to all nodes that can be reached."""
         c = self.candidates(queries, ef, nav, id_col, vec_col, width, entries, **more)
         if where is not None:
-            c = c.join(where.select(F.col(id_col).alias("vec_id")), "vec_id", "left_semi")
+            ok = where.select(F.col(id_col).cast("long").alias("vec_id")).distinct()
+            need, n = min(k, ok.join(self.hot.select(F.col("node").alias("vec_id")), "vec_id", "left_semi").count()), self.hot.count()
+            asked = queries.count()
+            while True:
+                kept = c.join(ok, "vec_id", "left_semi")
+                full = kept.groupBy("qid").agg(F.count("*").alias("c")).where(F.col("c") >= need).count()
+                if full >= asked or ef >= n:
+                    break
+                ef = min(4 * ef, n)
+                c = self.candidates(queries, ef, nav, id_col, vec_col, width, entries, **more)
+            c = kept
         if rerank:
             return exact.rerank(c, self.vectors, queries.select(F.col(id_col).alias("vec_id"), F.col(vec_col).alias("embedding")), k)
         return exact.top(c.select("qid", "vec_id", F.col("d").alias("value")), k, "qid", F.col("value"), F.col("vec_id")).select("qid", "rank", "vec_id", "value")
 
-    def candidates(self, queries: DataFrame, ef: int = 64, nav: str | None = None, id_col: str = "vec_id", vec_col: str = "embedding", width: int = 1, entries: int = 1, **more) -> DataFrame:
-        """(qid, vec_id, d, evals, expanded, hops, touched): each query's pool of ef and its work, summed over shards."""
-        nav = nav or self.metric
+    def candidates(self, queries: DataFrame, ef: int = 64, nav: str | None = None, id_col: str = "vec_id", vec_col: str = "embedding", width: int = 1, entries: int = 1, cache: int = 0, **more) -> DataFrame:
+        """(qid, vec_id, d, evals, expanded, hops, reads, touched): each query's pool of ef and its work, a row a shard.
+
+        Stage 1: planes navigate for bq2, bq1 and adc, the byte code for sq2 and pq; only 'float' reads vectors."""
+        nav, more = nav or self.metric, self.more | more
         q = queries.select(F.explode(F.sequence(F.lit(0), F.lit(self.shards - 1))).alias("shard"), F.col(id_col).cast("long").alias("qid"), F.col(vec_col).cast("array<double>").alias("v"))
-        base = self.graph.join(self.vectors.select(F.col("vec_id").alias("node"), F.col("embedding").cast("array<double>").alias("v")), "node")
-        run = _search_shard(self.metric, nav, ef, width, entries, self.more | more)
-        got = q.groupBy("shard").cogroup(base.select("shard", "node", "place", "nbrs", "v").groupBy("shard")).applyInArrow(run, "qid long, vec_id long, d long, evals long, expanded long, hops long, touched long")
+        own = {"float": ["v"], "sq2": ["code"], "pq": ["code"]}.get(nav, ["p", "s"])
+        base = self._with_floats() if nav == "float" else self.coded(nav, **more).hot if nav in _BYTES and nav != self.metric else self.hot
+        got = q.groupBy("shard").cogroup(base.select("shard", "node", "place", "nbrs", *own).groupBy("shard")).applyInArrow(_search_shard(nav, self.dim, ef, width, entries, cache, more), _FOUND)
         return exact.top(got, ef, "qid", F.col("d"), F.col("vec_id")) if self.shards > 1 else got
 
+    def _with_floats(self) -> DataFrame:
+        return self.hot.join(self.vectors.select(F.col("vec_id").alias("node"), F.col("embedding").cast("array<double>").alias("v")), "node")
+
+    def coded(self, kind: str, **more) -> Index:
+        """The index with the byte code of another metric beside its planes: one pass over the vectors."""
+        def run(batches):
+            for b in batches:
+                yield pa.RecordBatch.from_arrays([b.column(0), _bytes_of(kind, exact.matrix(b.column(1)), more)], names=["node", "code"])
+
+        c = self.vectors.select("vec_id", F.col("embedding").cast("array<double>")).mapInArrow(run, "node long, code binary")
+        return replace(self, hot=self.hot.drop("code").join(c, "node"), more=self.more | more)
+
     def edges(self) -> DataFrame:
         """(src, dst, pos, d)."""
-        z = F.posexplode(F.arrays_zip("nbrs", "nd")).alias("pos", "e")
-        return self.graph.select(F.col("node").alias("src"), z).select("src", F.col("e.nbrs").alias("dst"), "pos", F.col("e.nd").alias("d"))
+        e = self.hot.select("shard", F.col("node").alias("src"), F.posexplode(F.arrays_zip("nbrs", "nd")).alias("pos", "e")).select("shard", "src", "pos", F.col("e.nbrs").alias("place"), F.col("e.nd").alias("d"))
+        return e.join(self.hot.select("shard", "place", F.col("node").alias("dst")), ["shard", "place"]).select("src", "dst", "pos", "d")
 
-    def insert(self, more: DataFrame, ef_c: int = 128, alpha: float = 1.2) -> Index:
-        """The index with more rows: codes need no training, so only the shards' graphs are linked on."""
-        v = self.vectors.select("vec_id", "embedding").unionByName(more.select(F.col("vec_id").cast("long").alias("vec_id"), "embedding"))
-        return Index.build(v, m=self.m, ef_c=ef_c, alpha=alpha, metric=self.metric, shards=self.shards, seed=self.seed, **self.more)
+    def insert(self, more: DataFrame, ef_c: int = 128, batch: str = "doubling") -> Index:
+        """The index with more rows: each shard links the new ones into the graph it has. Codes need no training, so for plane
+        metrics no old vector is read."""
+        new = more.select(_shard(F.col("vec_id").cast("long"), self.seed, self.shards), F.col("vec_id").cast("long").alias("vec_id"), "embedding")
+        old = self._with_floats().select("shard", "place", "node", "p", "s", "nbrs", "nd", "code", "v") if self.metric == "float" else self.hot
+        grown = old.groupBy("shard").cogroup(new.select("shard", "vec_id", F.col("embedding").cast("array<double>").alias("v")).groupBy("shard"))
+        hot = grown.applyInArrow(_insert_shard(self.metric, self.dim, self.m, ef_c, self.alpha100, batch, self.seed, self.more), _HOT)
+        return replace(self, hot=hot.persist(), vectors=self.vectors.unionByName(new))
 
     def delete(self, ids: DataFrame) -> Index:
-        """Tombstones: deleted nodes leave the lists of their neighbours and the tables."""
-        gone = ids.select(F.col("vec_id").alias("dst")).distinct()
-        kept = self.edges().join(gone, "dst", "left_anti").groupBy("src").agg(F.sort_array(F.collect_list(F.struct("pos", "dst", "d"))).alias("e"))
-        g = self.graph.join(gone.withColumnRenamed("dst", "node"), "node", "left_anti").join(kept.withColumnRenamed("src", "node"), "node", "left")
-        empty = F.array().cast("array<bigint>")
-        g = g.select("shard", "node", "place", F.coalesce(F.col("e.dst"), empty).alias("nbrs"), F.coalesce(F.col("e.d"), empty).alias("nd"))
-        return replace(self, graph=g, vectors=self.vectors.join(gone.withColumnRenamed("dst", "vec_id"), "vec_id", "left_anti"))
+        """The index without some ids: nodes that lose neighbours select anew among theirs and those of the lost ones."""
+        gone = ids.select(F.col("vec_id").cast("long").alias("vec_id")).distinct()
+        old = self._with_floats().select("shard", "place", "node", "p", "s", "nbrs", "nd", "code", "v") if self.metric == "float" else self.hot
+        dead = gone.select(_shard(F.col("vec_id"), self.seed, self.shards), "vec_id")
+        hot = old.groupBy("shard").cogroup(dead.groupBy("shard")).applyInArrow(_delete_shard(self.metric, self.dim, self.m, self.alpha100, self.more), _HOT)
+        return replace(self, hot=hot.persist(), vectors=self.vectors.join(gone, "vec_id", "left_anti").select("shard", "vec_id", "embedding"))
 
     def save(self, path: str) -> None:
-        """codes and graph (hot) beside vectors (cold): three tables."""
-        codec.encode_sm(self.vectors, self.dim, keep=("shard", "vec_id")).write.mode("overwrite").parquet(f"{path}/codes")
-        self.graph.write.mode("overwrite").parquet(f"{path}/graph")
+        """hot and vectors as two tables by shard, and a line of parameters."""
+        self.hot.write.mode("overwrite").parquet(f"{path}/hot")
         self.vectors.write.mode("overwrite").parquet(f"{path}/vectors")
-        spark = self.graph.sparkSession
-        spark.range(1).select(F.lit(self.dim).alias("dim"), F.lit(self.m).alias("m"), F.lit(self.metric).alias("metric"), F.lit(self.seed).alias("seed"), F.lit(self.shards).alias("shards")).write.mode("overwrite").parquet(f"{path}/meta")
+        more = {k: (v.tolist() if isinstance(v, np.ndarray) else v) for k, v in self.more.items()}
+        line = json.dumps({"dim": self.dim, "m": self.m, "metric": self.metric, "seed": self.seed, "shards": self.shards, "alpha100": self.alpha100, "more": more})
+        self.hot.sparkSession.createDataFrame([(line,)], "value string").coalesce(1).write.mode("overwrite").text(f"{path}/meta")
 
     @staticmethod
     def load(spark: SparkSession, path: str) -> Index:
-        m = spark.read.parquet(f"{path}/meta").first()
-        return Index(spark.read.parquet(f"{path}/vectors"), spark.read.parquet(f"{path}/graph"), m["dim"], m["m"], m["metric"], m["seed"], m["shards"], {})
+        x = json.loads(spark.read.text(f"{path}/meta").first()["value"])
+        x["more"] = {k: (np.array(v) if k == "book" else tuple(v) if k == "span" else v) for k, v in x["more"].items()}
+        vectors = spark.read.schema("shard int, vec_id long, embedding array<float>").parquet(f"{path}/vectors")
+        return Index(vectors, spark.read.schema(_HOT).parquet(f"{path}/hot"), **x)
+
+
+def _shard(key, seed: int, shards: int):
+    return F.pmod(F.xxhash64(key, F.lit(seed)), F.lit(shards)).cast("int").alias("shard")

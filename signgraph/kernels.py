@@ -30,6 +30,12 @@ def bq_block(ya: np.ndarray, yb: np.ndarray) -> np.ndarray:
     return np.rint((np.abs(a) @ np.abs(b).T - a @ b.T) / 2).astype(np.int32)
 
 
+def unpack_levels(p: np.ndarray, s: np.ndarray, dim: int) -> np.ndarray:
+    """Signed levels of planes."""
+    bits = [np.unpackbits(np.ascontiguousarray(v).view(np.uint8).reshape(len(v), -1), axis=1, bitorder="little")[:, :dim].astype(np.float64) for v in (p, s)]
+    return (2 * bits[0] - 1) * (1 + bits[1])
+
+
 class Metric:
     """Distances between a batch of query codes and rows of base codes. Queries and base share the class."""
 
@@ -57,6 +63,28 @@ class Metric:
             return cls(kind, x=unit, r=pq_decode(pq_encode(unit, book), book))
         raise ValueError(kind)
 
+    @classmethod
+    def of_planes(cls, kind: str, p: np.ndarray, s: np.ndarray, dim: int) -> Metric:
+        """Base rows from stored planes alone: no float is read."""
+        if kind == "bq2":
+            return cls(kind, p=p, s=s)
+        if kind == "bq1":
+            return cls(kind, p=p)
+        if kind == "adc":
+            return cls(kind, y=unpack_levels(p, s, dim))
+        raise ValueError(f"{kind} does not navigate on planes")
+
+    @classmethod
+    def of_codes(cls, kind: str, c: np.ndarray, **more) -> Metric:
+        """Base rows from stored byte codes: 'sq2' bucket numbers, 'pq' cell numbers."""
+        if kind == "sq2":
+            return cls(kind, c=c.astype(np.int16))
+        return cls(kind, r=pq_decode(c, more["book"]))
+
+    @classmethod
+    def joined(cls, a: Metric, b: Metric) -> Metric:
+        return cls(a.kind, **{k: np.concatenate([a.a[k], b.a[k]]) for k in a.a})
+
     def take(self, rows: np.ndarray) -> Metric:
         return Metric(self.kind, **{k: v[rows] for k, v in self.a.items()})
 
@@ -85,10 +113,11 @@ class Metric:
         return own.to(own, np.broadcast_to(np.arange(len(rows)), (len(rows), len(rows))))
 
 
-def select_edges(d: np.ndarray, ids: np.ndarray, among: np.ndarray, most: int, alpha100: int, ties: str = "id", cover: np.ndarray | None = None, fine: np.ndarray | None = None) -> list[int]:
+def select_edges(d: np.ndarray, ids: np.ndarray, among: np.ndarray, most: int, alpha100: int, ties: str = "id", cover: np.ndarray | None = None, fine: np.ndarray | None = None, refill: bool = False) -> list[int]:
     """Places of kept candidates, nearest first: one is kept when no kept one is so near to it that alpha times their distance is
     below its distance to the target. Compared in hundredths, in integers.
 
+    refill: where fewer than `most` are kept, the nearest of the others fill the list.
     ties: 'id'; 'coverage' takes, among equal distances, the one that disagrees in most bits not covered so far (cover: words of
     disagreement); 'adc' orders equal distances by fine."""
     order = np.lexsort((ids, fine, d)) if ties == "adc" else np.lexsort((ids, d))
@@ -114,12 +143,15 @@ def select_edges(d: np.ndarray, ids: np.ndarray, among: np.ndarray, most: int, a
         if open_[i]:
             kept.append(int(i))
             open_ &= 100 * d <= alpha100 * among[:, i]
+    if refill and len(kept) < most:
+        have = set(kept)
+        kept += [int(i) for i in order if int(i) not in have][: most - len(kept)]
     return kept
 
 
-def beam(base: Metric, nbrs: np.ndarray, queries: Metric, entry: np.ndarray, ef: int, width: int = 1, limit: int | None = None) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
+def beam(base: Metric, nbrs: np.ndarray, queries: Metric, entry: np.ndarray, ef: int, width: int = 1, limit: int | None = None, cached: np.ndarray | None = None) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
     """Best-first search of a batch of queries on one graph. Returns ids and distances of the pools (padded by -1 and a huge
-    distance), and work: evaluations, expanded nodes, rounds of each query."""
+    distance), and work: evaluations, expanded nodes, rounds and reads of each query; a read is an expanded node that is not cached."""
     b, n, huge = queries.n, limit or base.n, np.int64(1) << 50
     ids = np.full((b, ef), -1, np.int64)
     d = np.full((b, ef), huge)
@@ -129,7 +161,7 @@ def beam(base: Metric, nbrs: np.ndarray, queries: Metric, entry: np.ndarray, ef:
     k = start.shape[1]
     ids[:, :k], d[:, :k], done[:, :k] = start, queries.to(base, start), False
     np.put_along_axis(seen, start, True, 1)
-    work = np.zeros((b, 3), np.int64)
+    work = np.zeros((b, 4), np.int64)
     work[:, 0] = k
     while True:
         open_d = np.where(done, huge, d)
@@ -142,6 +174,7 @@ def beam(base: Metric, nbrs: np.ndarray, queries: Metric, entry: np.ndarray, ef:
         done[rows[:, None], pick] = True
         work[rows, 1] += valid.sum(1)
         work[rows, 2] += 1
+        work[rows, 3] += (valid if cached is None else valid & ~cached[np.maximum(src, 0)]).sum(1)
         new = np.where((src >= 0)[:, :, None], nbrs[src], -1).reshape(len(rows), -1)
         ok = (new >= 0) & ~seen[rows[:, None], np.maximum(new, 0)]
         if width > 1:  # two expanded nodes may name the same neighbour
@@ -178,21 +211,43 @@ def schedule(n: int, batch: str) -> list[int]:
     return [*out, n]
 
 
-def link(base: Metric, m: int, ef_c: int, alpha100: int, batch: str = "doubling", ties: str = "id", fine: Metric | None = None) -> tuple[np.ndarray, np.ndarray]:
+def near_entry(nbrs: np.ndarray, entry: int, most: int) -> np.ndarray:
+    """Mask of the first `most` nodes in breadth-first order from the entry: the nodes that a cache would hold."""
+    held = np.zeros(len(nbrs), bool)
+    front = np.array([entry])
+    held[front] = True
+    left = most - 1
+    while len(front) and left > 0:
+        new = np.unique(nbrs[front])
+        new = new[(new >= 0)]
+        front = new[~held[new]][:left]
+        held[front] = True
+        left -= len(front)
+    return held
+
+
+def link(base: Metric, m: int, ef_c: int, alpha100: int, batch: str = "doubling", ties: str = "id", fine: Metric | None = None, grown: tuple[np.ndarray, np.ndarray] | None = None, refill: bool = False) -> tuple[np.ndarray, np.ndarray]:
     """A graph on rows 0..n-1 in this order: neighbours (n, 2m; padded by -1) and distances. Each batch searches the graph as it
-    was before it, selects edges, and then gathers the reverse edges by destination; full nodes are selected anew."""
+    was before it, selects edges, and then gathers the reverse edges by destination; full nodes are selected anew.
+
+    grown: neighbours and distances of the first rows, an existing graph; only the rows behind it are linked."""
     n, most = base.n, 2 * m
     nbrs, nd = np.full((n, most), -1, np.int64), np.zeros((n, most), np.int64)
+    done = 0
+    if grown is not None:
+        done = len(grown[0])
+        nbrs[:done, : grown[0].shape[1]], nd[:done, : grown[0].shape[1]] = grown
 
     def choose(t: int, ids: np.ndarray, d: np.ndarray) -> list[int]:
         rows = base.take(ids)
         among = rows.to(rows, np.broadcast_to(np.arange(len(ids)), (len(ids), len(ids))))
         cover = base.a["p"][ids] ^ base.a["p"][t] if ties == "coverage" else None
         near = fine.take(np.array([t])).to(fine, ids[None, :])[0] if ties == "adc" else None
-        return select_edges(d, ids, among, most, alpha100, ties, cover, near)
+        return select_edges(d, ids, among, most, alpha100, ties, cover, near, refill)
 
-    done = 0
     for end in schedule(n, batch):
+        if end <= done:
+            continue
         new = np.arange(done, end)
         if done:
             got, gd, _ = beam(base, nbrs, base.take(new), np.array([0]), ef_c, limit=n)
@@ -216,6 +271,31 @@ def link(base: Metric, m: int, ef_c: int, alpha100: int, batch: str = "doubling"
     return nbrs, nd
 
 
+def repair(base: Metric, nbrs: np.ndarray, nd: np.ndarray, gone: np.ndarray, m: int, alpha100: int) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
+    """The graph without the nodes of a mask: a node that loses neighbours selects anew among those it keeps and the neighbours of
+    those it loses. Returns (places that stay, neighbours, distances) with places counted anew."""
+    most = 2 * m
+    nbrs, nd = nbrs.copy(), nd.copy()
+    hurt = np.flatnonzero(~gone & ((nbrs >= 0) & gone[np.maximum(nbrs, 0)]).any(1))
+    fresh = {}
+    for t in hurt.tolist():
+        own = nbrs[t][nbrs[t] >= 0]
+        cand = np.unique(np.concatenate([own, nbrs[own[gone[own]]].ravel()]))
+        cand = cand[(cand >= 0) & (cand != t)]
+        cand = cand[~gone[cand]]
+        d = base.take(np.array([t])).to(base, cand[None, :])[0] if len(cand) else np.zeros(0, np.int64)
+        kept = select_edges(d, cand, base.among(cand), most, alpha100) if len(cand) else []
+        fresh[t] = (cand[kept], d[kept])
+    for t, (ids, d) in fresh.items():
+        nbrs[t], nd[t] = -1, 0
+        nbrs[t, : len(ids)], nd[t, : len(ids)] = ids, d
+    stay = np.flatnonzero(~gone)
+    place = np.full(len(gone), -1, np.int64)
+    place[stay] = np.arange(len(stay))
+    out = nbrs[stay]
+    return stay, np.where(out >= 0, place[np.maximum(out, 0)], -1), nd[stay]
+
+
 # -- product codes ------------------------------------------------------------------------------------------------------
 
 

@@ -16,3 +16,23 @@ def estimate(spark: SparkSession, n: int, dims: list[int], m: int = 32, id_bytes
 def compression_ratio(dim: int) -> float:
     """Float bits over code bits; words are whole, so odd dimensions lose a little."""
     return 32 * dim / (2 * 64 * -(-dim // 64))
+
+
+def measure(path: str) -> dict[str, float]:
+    """Megabytes on disk of a saved index, from the Parquet footers: codes, adjacency, names (ids, shards, places) and cold vectors."""
+    import pyarrow.parquet as pq
+    from pyarrow import fs
+
+    store, base = fs.FileSystem.from_uri(path if "://" in path or path.startswith("file:") else "file://" + path)
+    out = {"code_mb": 0.0, "adj_mb": 0.0, "name_mb": 0.0, "cold_mb": 0.0}
+    group = {"p": "code_mb", "s": "code_mb", "code": "code_mb", "nbrs": "adj_mb", "nd": "adj_mb", "embedding": "cold_mb"}
+    for table in ("hot", "vectors"):
+        for f in store.get_file_info(fs.FileSelector(f"{base}/{table}")):
+            if f.path.endswith(".parquet"):
+                with store.open_input_file(f.path) as src:
+                    meta = pq.ParquetFile(src).metadata
+                for r in range(meta.num_row_groups):
+                    for c in range(meta.num_columns):
+                        col = meta.row_group(r).column(c)
+                        out[group.get(col.path_in_schema.split(".")[0], "name_mb")] += col.total_compressed_size / (1 << 20)
+    return out

@@ -106,9 +106,8 @@ def knn_exact(spark, d, k=K) -> DataFrame:
 
 
 def knn_bq(spark, d, k=K) -> DataFrame:
-    c = sm(spark, d)
-    pairs = c.crossJoin(F.broadcast(q_side(c, "p", "s"))).where("qid <> vec_id").select("qid", "vec_id", bq_expr().alias("value"))
-    return exact.top(pairs, k, "qid", F.col("value"), F.col("vec_id")).select("qid", "rank", "vec_id", "value")
+    v = vectors(spark, d)
+    return exact.float_topk(v, v, k, kind="bq2", skip_self=True).select("qid", "rank", "vec_id", F.col("sim").cast("int").alias("value"))
 
 
 ADC_S = "list_dot_product(q.e, b.y)"
@@ -165,8 +164,8 @@ add("encode_sq2", lambda s, d: codec.encode_sq2(vectors(s, d), span="global").se
 add("encode_sq8", lambda s, d: codec.encode_sq8(vectors(s, d)).select("vec_id", F.aggregate("code", F.lit(0), lambda a, v: a + v).alias("total"), i32(F.array_min("code"), "lo"), i32(F.array_max("code"), "hi")), f"WITH {U}, g AS (SELECT i, min(x) AS lo, max(x) AS hi FROM u GROUP BY i), z AS (SELECT vec_id, CASE WHEN hi > lo THEN round((x - lo) * 255 / (hi - lo)) ELSE 0 END AS v FROM u JOIN g USING (i)) SELECT vec_id, CAST(sum(v) AS INTEGER) AS total, CAST(min(v) AS INTEGER) AS lo, CAST(max(v) AS INTEGER) AS hi FROM z GROUP BY vec_id")
 
 
-def code_pairs(s, d, below=60) -> DataFrame:
-    return analysis.pairs(sm(s, d).select("vec_id", "p", "s", "embedding"), below=below)
+def code_pairs(s, d) -> DataFrame:
+    return analysis.pairs(sm(s, d).select("vec_id", "p", "s", "embedding"))
 
 
 def _ab() -> list:
@@ -177,10 +176,10 @@ def _names() -> list:
     return [F.col("a_vec_id").alias("a"), F.col("b_vec_id").alias("b")]
 
 
-S_AB = f"{LISTS}, a AS (SELECT * FROM k WHERE vec_id < 60), o AS (SELECT * FROM k WHERE vec_id < 60)"
-S_ON = "FROM a JOIN o ON a.vec_id < o.vec_id"
+S_AB = f"{LISTS}, a AS (SELECT * FROM k WHERE vec_id % 50 = 0), o AS (SELECT * FROM k)"
+S_ON = "FROM a JOIN o ON a.vec_id <> o.vec_id"
 add("bq_distance_pairs", lambda s, d: code_pairs(s, d).select(*_names(), distance.bq(*_ab(), W).alias("d")), f"{S_AB} SELECT a.vec_id AS a, o.vec_id AS b, {s_bq('a', 'o')} AS d {S_ON}")
-add("bq_categories", lambda s, d: code_pairs(s, d).select(*_names(), *distance.categories(*_ab(), W, DIM)), f"{CODES}, j AS (SELECT a.vec_id AS a, o.vec_id AS b, a.p = o.p AS e, a.s + o.s AS t FROM c a JOIN c o ON a.i = o.i AND a.vec_id < o.vec_id AND o.vec_id < 60) SELECT a, b, " + ", ".join(f"CAST(count(*) FILTER ({'e' if same else 'NOT e'} AND t = {t}) AS INTEGER) AS {'same' if same else 'diff'}_{n}" for same in (True, False) for t, n in ((2, "both"), (1, "one"), (0, "none"))) + " FROM j GROUP BY a, b")
+add("bq_categories", lambda s, d: code_pairs(s, d).select(*_names(), *distance.categories(*_ab(), W, DIM)), f"{CODES}, j AS (SELECT a.vec_id AS a, o.vec_id AS b, a.p = o.p AS e, a.s + o.s AS t FROM c a JOIN c o ON a.i = o.i AND a.vec_id <> o.vec_id AND a.vec_id % 50 = 0) SELECT a, b, " + ", ".join(f"CAST(count(*) FILTER ({'e' if same else 'NOT e'} AND t = {t}) AS INTEGER) AS {'same' if same else 'diff'}_{n}" for same in (True, False) for t, n in ((2, "both"), (1, "one"), (0, "none"))) + " FROM j GROUP BY a, b")
 add("hamming_pairs", lambda s, d: code_pairs(s, d).select(*_names(), distance.hamming(F.col("a_p"), F.col("b_p"), W).alias("h")), f"{S_AB} SELECT a.vec_id AS a, o.vec_id AS b, {s_ham('a', 'o')} AS h {S_ON}")
 _deg = lambda: F.degrees(F.acos(distance.cosine(F.col("a_embedding"), F.col("b_embedding"))))
 add("angle_estimate", lambda s, d: code_pairs(s, d).select(*_names(), F.round(distance.angle_from_hamming(distance.hamming(F.col("a_p"), F.col("b_p"), W), DIM), 6).alias("est_deg"), F.round(_deg(), 6).alias("true_deg")), f"{S_AB} SELECT a.vec_id AS a, o.vec_id AS b, round({s_ham('a', 'o')} * 180.0 / {DIM}, 6) AS est_deg, round(degrees(acos({s_cos('a', 'o')})), 6) AS true_deg {S_ON}")
@@ -188,7 +187,7 @@ add("exact_topk", lambda s, d: ranked6(exact_top(s, d)), f"{SPLIT}, {EXACT} SELE
 add("bq_topk", lambda s, d: bq_top(s, d), f"{SPLIT}, {BQ} SELECT * FROM bq")
 add("hamming_topk", lambda s, d: ham_top(s, d), f"{SPLIT}, {s_rank('hm', s_ham('q', 'b'))} SELECT * FROM hm")
 add("adc_topk", lambda s, d: ranked6(adc_top(s, d), "value"), f"{SPLIT}, {s_rank('ad', ADC_S, desc=True)} SELECT qid, rank, vec_id, round(value, 6) AS value FROM ad")
-add("adc_scores", lambda s, d: analysis.pairs(sm(s, d).select("vec_id", "embedding", distance.levels(F.col("p"), F.col("s"), DIM).alias("y")), below=40).select(*_names(), F.round(distance.adc(F.col("a_embedding"), F.col("b_y")), 6).alias("score")), f"{LISTS} SELECT a.vec_id AS a, o.vec_id AS b, round(list_dot_product(a.e, o.y), 6) AS score FROM k a JOIN k o ON a.vec_id < o.vec_id AND o.vec_id < 40")
+add("adc_scores", lambda s, d: analysis.pairs(sm(s, d).select("vec_id", "embedding", distance.levels(F.col("p"), F.col("s"), DIM).alias("y"))).select(*_names(), F.round(distance.adc(F.col("a_embedding"), F.col("b_y")), 6).alias("score")), f"{LISTS} SELECT a.vec_id AS a, o.vec_id AS b, round(list_dot_product(a.e, o.y), 6) AS score FROM k a JOIN k o ON a.vec_id <> o.vec_id AND a.vec_id % 50 = 0")
 S_SQ = f"WITH {U}, {SQ2}, w AS (SELECT vec_id, list(v ORDER BY i) AS v FROM z GROUP BY vec_id), q AS (SELECT * FROM w WHERE vec_id % 10 = 0), b AS (SELECT * FROM w WHERE vec_id % 10 <> 0), {s_rank('sq', 'CAST(list_sum(list_transform(list_zip(q.v, b.v), lambda x: abs(x[1] - x[2]))) AS INTEGER)')}"
 add("sq2_topk", lambda s, d: sq2_top(s, d), f"{S_SQ} SELECT * FROM sq")
 BQ64 = s_rank("bq", s_bq("q", "b"), k=64)
@@ -210,14 +209,14 @@ add("compat_probe", lambda s, d: analysis.compatibility(vectors(s, d)), f"{LISTS
 _pr = lambda: [F.round("p_s", 6).alias("p_s"), F.round("nu2", 6).alias("nu2")]
 add("strong_rate", lambda s, d: analysis.strong_rate(sm(s, d), DIM).select("n", *_pr()), f"{CODES} SELECT count(DISTINCT vec_id) AS n, round(avg(s), 6) AS p_s, round((1 + 3 * avg(s)) * (1 + 3 * avg(s)), 6) AS nu2 FROM c")
 add("strong_rate_by_label", lambda s, d: analysis.strong_rate(sm(s, d), DIM, "label").select("label", "n", *_pr()), f"{CODES} SELECT label, count(DISTINCT vec_id) AS n, round(avg(s), 6) AS p_s, round((1 + 3 * avg(s)) * (1 + 3 * avg(s)), 6) AS nu2 FROM c GROUP BY label")
-S_DEG = f"{LISTS}, g AS (SELECT degrees(acos(greatest(-1, least(1, {s_cos('a', 'o')})))) AS deg FROM k a JOIN k o ON a.vec_id < o.vec_id AND o.vec_id < 300)"
-add("angle_stats", lambda s, d: analysis.angle_stats(vectors(s, d), 300).select("pairs", F.round("mean", 6).alias("mean"), F.round("sd", 6).alias("sd")), f"{S_DEG} SELECT count(*) AS pairs, round(avg(deg), 6) AS mean, round(stddev_pop(deg), 6) AS sd FROM g")
-add("angle_hist", lambda s, d: analysis.angle_hist(vectors(s, d), below=300), f"{S_DEG} SELECT CAST(floor(deg / 5) AS INTEGER) AS bucket, count(*) AS n FROM g GROUP BY 1")
-S_TRIP = f"{LISTS}, m AS (SELECT * FROM k WHERE vec_id < 60), rk AS (SELECT a.vec_id AS q, o.vec_id AS v, row_number() OVER (PARTITION BY a.vec_id ORDER BY {s_cos('a', 'o')} DESC, o.vec_id) AS r FROM m a JOIN m o ON a.vec_id <> o.vec_id), tr AS (SELECT x.q, x.v, y.v AS w FROM rk x JOIN rk y ON x.q = y.q AND x.r <= 10 AND y.r > 10 AND y.r <= 50)"
-trip = lambda s, d: (sm(s, d), analysis.triplets(None, vectors(s, d), 60))
+S_DEG = f"{LISTS}, g AS (SELECT degrees(acos(greatest(-1, least(1, {s_cos('a', 'o')})))) AS deg FROM k a JOIN k o ON a.vec_id <> o.vec_id AND a.vec_id % 50 = 0)"
+add("angle_stats", lambda s, d: analysis.angle_stats(vectors(s, d)).select("pairs", F.round("mean", 6).alias("mean"), F.round("sd", 6).alias("sd")), f"{S_DEG} SELECT count(*) AS pairs, round(avg(deg), 6) AS mean, round(stddev_pop(deg), 6) AS sd FROM g")
+add("angle_hist", lambda s, d: analysis.angle_hist(vectors(s, d)), f"{S_DEG} SELECT CAST(floor(deg / 5) AS INTEGER) AS bucket, count(*) AS n FROM g GROUP BY 1")
+S_TRIP = f"{LISTS}, m AS (SELECT * FROM k), rk AS (SELECT a.vec_id AS q, o.vec_id AS v, row_number() OVER (PARTITION BY a.vec_id ORDER BY {s_cos('a', 'o')} DESC, o.vec_id) AS r FROM m a JOIN m o ON a.vec_id <> o.vec_id AND a.vec_id % 50 = 0), tr AS (SELECT x.q, x.v, y.v AS w FROM rk x JOIN rk y ON x.q = y.q AND x.r <= 10 AND y.r > 10 AND y.r <= 50)"
+trip = lambda s, d: (sm(s, d), analysis.triplets(vectors(s, d)))
 add("misrank_rate", lambda s, d: analysis.misrank_rate(*trip(s, d), DIM).select("triplets", F.round("rate", 6).alias("rate")), f"{S_TRIP} SELECT count(*) AS triplets, round(avg(CASE WHEN {s_bq('a', 'n')} >= {s_bq('a', 'o')} THEN 1.0 ELSE 0 END), 6) AS rate FROM tr JOIN m a ON a.vec_id = tr.q JOIN m n ON n.vec_id = tr.v JOIN m o ON o.vec_id = tr.w")
 add("misrank_bound", lambda s, d: analysis.misrank_bound(*trip(s, d), DIM).select(F.round("mu", 6).alias("mu"), F.round("v", 6).alias("v"), F.round("bound", 6).alias("bound")), f"{S_TRIP}, z AS (SELECT a.i, CASE WHEN a.p <> o.p THEN (1 + a.s) * (1 + o.s) ELSE 0 END - CASE WHEN a.p <> n.p THEN (1 + a.s) * (1 + n.s) ELSE 0 END AS z FROM tr JOIN c a ON a.vec_id = tr.q JOIN c n ON n.vec_id = tr.v AND n.i = a.i JOIN c o ON o.vec_id = tr.w AND o.i = a.i), g AS (SELECT sum(mz) AS mu, sum(vz) AS v FROM (SELECT avg(z) AS mz, var_pop(z) AS vz FROM z GROUP BY i)) SELECT round(mu, 6) AS mu, round(v, 6) AS v, round(exp(-(mu * mu) / (2 * v + 2.0 / 3.0 * 8 * mu)), 6) AS bound FROM g")
-add("angle_concentration", lambda s, d: analysis.angle_concentration(sm(s, d), vectors(s, d), DIM, [0.05, 0.1, 0.15], 200).select("eps", F.round("share", 6).alias("share"), F.round("bound", 6).alias("bound")), f"{LISTS}, g AS (SELECT abs({s_ham('a', 'o')} / {DIM}.0 - acos(greatest(-1, least(1, {s_cos('a', 'o')}))) / pi()) AS dev FROM k a JOIN k o ON a.vec_id < o.vec_id AND o.vec_id < 200) SELECT eps, round(avg(CASE WHEN dev > eps THEN 1.0 ELSE 0 END), 6) AS share, round(least(1.0, 2 * exp(-2.0 * {DIM} * eps * eps)), 6) AS bound FROM g, (SELECT unnest([0.05::DOUBLE, 0.1::DOUBLE, 0.15::DOUBLE]) AS eps) GROUP BY eps")
+add("angle_concentration", lambda s, d: analysis.angle_concentration(sm(s, d), vectors(s, d), DIM, [0.05, 0.1, 0.15]).select("eps", F.round("share", 6).alias("share"), F.round("bound", 6).alias("bound")), f"{LISTS}, g AS (SELECT abs({s_ham('a', 'o')} / {DIM}.0 - acos(greatest(-1, least(1, {s_cos('a', 'o')}))) / pi()) AS dev FROM k a JOIN k o ON a.vec_id <> o.vec_id AND a.vec_id % 50 = 0) SELECT eps, round(avg(CASE WHEN dev > eps THEN 1.0 ELSE 0 END), 6) AS share, round(least(1.0, 2 * exp(-2.0 * {DIM} * eps * eps)), 6) AS bound FROM g, (SELECT unnest([0.05::DOUBLE, 0.1::DOUBLE, 0.15::DOUBLE]) AS eps) GROUP BY eps")
 add("sqnr_by_code", lambda s, d: analysis.sqnr_by_code(vectors(s, d), DIM).select("code", F.round("sqnr_db", 5).alias("sqnr_db")), f"{CODES}, r AS (SELECT '1-bit' AS code, p AS cell, x FROM c UNION ALL SELECT '2-bit', 2 * p + s, x FROM c), m AS (SELECT code, cell, avg(x) AS mx FROM r GROUP BY code, cell) SELECT code, round(10 * log10(sum(x * x) / sum((x - mx) * (x - mx))), 5) AS sqnr_db FROM r JOIN m USING (code, cell) GROUP BY code")
 add("coord_stats", lambda s, d: analysis.coord_stats(vectors(s, d)).select(i32(F.col("dim"), "dim"), *[F.round(c, 6).alias(c) for c in ("mean", "sd", "skew", "kurt")]), f"WITH {U}, m AS (SELECT i, avg(x) AS mean, stddev_pop(x) AS sd FROM u GROUP BY i) SELECT CAST(u.i AS INTEGER) AS dim, round(any_value(mean), 6) AS mean, round(any_value(sd), 6) AS sd, round(avg(pow((x - mean) / sd, 3)), 6) AS skew, round(avg(pow((x - mean) / sd, 4)) - 3, 6) AS kurt FROM u JOIN m ON u.i = m.i GROUP BY u.i")
 add("tie_rate", lambda s, d: metrics.ties(bq_top(s, d, 11), 10).select("queries", F.round("share", 6).alias("share")), f"{SPLIT}, {s_rank('bq', s_bq('q', 'b'), k=11)} SELECT count(*) AS queries, round(avg(CASE WHEN x = y THEN 1.0 ELSE 0 END), 6) AS share FROM (SELECT qid, min(value) FILTER (rank = 10) AS x, min(value) FILTER (rank = 11) AS y FROM bq GROUP BY qid)")
@@ -236,27 +235,39 @@ def rank_ties(s, d) -> DataFrame:
 add("rank_ties", rank_ties, f"{SPLIT}, v AS (SELECT b.vec_id, {s_bq('q', 'b')} AS value FROM q JOIN b ON q.vec_id = 0) SELECT vec_id, value, CAST(row_number() OVER (ORDER BY value, vec_id) AS INTEGER) AS rn, CAST(rank() OVER (ORDER BY value) AS INTEGER) AS rk, CAST(dense_rank() OVER (ORDER BY value) AS INTEGER) AS dr FROM v")
 _mm = "code_mb adj_mb cold_mb ratio".split()
 add("memory_model", lambda s, d: memory.estimate(s, 1_000_000, [384, 768, 1536, 3072]).select("d", "m", *[F.round(c, 6).alias(c) for c in _mm]), "SELECT d, 32 AS m, round(1e6 * d / 4 / 1048576.0, 6) AS code_mb, round(1e6 * 65 * 4 / 1048576.0, 6) AS adj_mb, round(1e6 * d * 4 / 1048576.0, 6) AS cold_mb, round((1e6 * d / 4 + 1e6 * 65 * 4) / (1e6 * d * 4), 6) AS ratio FROM (SELECT CAST(unnest([384, 768, 1536, 3072]) AS INTEGER) AS d)")
-add("bq_distance_gemm", lambda s, d: gemm_pairs(s, d))
 
 
 def gemm_pairs(s, d) -> DataFrame:
-    """Distances of ids below 60 by two matrix products a block."""
+    """The pairs of bq_distance_pairs by two matrix products a block: the queries' levels go to every task behind the size check."""
     import numpy as np
     import pyarrow as pa
 
     from .. import kernels
 
-    v = vectors(s, d).where("vec_id < 60").select("vec_id", F.col("embedding").cast("array<double>").alias("v")).coalesce(1)
+    v = vectors(s, d).select("vec_id", F.col("embedding").cast("array<double>").alias("v"))
+    q = v.where(F.col("vec_id") % analysis.EVERY == 0)
+    if exact.side_blocks(q) > 1:
+        raise ValueError("too many queries for one block: raise analysis.EVERY")
+    got = q.toArrow().combine_chunks()
+    held = s.sparkContext.broadcast((got.column("vec_id").to_numpy(), kernels.levels(exact.matrix(got.column("v").combine_chunks()))))
 
     def run(batches):
+        qid, y = held.value
         for b in batches:
-            ids, y = b.column(0).to_numpy(), kernels.levels(exact.matrix(b.column(1)))
-            i, j = np.nonzero(ids[:, None] < ids[None, :])
-            yield pa.RecordBatch.from_arrays([pa.array(ids[i]), pa.array(ids[j]), pa.array(kernels.bq_block(y, y)[i, j])], names=["a", "b", "d"])
+            for lo in range(0, b.num_rows, 1024):
+                t = b.slice(lo, 1024)
+                ids = t.column(0).to_numpy()
+                dist = kernels.bq_block(y, kernels.levels(exact.matrix(t.column(1))))
+                i, j = np.nonzero(qid[:, None] != ids[None, :])
+                yield pa.RecordBatch.from_arrays([pa.array(qid[i]), pa.array(ids[j]), pa.array(dist[i, j])], names=["a", "b", "d"])
 
     return v.mapInArrow(run, "a long, b long, d int")
 
 
+add("bq_distance_gemm", gemm_pairs, ORACLES["bq_distance_pairs"])
+add("normal_share", lambda s, d: analysis.normal_share(vectors(s, d)).select(F.round("share", 6).alias("share")), f"WITH {U}, m AS (SELECT i, avg(x) AS mean, stddev_pop(x) AS sd, count(*) AS n FROM u GROUP BY i), g AS (SELECT u.i, any_value(n) AS n, avg(pow((x - mean) / sd, 3)) AS g, avg(pow((x - mean) / sd, 4)) - 3 AS k FROM u JOIN m ON u.i = m.i GROUP BY u.i) SELECT round(avg(CASE WHEN n / 6.0 * (g * g + k * k / 4) <= 5.991 THEN 1.0 ELSE 0 END), 6) AS share FROM g")
+add("effective_rank", lambda s, d: analysis.effective_rank(vectors(s, d)).select(F.round("rank", 4).alias("rank")), f"WITH {U}, g AS (SELECT a.i, b.i AS j, sum(a.x * b.x) AS v FROM u a JOIN u b ON a.vec_id = b.vec_id GROUP BY 1, 2) SELECT round(pow(sum(CASE WHEN i = j THEN v ELSE 0 END), 2) / sum(v * v), 4) AS rank FROM g")
+
 # -- k-NN and set operators around the codes ------------------------------------------------------------------------------
 
 add("knn_graph_exact", lambda s, d: ranked6(knn_exact(s, d)), f"{LISTS}, {ALL_PAIRS}, {KNN_EX} SELECT qid, rank, vec_id, round(value, 6) AS sim FROM ex")
@@ -286,15 +297,21 @@ def filtered(s, d) -> DataFrame:
 
 
 add("filtered_topk", filtered, f"{SPLIT}, {s_rank('bq', s_bq('q', 'b'), join='b.label = 3')} SELECT * FROM bq")
-_pairs = lambda s, d: analysis.pairs(sm(s, d).select("vec_id", "p", "s", "embedding"))
-add("bq_range_join", lambda s, d: _pairs(s, d).select(*_names(), distance.bq(*_ab(), W).alias("d")).where("d <= 36"), f"{LISTS} SELECT a.vec_id AS a, o.vec_id AS b, {s_bq('a', 'o')} AS d FROM k a JOIN k o ON a.vec_id < o.vec_id WHERE {s_bq('a', 'o')} <= 36")
 
 
-def near(s, d, how: str) -> DataFrame:
+def range_join(s, d, radius: int = 36) -> DataFrame:
+    c = sm(s, d).select("vec_id", "p", "s")
+    return exact.within(q_side(c, "p", "s"), c, bq_expr(), radius).where("qid < vec_id").select(F.col("qid").alias("a"), F.col("vec_id").alias("b"), F.col("value").alias("d"))
+
+
+add("bq_range_join", range_join, f"{LISTS} SELECT a.vec_id AS a, o.vec_id AS b, {s_bq('a', 'o')} AS d FROM k a JOIN k o ON a.vec_id < o.vec_id WHERE {s_bq('a', 'o')} <= 36")
+
+
+def near(s, d, how: str, radius: int = 36) -> DataFrame:
+    """Queries with (left_semi) or without (left_anti) a base row within the radius."""
     q, b = halves(sm(s, d))
-    b = b.select("p", "s")
-    x = q.select("vec_id", F.col("p").alias("q_p"), F.col("s").alias("q_s"))
-    return x.join(F.broadcast(b), bq_expr() <= 36, how).select("vec_id")
+    hit = exact.within(q_side(q, "p", "s"), b.select("vec_id", "p", "s"), bq_expr(), radius).select(F.col("qid").alias("vec_id")).distinct()
+    return q.select("vec_id").join(hit, "vec_id", how)
 
 
 add("semi_near", lambda s, d: near(s, d, "left_semi"), f"{SPLIT} SELECT q.vec_id FROM q WHERE EXISTS (SELECT 1 FROM b WHERE {s_bq('q', 'b')} <= 36)")

@@ -57,9 +57,10 @@ def text_vectors(df: DataFrame, id_col: str, text_col: str, dim: int = 64, seed:
     return df.select(F.col(id_col).cast("long").alias("vec_id"), F.col(text_col).cast("string").alias("t")).mapInArrow(run, "vec_id long, embedding array<float>").withColumn("label", F.lit(0))
 
 
-def workload(spark: SparkSession, sf_dir: str, name: str) -> DataFrame:
-    """One of NAMES as (vec_id, embedding, label)."""
-    base = spark.read.parquet(f"{sf_dir}/embeddings.parquet").select("vec_id", "embedding", "label")
+def workload(spark: SparkSession, sf_dir: str, name: str, base: DataFrame | None = None) -> DataFrame:
+    """One of NAMES as (vec_id, embedding, label). base takes the place of the table of embeddings (see generated)."""
+    if base is None:
+        base = spark.read.parquet(f"{sf_dir}/embeddings.parquet").select("vec_id", "embedding", "label")
     if name == "W0":
         return base
     if name == "W1":
@@ -70,10 +71,11 @@ def workload(spark: SparkSession, sf_dir: str, name: str) -> DataFrame:
         centre = _gauss(3, k, 64)
         centre /= np.linalg.norm(centre, axis=1, keepdims=True)
         return _map(base, lambda i, x, y: centre[i % k] + x)
-    if name == "W2":
+    if name.split("_")[0] == "W2":  # W2_0.5, W2, W2_2: two modalities, apart by an offset
+        far = float(name.split("_")[1]) if "_" in name else 1.0
         off = _gauss(4, 64)
-        off /= np.linalg.norm(off)
-        return _map(workload(spark, sf_dir, "W1"), lambda i, x, y: x + np.where(i % 2 == 0, 1.0, -1.0)[:, None] * off)
+        off *= far / np.linalg.norm(off)
+        return _map(workload(spark, sf_dir, "W1", base), lambda i, x, y: x + np.where(i % 2 == 0, 1.0, -1.0)[:, None] * off)
     if name in ("W3", "W3d"):
         return text_vectors(spark.read.parquet(f"{sf_dir}/documents.parquet").dropDuplicates(["text"]), "doc_id", "text", dense=name == "W3d")
     if name == "W4":
@@ -87,11 +89,12 @@ def workload(spark: SparkSession, sf_dir: str, name: str) -> DataFrame:
     if name.startswith("W6"):
         d = int(name.split("_")[1]) if "_" in name else 64
         return _map(base, lambda i, x, y: _rows(i, 8, d))
-    if name == "W7":
-        centre, turn = _gauss(9, 256, 64), np.linalg.qr(_gauss(10, 256, 64))[0].T
+    if name.split("_")[0] == "W7":
+        d = int(name.split("_")[1]) if "_" in name else 768
+        centre, turn = _gauss(9, 256, 64), np.linalg.qr(_gauss(10, d, 64))[0].T
         share = 1 / np.arange(1, 257)
         edge = np.cumsum(share / share.sum())
-        return _map(base, lambda i, x, y: (centre[np.searchsorted(edge, (i * 0.6180339887498949) % 1).clip(0, 255)] / 8 + 0.3 * x) @ turn + 0.05 / 16 * _rows(i, 12, 256))
+        return _map(base, lambda i, x, y: (centre[np.searchsorted(edge, (i * 0.6180339887498949) % 1).clip(0, 255)] / 8 + 0.3 * x) @ turn + 0.05 / math.sqrt(d) * _rows(i, 12, d))
     if name == "W8":
         d = spark.read.parquet(f"{sf_dir}/documents.parquet").dropDuplicates(["text"])
 
@@ -104,13 +107,18 @@ def workload(spark: SparkSession, sf_dir: str, name: str) -> DataFrame:
 
         return d.select(F.col("doc_id").alias("vec_id"), "text").mapInArrow(bins, "vec_id long, embedding array<float>").withColumn("label", F.lit(0))
     if name == "W8b":
-        li = spark.read.parquet(f"{sf_dir}/lineitem.parquet").where("l_orderkey <= 500")
+        li = spark.read.parquet(f"{sf_dir}/lineitem.parquet")
         cols = ["l_quantity", "l_extendedprice", "l_discount", "l_tax"]
         return li.select((F.col("l_orderkey") * 10 + F.col("l_linenumber")).cast("long").alias("vec_id"), F.array(*[((F.col(c) + 1) / m).cast("float") for c, m in zip(cols, (51, 100_001, 1.1, 1.1), strict=True)], F.lit(0.5).cast("float")).alias("embedding"), F.lit(0).alias("label")).dropDuplicates(["vec_id"])
+    if name == "W8c":  # W8 less the mean of each coordinate
+        v = workload(spark, sf_dir, "W8")
+        e = v.select(F.posexplode("embedding").alias("i", "x")).groupBy("i").agg(F.avg("x").alias("m")).orderBy("i").collect()
+        mean = np.array([r["m"] for r in e])
+        return _map(v, lambda i, x, y: x - mean)
     raise ValueError(name)
 
 
-NAMES = ["W0", "W1", "W1b", "W1c", "W2", "W3", "W3d", "W4", "W5", "W5b", "W6_64", "W6_256", "W7", "W8", "W8b"]
+NAMES = ["W0", "W1", "W1b", "W1c", "W2_0.5", "W2", "W2_2", "W3", "W3d", "W4", "W5", "W5b", "W6_64", "W6_256", "W7", "W8", "W8b", "W8c"]
 
 
 def split(df: DataFrame, mod: int = 10) -> tuple[DataFrame, DataFrame]:
@@ -120,5 +128,5 @@ def split(df: DataFrame, mod: int = 10) -> tuple[DataFrame, DataFrame]:
 
 def generated(spark: SparkSession, n: int, dim: int, seed: int = 13) -> DataFrame:
     """A structureless sphere of any size."""
-    src = spark.range(n).select(F.col("id").alias("vec_id"), F.array(F.lit(0.0)).alias("embedding"), F.lit(0).alias("label"))
+    src = spark.range(n).select(F.col("id").alias("vec_id"), F.array(F.lit(0.0)).alias("embedding"), (F.col("id") % 10).cast("int").alias("label"))
     return _map(src, lambda i, x, y: _rows(i, seed, dim) / math.sqrt(dim))
