@@ -159,6 +159,8 @@ def _delete_shard(metric: str, dim: int, m: int, alpha100: int, more: dict):
         if metric == "pq":
             base.a["x"] = base.a["r"]
         stay, nbrs, nd = kernels.repair(base, _padded(t, "nbrs", 2 * m, -1), _padded(t, "nd", 2 * m, 0), np.isin(ids, dead.column("vec_id").to_numpy()), m, alpha100)
+        if not len(stay):
+            return t.select(names).slice(0, 0)
         kept = t.take(pa.array(stay))
         return _hot(t.column("shard")[0].as_py(), ids[stay], _words(kept, "p"), _words(kept, "s"), nbrs, nd, kept.column("code").combine_chunks().cast(pa.binary()))
 

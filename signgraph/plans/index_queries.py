@@ -511,7 +511,7 @@ def boundary(s, d, ef: int = 64) -> DataFrame:
     tasks = [lambda n=n: one(f"{n} large", large(s, d, n), LARGE) for n in ("W0", "W1", "W1b", "W2", "W2_2", "W5", "W6_256", "W7")]
     tasks += [lambda n=n: one(n, workload(s, d, n), LARGE) for n in ("W0", "W1", "W1b", "W1c", "W2_0.5", "W2", "W2_2", "W3", "W3d", "W4", "W5", "W5b", "W6_256", "W7", "W8", "W8c")]
     tasks += [lambda: one("W8b", workload(s, d, "W8b"), workload(s, d, "W8b").count())]
-    out = s.createDataFrame(together(tasks), "workload string, rows long, recall double, qps double, overlap double, verdict string")
+    out = s.createDataFrame(together(tasks, 8), "workload string, rows long, recall double, qps double, overlap double, verdict string")
     return out.withColumn("tier", metrics.tier(100 * F.col("recall")))
 
 

@@ -70,7 +70,7 @@ def workload(spark: SparkSession, sf_dir: str, name: str, base: DataFrame | None
         k = 64 if name == "W1b" else 10
         centre = _gauss(3, k, 64)
         centre /= np.linalg.norm(centre, axis=1, keepdims=True)
-        return _map(base, lambda i, x, y: centre[i % k] + x)
+        return _map(base, lambda i, x, y: centre[i // 10 % k] + x)  # not i % k: queries are the ids divisible by ten
     if name.split("_")[0] == "W2":  # W2_0.5, W2, W2_2: two modalities, apart by an offset
         far = float(name.split("_")[1]) if "_" in name else 1.0
         off = _gauss(4, 64)
@@ -128,5 +128,5 @@ def split(df: DataFrame, mod: int = 10) -> tuple[DataFrame, DataFrame]:
 
 def generated(spark: SparkSession, n: int, dim: int, seed: int = 13) -> DataFrame:
     """A structureless sphere of any size."""
-    src = spark.range(n).select(F.col("id").alias("vec_id"), F.array(F.lit(0.0)).alias("embedding"), (F.col("id") % 10).cast("int").alias("label"))
+    src = spark.range(n).select(F.col("id").alias("vec_id"), F.array(F.lit(0.0)).alias("embedding"), F.expr("cast(pmod(id div 10, 10) as int)").alias("label"))
     return _map(src, lambda i, x, y: _rows(i, seed, dim) / math.sqrt(dim))
