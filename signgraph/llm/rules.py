@@ -1,13 +1,14 @@
 """Quality rules: robust multivariate outliers, with DataFrame functions only.
 
 Base rules come first (too few words, too many words in repeated three-word windows). The texts that pass are described by
-a vector of transformed statistics; per language and source a minimum-covariance-determinant estimate is found by
-concentration steps: mean and covariance of the half-sample with the least distances, again and again. A text is kept when
-its squared Mahalanobis distance stays below a high quantile of the chi-square law. Groups of fewer than `small` rows use
-the estimate of all rows.
+a vector of transformed statistics; per language and source a minimum-covariance-determinant estimate is found: several starts,
+concentration steps (mean and covariance of the three quarters of the rows with the least distances) until the determinant no
+longer falls, the least determinant wins, and one reweighting. Covariances carry a fixed floor (a regularised determinant), as
+statistics that are constant among clean texts have none of their own. A text is kept when its squared Mahalanobis distance stays
+below the CUT_AT quantile of the chi-square law. Groups of fewer than `small` rows use the estimate of all rows.
 
-The half-sample's limit is read from counts of distances in fine logarithmic steps, so that no group is gathered in one
-place: each step is two partial aggregations over (group) and (group, step), however large a group is.
+A subset's limit is read from counts of distances in fine logarithmic steps, so that no group is gathered in one place: each
+step is two partial aggregations over (group) and (group, step), however large a group is; parameters go to the rows.
 
 Null text: no words, so base_failed. Null language or source: a group of its own. Repeated rows get equal verdicts; an
 empty table gives an empty result; extra columns are ignored.
@@ -22,6 +23,7 @@ from .common import documents, release, settle
 SPACES = " \t\n\x0b\x0c\r"
 SYMBOLS = "#*$%&|<>"
 DIMS = 4
+COUNTS = ["n_words", "word_chars", "n_symbols", "n_dup_lines", "n_repeat_words"]
 #: Squared distances in steps of a 32th of a doubling.
 FINE = 32
 
@@ -71,8 +73,8 @@ def vector() -> list[Column]:
 FLOOR = (0.05, 0.35, 0.25, 0.25)
 
 
-def _factor(g: DataFrame) -> DataFrame:
-    """Lower triangle l_ij of the Cholesky factor, column by column, beside mu_i; g has n, s_i and s_ij sums."""
+def _factor(g: DataFrame, *key: str) -> DataFrame:
+    """Lower triangle l_ij of the Cholesky factor, column by column, beside mu_i and the log determinant; g has n, s_i and s_ij sums."""
     for i in range(DIMS):
         g = g.withColumn(f"mu{i}", F.col(f"s{i}") / F.col("n"))
     for j in range(DIMS):
@@ -83,7 +85,8 @@ def _factor(g: DataFrame) -> DataFrame:
             for k in range(j):
                 c = c - F.col(f"l{i}{k}") * F.col(f"l{j}{k}")
             g = g.withColumn(f"l{i}{j}", F.sqrt(F.greatest(c, F.lit(1e-9))) if i == j else c / F.col(f"l{j}{j}"))
-    return g.select("g", "n", *[f"mu{i}" for i in range(DIMS)], *[f"l{i}{j}" for i in range(DIMS) for j in range(i + 1)])
+    det = sum((2 * F.log(F.col(f"l{i}{i}")) for i in range(1, DIMS)), 2 * F.log(F.col("l00")))
+    return g.select(*key, det.alias("det"), *PARAMS)
 
 
 def _distance(x: DataFrame) -> DataFrame:
@@ -100,56 +103,98 @@ def _step() -> Column:
     return F.floor(F.log2(F.greatest(F.col("d2"), F.lit(1e-12))) * FINE).cast("int")
 
 
-def _moments(x: DataFrame) -> DataFrame:
+def _moments(x: DataFrame, *key: str) -> DataFrame:
     sums = [F.sum(f"x{i}").alias(f"s{i}") for i in range(DIMS)]
     sums += [F.sum(F.col(f"x{j}") * F.col(f"x{i}")).alias(f"s{j}_{i}") for j in range(DIMS) for i in range(j, DIMS)]
-    return x.groupBy("g").agg(F.count("*").alias("n"), *sums)
+    return x.groupBy(*key).agg(F.count("*").alias("n"), *sums)
 
 
-def _limits(x: DataFrame, share: float) -> DataFrame:
-    """(g, top): the distance step at which each group's half-sample is full."""
-    counts = x.groupBy("g", _step().alias("b")).agg(F.count("*").alias("c"))
-    # One row of (step, count) pairs a group: at most some thousand steps, whatever the number of texts.
-    packed = counts.groupBy("g").agg(F.sort_array(F.collect_list(F.struct("b", "c"))).alias("h"), F.sum("c").alias("all"))
-    need = F.ceil(F.col("all") * share)
-    run = F.aggregate("h", F.struct(F.lit(0).cast("long").alias("n"), F.lit(None).cast("int").alias("b")), lambda a, r: F.struct((a["n"] + r["c"]).alias("n"), F.coalesce(a["b"], F.when(a["n"] + r["c"] >= F.col("need"), r["b"])).alias("b")))
-    return packed.withColumn("need", need).select("g", run["b"].alias("top"))
+def _first_full(need: Column) -> Column:
+    """The step of h, sorted (step, count) pairs, at which `need` rows are reached."""
+    run = lambda a, r: F.struct((a["n"] + r["c"]).alias("n"), F.coalesce(a["b"], F.when(a["n"] + r["c"] >= need, r["b"])).alias("b"))
+    return F.aggregate("h", F.struct(F.lit(0).cast("long").alias("n"), F.lit(None).cast("int").alias("b")), run)["b"]
 
 
-def robust(x: DataFrame, steps: int = 6, share: float = 0.75, small: int = 200) -> DataFrame:
-    """Estimates (g, mu_i, l_ij) by concentration steps; x: g and x_i. Group '*' is all rows; it serves small groups."""
+def _counted(x: DataFrame, step: Column, *key: str) -> DataFrame:
+    """(key, h, all): one row of (step, count) pairs a key, at most some thousand steps, whatever the number of texts."""
+    counts = x.groupBy(*key, step.alias("b")).agg(F.count("*").alias("c"))
+    return counts.groupBy(*key).agg(F.sort_array(F.collect_list(F.struct("b", "c"))).alias("h"), F.sum("c").alias("all"))
+
+
+def _limits(x: DataFrame, share: float, *key: str) -> DataFrame:
+    """(key, top): the distance step at which each subset of the given share is full."""
+    return _counted(x, _step(), *key).select(*key, _first_full(F.ceil(F.col("all") * share)).alias("top"))
+
+
+def _with_params(rows: DataFrame, params: DataFrame, groups: int) -> DataFrame:
+    """Rows beside their group's parameters: broadcast while the groups, counted, are few; else a join that may split a hot group."""
+    return rows.join(F.broadcast(params) if groups <= FEW else params, "g")
+
+
+def _concentrated(rows: DataFrame, now: DataFrame, groups: int, share: float, *key: str) -> DataFrame:
+    """One concentration step: the estimate of the rows that are nearest by the last one. Parameters of the last one stay where
+    theirs has the lesser determinant (the subset is cut at a step of the distance, so it may hold a few rows more)."""
+    d = _distance(_with_params(rows, now.drop("det"), groups)).select(*key, *[f"x{i}" for i in range(DIMS)], "d2")
+    near = d.join(F.broadcast(_limits(d, share, *key)) if groups <= FEW else _limits(d, share, *key), list(key)).where(_step() <= F.col("top"))
+    both = now.withColumn("new", F.lit(0)).unionByName(_factor(_moments(near, *key), *key).withColumn("new", F.lit(1)))
+    return both.groupBy(*key).agg(F.min_by(F.struct("det", *PARAMS), F.struct("det", "new")).alias("p")).select(*key, "p.*")
+
+
+def robust(x: DataFrame, most: int = 20, share: float = 0.75, small: int = 200, starts: int = 3) -> DataFrame:
+    """Estimates (g, mu_i, l_ij, k) by the least determinant; x: g and x_i. Group '*' is all rows; it serves small groups.
+
+    Starts: each dimension's median with the floor as spread, and the moments of an eighth of the rows, named by hash, for each
+    other start. All take two concentration steps; the start of least determinant goes on until no group's determinant falls.
+    Then rows beyond the 0.975 quantile are left out once and the estimate is taken anew from the others."""
     rows = settle(x.select("g", *[f"x{i}" for i in range(DIMS)]).withColumn("g", F.explode(F.array(F.col("g"), F.lit("*")))), "mcd-rows")
-    # The first centre is each dimension's median (to a 256th), the first spread the floor: resistant from the start.
+    groups = starts * (rows.select("g").distinct().count())
     cells = None
     for i in range(DIMS):
-        one = rows.groupBy("g", F.floor(F.col(f"x{i}") * 256).cast("int").alias("b")).agg(F.count("*").alias("c"))
-        packed = one.groupBy("g").agg(F.sort_array(F.collect_list(F.struct("b", "c"))).alias("h"), F.sum("c").alias("all"))
-        half = F.aggregate("h", F.struct(F.lit(0).cast("long").alias("n"), F.lit(None).cast("int").alias("b")), lambda a, r: F.struct((a["n"] + r["c"]).alias("n"), F.coalesce(a["b"], F.when(2 * (a["n"] + r["c"]) >= F.col("all"), r["b"])).alias("b")))
-        one = packed.select("g", (half["b"] / 256.0).alias(f"mu{i}"), *([F.col("all").alias("n")] if not i else []))
+        one = _counted(rows, F.floor(F.col(f"x{i}") * 256).cast("int"), "g").select("g", (_first_full(F.ceil(F.col("all") / 2)) / 256.0).alias(f"mu{i}"))
         cells = one if cells is None else cells.join(one, "g")
     for i in range(DIMS):
         for j in range(i + 1):
             cells = cells.withColumn(f"l{i}{j}", F.lit(2 * FLOOR[i] if i == j else 0.0))
-    now = settle(cells, "mcd")
-    for _ in range(steps):
-        d = _distance(rows.join(now.drop("n"), "g")).select("g", *[f"x{i}" for i in range(DIMS)], "d2")
-        near = d.join(_limits(d, share), "g").where(_step() <= F.col("top"))
-        after = settle(_factor(_moments(near)), "mcd")
+    first = [cells.select("g", F.lit(0).alias("s"), F.lit(float("inf")).alias("det"), *PARAMS)]
+    for k in range(1, starts):
+        part = rows.where(F.pmod(F.xxhash64(*[f"x{i}" for i in range(DIMS)], F.lit(k)), F.lit(8)) == 0)
+        first.append(_factor(_moments(part, "g"), "g").select("g", F.lit(k).alias("s"), F.lit(float("inf")).alias("det"), *PARAMS))
+    now = first[0]
+    for f in first[1:]:
+        now = now.unionByName(f)
+    now = settle(now, "mcd")
+    for _ in range(2):
+        after = settle(_concentrated(rows, now, groups, share, "g", "s"), "mcd")
+        release(now)
+        now = after
+    best = settle(now.groupBy("g").agg(F.min_by(F.struct("det", *PARAMS), F.struct("det", "s")).alias("p")).select("g", "p.*"), "mcd")
+    release(now)
+    now = best
+    for _ in range(most):
+        after = settle(_concentrated(rows, now, groups, share, "g"), "mcd")
+        fall = now.select("g", F.col("det").alias("d0")).join(after.select("g", "det"), "g").agg(F.max(F.col("d0") - F.col("det"))).first()[0]
         release(now)
         now = after
-    # The half-sample is narrower than the whole: widen so that its limit is where the chi-square law has it.
-    d = _distance(rows.join(now.drop("n"), "g")).select("g", "d2")
-    wide = _limits(d, share).select("g", (F.pow(F.lit(2.0), (F.col("top") + 1) / F.lit(float(FINE))) / CHI_SHARE).alias("k"))
+        if fall is None or fall < 1e-4:
+            break
+    # The subset is narrower than the whole: widen so that its limit is where the chi-square law has it.
+    d = _distance(_with_params(rows, now.drop("det"), groups)).select("g", *[f"x{i}" for i in range(DIMS)], "d2")
+    wide = _limits(d, share, "g").select("g", (F.pow(F.lit(2.0), (F.col("top") + 1) / F.lit(float(FINE))) / CHI_SHARE).alias("k"))
+    inner = d.join(F.broadcast(wide) if groups <= FEW else wide, "g").where(F.col("d2") <= CHI_INNER * F.greatest(F.col("k"), F.lit(1.0)))
     size = rows.groupBy("g").agg(F.count("*").alias("m"))
-    out = settle(now.drop("n").join(wide, "g").join(size, "g").where((F.col("m") >= small) | (F.col("g") == "*")), "mcd")
+    out = _factor(_moments(inner, "g"), "g").join(size, "g").where((F.col("m") >= small) | (F.col("g") == "*"))
+    out = settle(out.select("g", *PARAMS, F.lit(WIDEN).alias("k")), "mcd")
     release(now)
     release(rows)
     return out
 
 
-#: Fixed values of the chi-square law with four degrees of freedom: its 0.75 quantile, and a cut that it exceeds with a chance of 2e-16 (the
-#: statistics of clean short texts have heavier tails than a normal law).
-CHI_SHARE, CHI_CUT = 5.385, 80.0
+#: Fixed values of the chi-square law with four degrees of freedom: its quantiles at 0.75, 0.975 and CUT_AT; and what a normal
+#: covariance loses when rows beyond the second are left out.
+CHI_SHARE, CHI_INNER, CUT_AT, CHI_CUT, WIDEN = 5.385, 11.143, 0.999999, 33.377, 1.0645
+PARAMS = [f"mu{i}" for i in range(DIMS)] + [f"l{i}{j}" for i in range(DIMS) for j in range(i + 1)]
+#: Groups up to which parameters, of some 150 bytes each, are broadcast.
+FEW = 100_000
 
 
 def judged(docs: DataFrame) -> DataFrame:
@@ -160,14 +205,13 @@ def judged(docs: DataFrame) -> DataFrame:
     s = s.withColumn("base_failed", failed)
     base = settle(s.select("*", *[v.alias(f"x{i}") for i, v in enumerate(vector())]), "rules")
     fit = robust(base.where("not base_failed"))
-    own, whole = fit.where("g <> '*'"), fit.where("g = '*'").drop("g")
-    # Parameters are one row a group; the group of all rows is one row, so its broadcast is bounded.
-    mine = base.join(own.withColumn("own", F.lit(True)), "g", "left")
+    own, whole = fit.where("g <> '*'").withColumn("own", F.lit(True)), fit.where("g = '*'").drop("g")
+    mine = base.join(F.broadcast(own) if own.count() <= FEW else own, "g", "left")
+    # The group of all rows is one row.
     both = mine.join(F.broadcast(whole.select(F.lit(True).alias("one"), *[F.col(c).alias(f"w_{c}") for c in whole.columns])), F.col("one"), "left")
-    params = [f"mu{i}" for i in range(DIMS)] + [f"l{i}{j}" for i in range(DIMS) for j in range(i + 1)] + ["k"]
-    both = both.select("doc_id", "n_words", "word_chars", "n_symbols", "n_dup_lines", "n_repeat_words", "base_failed", *[f"x{i}" for i in range(DIMS)], *[F.when(F.col("own"), F.col(p)).otherwise(F.col(f"w_{p}")).alias(p) for p in params])
+    both = both.select("doc_id", *COUNTS, "base_failed", *[f"x{i}" for i in range(DIMS)], *[F.when(F.col("own"), F.col(p)).otherwise(F.col(f"w_{p}")).alias(p) for p in [*PARAMS, "k"]])
     d2 = F.when(~F.col("base_failed"), F.col("d2") / F.greatest(F.col("k"), F.lit(1.0)))
-    return _distance(both).withColumn("d2", d2).select("doc_id", "n_words", "word_chars", "n_symbols", "n_dup_lines", "n_repeat_words", "base_failed", (~F.col("base_failed") & F.coalesce(F.col("d2") <= CHI_CUT, F.lit(True))).alias("kept"), F.round("d2", 6).alias("d2"))
+    return _distance(both).withColumn("d2", d2).select("doc_id", *COUNTS, "base_failed", (~F.col("base_failed") & F.coalesce(F.col("d2") <= CHI_CUT, F.lit(True))).alias("kept"), F.round("d2", 6).alias("d2"))
 
 
 def op8_robust_rules(spark: SparkSession, sf_dir: str) -> DataFrame:
