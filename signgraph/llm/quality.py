@@ -4,7 +4,9 @@ A text is read whole as UTF-8. Bytes are embedded, learned filters of eight byte
 chunks of 512 bytes (stride 256) pool them by maximum and mean; a hidden layer scores each chunk, chunk scores are pooled
 by maximum and mean over the document, and a last layer combines them into one probability.
 
-The network is fitted on the driver from a bounded sample: at most `sample` labelled rows, half of each label at most, and of each the `crop` bytes from a place that its hash names. Scoring reads whole texts in Arrow batches and
+The network is fitted on the driver from a bounded sample of labelled rows, each with all chunks of its whole text: at most
+`sample` rows, half of each label at most, taken by the hash of the id until their texts make `volume` bytes; a text of more than
+`longest` bytes is no sample row, as its activations would not fit. Scoring reads whole texts in Arrow batches and
 depends on the text alone. A null text is an empty one and is scored like it; repeated rows get equal scores; without
 labels of both kinds the score is the share of label 1 (0.5 if there are none). Extra columns are ignored.
 """
@@ -127,20 +129,27 @@ def fit(texts: list[np.ndarray], y: np.ndarray, epochs: int = 8, seed: int = 7,
     share = float(np.clip(y.mean(), 1e-3, 1 - 1e-3))
     weight = np.where(y > 0, 0.5 / share, 0.5 / (1 - share)).astype(np.float32)
     m, v, t = {k: 0 * x for k, x in w.items()}, {k: 0 * x for k, x in w.items()}, 0
-    steps = epochs * -(-len(texts) // batch)
-    for _ in range(epochs):
-        order = r.permutation(len(texts))
-        for lo in range(0, len(order), batch):
-            part = order[lo : lo + batch]
-            g, _ = _gradient(w, [texts[i] for i in part], y[part], weight[part])
-            norm = np.sqrt(sum(float((x * x).sum()) for x in g.values()))
-            t += 1
-            step = rate * 0.5 * (1 + np.cos(np.pi * t / steps))
-            for k in w:
-                gk = g[k] * min(1.0, 2 / (norm + 1e-9))
-                m[k] = 0.9 * m[k] + 0.1 * gk
-                v[k] = 0.999 * v[k] + 0.001 * gk * gk
-                w[k] = (w[k] - step * (m[k] / (1 - 0.9**t)) / (np.sqrt(v[k] / (1 - 0.999**t)) + 1e-7)).astype(np.float32)
+    size = np.array([len(t) for t in texts])
+    plans = []
+    for _ in range(epochs):  # batches of `batch` texts, or fewer where they are long
+        part: list[int] = []
+        for i in r.permutation(len(texts)).tolist():
+            if part and (len(part) == batch or size[part].sum() + size[i] > LONGEST):
+                plans.append(part)
+                part = []
+            part.append(i)
+        plans.append(part)
+    steps = len(plans)
+    for part in plans:
+        g, _ = _gradient(w, [texts[i] for i in part], y[part], weight[part])
+        norm = np.sqrt(sum(float((x * x).sum()) for x in g.values()))
+        t += 1
+        step = rate * 0.5 * (1 + np.cos(np.pi * t / steps))
+        for k in w:
+            gk = g[k] * min(1.0, 2 / (norm + 1e-9))
+            m[k] = 0.9 * m[k] + 0.1 * gk
+            v[k] = 0.999 * v[k] + 0.001 * gk * gk
+            w[k] = (w[k] - step * (m[k] / (1 - 0.9**t)) / (np.sqrt(v[k] / (1 - 0.999**t)) + 1e-7)).astype(np.float32)
     return w
 
 
@@ -155,26 +164,24 @@ def sample_rows(docs: DataFrame, labels: DataFrame, label: str, skip_mod: int, s
     return docs.select("doc_id", F.coalesce(F.col("text"), F.lit("")).alias("text")).join(F.broadcast(pick), "doc_id").select("doc_id", "text", "y")
 
 
-def _crops(crop: int):
-    def run(batches):
-        for b in batches:
-            out = []
-            for i, x in zip(b.column(0).to_pylist(), b.column(1), strict=True):
-                raw = x.as_py().encode()
-                at = (i * 2654435761 & 0xFFFFFFFF) % max(1, len(raw) - crop + 1)
-                out.append(raw[at : at + crop])
-            yield pa.RecordBatch.from_arrays([b.column(0), pa.array(out, pa.binary()), b.column(2)], names=["doc_id", "crop", "y"])
-
-    return run
+#: Bytes of one text, and of one batch of texts, that the fit holds.
+LONGEST = 1 << 20
 
 
-def train(docs: DataFrame, labels: DataFrame, sample: int = 3000, crop: int = 4096, skip_mod: int = 4, skip_rest: int = 2, **fitting) -> dict:
+def train(docs: DataFrame, labels: DataFrame, sample: int = 3000, volume: int = 48 << 20, longest: int = LONGEST, skip_mod: int = 4, skip_rest: int = 2, **fitting) -> dict:
     rows = sample_rows(docs.select(F.col("doc_id").cast("long").alias("doc_id"), "text"), labels, "quality", skip_mod, skip_rest, sample)
-    got = sorted(rows.mapInArrow(_crops(crop), "doc_id long, crop binary, y int").collect())
-    y = np.array([r["y"] for r in got], np.float32)
+    size = rows.select("doc_id", F.octet_length("text").alias("n")).where(F.col("n") <= longest).orderBy(F.xxhash64("doc_id"), "doc_id").collect()
+    total, ids = 0, []
+    for r in size:  # of at most `sample` rows
+        total += r["n"]
+        if total > volume:
+            break
+        ids.append(r["doc_id"])
+    got = sorted(((r["doc_id"], bytes(r["t"]), r["y"]) for r in rows.where((F.octet_length("text") <= longest) & F.col("doc_id").isin(ids)).select("doc_id", F.col("text").cast("binary").alias("t"), "y").collect())) if ids else []
+    y = np.array([r[2] for r in got], np.float32)
     if len(y) < 8 or y.min() == y.max():
         return {"const": float(y.mean()) if len(y) else 0.5}
-    w = fit([np.frombuffer(r["crop"], np.uint8) for r in got], y, **fitting)
+    w = fit([np.frombuffer(r[1], np.uint8) for r in got], y, **fitting)
     # The fit saw both labels equally often; the last bias moves scores to the odds of the labels themselves.
     fold = labels.where(F.col("doc_id").isNotNull() & F.col("quality").isin(0, 1) & ~held_out(skip_mod, skip_rest))
     share = float(np.clip(fold.agg(F.avg(F.col("quality").cast("double"))).first()[0], 0.02, 0.98))
@@ -192,13 +199,17 @@ PIECE = 1 << 20
 
 
 def _pooled(w: dict, text: np.ndarray) -> float:
-    """The score of a very long text: pieces that share a half, their chunks pooled together."""
+    """The raw score of a text of any length, chunk by chunk: pieces carry the two halves behind them, so that their chunks and
+    filters see what they see in the whole text."""
     top, total, n = None, 0.0, 0
     for at in range(0, len(text), PIECE):
-        s = _forward(w, *_lay_out([text[at : at + PIECE + HALF]]))
-        k = s["chunks"][0]
-        top = s["hmax"][0] if top is None else np.maximum(top, s["hmax"][0])
-        total, n = total + s["hmean"][0] * k, n + k
+        s = _forward(w, *_lay_out([text[at : at + PIECE + 2 * HALF]]))
+        last = len(text) - at - PIECE <= HALF  # no chunk starts behind this piece
+        h = s["h"][s["keep"]][: None if last else PIECE // HALF].astype(np.float64)
+        top = h.max(0) if top is None else np.maximum(top, h.max(0))
+        total, n = total + h.sum(0), n + len(h)
+        if last:
+            break
     return float(np.concatenate([top, total / n]) @ w["o"] + w["ob"][0])
 
 
