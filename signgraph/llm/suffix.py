@@ -25,6 +25,7 @@ from .bytescan import prefix_sums, span_hash
 from .common import blocks, documents, settle, text_view
 
 LENGTH, GRAM = 400, 64
+SALT = 64  # parts of a very common anchor
 PART = 2000  # stretches of one anchor that are indexed together
 TARGET = 1 << 20  # bytes of stretches from which a text index is closed
 _POS = np.uint64((1 << 24) - 1)  # places in a piece of a text; pieces overlap
@@ -326,8 +327,13 @@ def repeat_tables(docs: DataFrame, length: int = LENGTH, gram: int = GRAM, part:
     marks = settle(src.mapInArrow(_anchor_rows(length, gram), "doc_id long, tid binary, sha string, n long, anchors binary"), "anchors")
     texts = marks.where(F.col("n") >= length).groupBy("tid").agg(F.min("doc_id").alias("rep"), F.count("*").alias("c"), F.max("anchors").alias("anchors"))
     spread = texts.select("tid", "anchors", "c").mapInArrow(_spread_anchors, "tid binary, c long, h long, a long, b long")
-    twice = spread.groupBy("h").agg(F.count("*").alias("k")).where("k > 1").select("h")
-    own = spread.join(twice, "h").groupBy("tid").agg(F.max("c").alias("c"), F.sort_array(F.collect_list(F.struct("a", "b", "h"))).alias("hits"))
+    twice = settle(spread.groupBy("h").agg(F.count("*").alias("k")).where("k > 1"), "twice")
+    # Anchors that hold more than a 4096th of the repeated places are fewer than 4096; theirs are dealt by text as well.
+    hot = F.broadcast(twice.where(F.col("k") > (twice.agg(F.sum("k")).first()[0] or 0) // 4096).select("h", F.lit(SALT).alias("z")))
+    deal = lambda df, z: df.join(hot, "h", "left").withColumn("z", z)
+    dealt = deal(spread, F.when(F.col("z").isNull(), 0).otherwise(F.pmod(F.xxhash64("tid"), F.lit(SALT)).cast("int")))
+    copies = deal(twice.select("h"), F.explode(F.sequence(F.lit(0), F.coalesce("z", F.lit(1)) - 1)))
+    own = dealt.join(copies, ["h", "z"]).groupBy("tid").agg(F.max("c").alias("c"), F.sort_array(F.collect_list(F.struct("a", "b", "h"))).alias("hits"))
     where = own.join(texts.select("tid", "rep"), "tid").hint("shuffle_hash")
     # A representative is found by its id and proved by its digest, so repeated or null ids do no harm.
     held = settle(src.join(where, src["doc_id"].eqNullSafe(where["rep"])).where(F.expr("substring(unhex(sha2(text, 256)), 1, 16) = tid")).select("tid", "c", "text", "hits"), "held")
