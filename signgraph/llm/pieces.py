@@ -24,7 +24,6 @@ from .common import blocks, documents, text_view
 from .suffix import suffix_order
 
 MARK = 0x2581  # stands for a space
-REACH = 64  # bytes that a search compares; longer pieces are not in use
 HELD = 1_500_000
 ROUND = 48  # tokens of a unit that is contracted with others; longer ones go by a heap
 
@@ -49,20 +48,20 @@ class Vocabulary:
                 raw.append((p.encode(), i))
         self.ids = np.array([i for _, i in raw], np.int64)
         self.size = np.array([len(p) for p, _ in raw], np.int64)
-        if self.size.max() > REACH:
-            raise ValueError("a piece is longer than the search reaches")
+        self.reach = -(-int(self.size.max()) // 8) * 8  # bytes that a search compares: whole words, up to the longest piece
+        self.wide = 1 << (self.reach + 1).bit_length()
         self.score = np.array([sp.get_score(int(i)) for i in self.ids])
-        self.low = np.frombuffer(b"".join(p.ljust(REACH, b"\0") for p, _ in raw), ">u8").reshape(len(raw), -1).astype(np.uint64)
-        self.high = np.frombuffer(b"".join(p.ljust(REACH, b"\xff") for p, _ in raw), ">u8").reshape(len(raw), -1).astype(np.uint64)
+        self.low = np.frombuffer(b"".join(p.ljust(self.reach, b"\0") for p, _ in raw), ">u8").reshape(len(raw), -1).astype(np.uint64)
+        self.high = np.frombuffer(b"".join(p.ljust(self.reach, b"\xff") for p, _ in raw), ">u8").reshape(len(raw), -1).astype(np.uint64)
         self.out_size = np.array([len(p) for p in out], np.int64)
         self.out_at = np.cumsum(self.out_size) - self.out_size
         self.out = np.frombuffer(b"".join(out), np.uint8)
 
     def occurrences(self, text: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
-        """Edges of text (units that end in 255), sorted: place * 128 + length, and the piece's row."""
-        sa, _ = suffix_order(text, REACH)
-        pad = np.concatenate([text, np.full(REACH + 8, 255, np.uint8)])
-        word = np.zeros(len(text) + REACH, np.uint64)
+        """Edges of text (units that end in 255), sorted: place * self.wide + length, and the piece's row."""
+        sa, _ = suffix_order(text, self.reach)
+        pad = np.concatenate([text, np.full(self.reach + 8, 255, np.uint8)])
+        word = np.zeros(len(text) + self.reach, np.uint64)
         for k in range(8):
             word = word << np.uint64(8) | pad[k : k + len(word)]
 
@@ -72,7 +71,7 @@ class Vocabulary:
                 mid = (lo + hi) // 2
                 at = sa[np.minimum(mid, len(sa) - 1)].astype(np.int64)
                 less, open_ = np.zeros(len(key), bool), np.arange(len(key))
-                for c in range(REACH // 8):
+                for c in range(self.reach // 8):
                     w, k = word[at[open_] + 8 * c], key[open_, c]
                     less[open_[w < k]] = True
                     open_ = open_[w == k]
@@ -88,7 +87,7 @@ class Vocabulary:
         count = last - first
         row = np.repeat(np.arange(len(count)), count)
         place = sa[np.repeat(first - (np.cumsum(count) - count), count) + np.arange(int(count.sum()))].astype(np.int64)
-        key = place * 128 + self.size[row]
+        key = place * self.wide + self.size[row]
         order = np.argsort(key)
         return key[order], row[order]
 
@@ -97,7 +96,7 @@ class Vocabulary:
         key, row = self.occurrences(text)
 
         def edge(s: np.ndarray, e: np.ndarray) -> np.ndarray:
-            want = s * 128 + np.minimum(e - s, 127)
+            want = s * self.wide + np.minimum(e - s, self.wide - 1)
             k = np.minimum(np.searchsorted(key, want), max(0, len(key) - 1))
             return np.where(key[k] == want, row[k], -1) if len(key) else np.full(len(s), -1)
 
@@ -147,13 +146,13 @@ class Vocabulary:
         n = len(s)
         nxt, prev, end = list(range(1, n + 1)), list(range(-1, n - 1)), [*s[1:], stop]
         gone, heap = [False] * n, []
-        keys = key[np.searchsorted(key, s[0] * 128) : np.searchsorted(key, (stop + 1) * 128)]
-        base = int(np.searchsorted(key, s[0] * 128))
+        keys = key[np.searchsorted(key, s[0] * self.wide) : np.searchsorted(key, (stop + 1) * self.wide)]
+        base = int(np.searchsorted(key, s[0] * self.wide))
         score = dict(zip(keys.tolist(), self.score[row[base : base + len(keys)]].tolist(), strict=True))
 
         def push(i: int) -> None:
             j = nxt[i]
-            if i >= 0 and j < n and end[j] - s[i] < 128 and (v := score.get(s[i] * 128 + end[j] - s[i])) is not None:
+            if i >= 0 and j < n and end[j] - s[i] < self.wide and (v := score.get(s[i] * self.wide + end[j] - s[i])) is not None:
                 heapq.heappush(heap, (-v, i, end[j]))
 
         for i in range(n):
