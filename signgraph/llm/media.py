@@ -11,6 +11,7 @@ from __future__ import annotations
 import hashlib
 import zlib
 
+import numpy as np
 import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
@@ -170,11 +171,18 @@ def with_stream(df: DataFrame, id_col: str, payload_col: str) -> DataFrame:
 
 
 def access_units(df: DataFrame, id_col: str = "id", media_col: str = "media") -> DataFrame:
-    """(id, unit, pid, pts, random_access, data): the access units of each stored stream."""
+    """(id, unit, pid, pts, random_access, data): the access units of each stored stream. A stream that cannot be parsed gives one
+    row with unit -1 and nothing else; a null one has no units."""
+
+    def units(m: bytes) -> list[tuple]:
+        try:
+            return [(k, *u) for k, u in enumerate(demux(m)["units"])]
+        except (ValueError, IndexError):  # lost sync, a damaged section, a cut packet
+            return [(-1, None, None, None, None)]
 
     def run(batches):
         for b in batches:
-            rows = [(i.as_py(), k, *u) for i, m in zip(b.column(0), b.column(1), strict=True) for k, u in enumerate(demux(m.as_py() or b"")["units"])]
+            rows = [(i.as_py(), *u) for i, m in zip(b.column(0), b.column(1), strict=True) for u in units(m.as_py() or b"")]
             cols = list(zip(*rows, strict=True)) or [[]] * 6
             kinds = [b.column(0).type, pa.int32(), pa.int32(), pa.int64(), pa.bool_(), pa.binary()]
             yield pa.RecordBatch.from_arrays([pa.array(c, t) for c, t in zip(cols, kinds, strict=True)], names=["id", "unit", "pid", "pts", "random_access", "data"])
@@ -186,23 +194,31 @@ def access_units(df: DataFrame, id_col: str = "id", media_col: str = "media") ->
 _OUT = "doc_id long, n_bytes long, payload_bytes long, payload_sha256 string, tail_crc32 long, media_bytes long, media_sha256 string, feature string"
 
 
-def _digest(batches):
+def _stored(batches):
+    """Texts as media: (doc_id, n_bytes, media)."""
     for b in batches:
         data, offs = text_view(b.column(1))
-        raw, rows = data.tobytes(), []
-        for lo, hi in zip(offs[:-1].tolist(), offs[1:].tolist(), strict=True):
-            n = hi - lo
-            stored = mux(raw[lo:hi] + bytes(-n % 64 if n else 64))
+        raw, size = data.tobytes(), np.diff(offs).tolist()
+        media = [mux(raw[lo : lo + n] + bytes(-n % 64 if n else 64)) for lo, n in zip(offs[:-1].tolist(), size, strict=True)]
+        yield pa.RecordBatch.from_arrays([b.column(0), pa.array(size, pa.int64()), pa.array(media, pa.binary())], names=["doc_id", "n_bytes", "media"])
+
+
+def _digest(batches):
+    for b in batches:
+        rows = []
+        for m in b.column(2):
+            stored = m.as_py()
             back = demux(stored)
             got = b"".join(u[3] for u in back["units"])
             times = [u[1] for u in back["units"]]
             feature = f"packets={back['packets']};streams={','.join(f'{p:x}:{k:x}' for p, k in back['streams'])};units={len(times)};pts={times[0]}-{times[-1]};random={sum(u[2] for u in back['units'])};breaks={back['breaks']};largest={max(len(u[3]) for u in back['units'])}"
-            rows.append((n, len(got), hashlib.sha256(got).hexdigest(), zlib.crc32(got[-64:]), len(stored), hashlib.sha256(stored).hexdigest(), feature))
-        cols = list(zip(*rows, strict=True)) or [[]] * 7
-        kinds = [pa.int64(), pa.int64(), pa.string(), pa.int64(), pa.int64(), pa.string(), pa.string()]
-        yield pa.RecordBatch.from_arrays([b.column(0), *(pa.array(c, t) for c, t in zip(cols, kinds, strict=True))], names=[x.split()[0] for x in _OUT.split(", ")])
+            rows.append((len(got), hashlib.sha256(got).hexdigest(), zlib.crc32(got[-64:]), len(stored), hashlib.sha256(stored).hexdigest(), feature))
+        cols = list(zip(*rows, strict=True)) or [[]] * 6
+        kinds = [pa.int64(), pa.string(), pa.int64(), pa.int64(), pa.string(), pa.string()]
+        yield pa.RecordBatch.from_arrays([b.column(0), b.column(1), *(pa.array(c, t) for c, t in zip(cols, kinds, strict=True))], names=[x.split()[0] for x in _OUT.split(", ")])
 
 
 def op7_transport_stream(spark, sf_dir: str) -> DataFrame:
-    """Each whole text through a stored transport stream and back; digests of what was read."""
-    return documents(spark, sf_dir, F.col("doc_id").cast("long").alias("doc_id"), "text").mapInArrow(_digest, _OUT)
+    """Each whole text stored in a media column, which a second pass reads back; digests of what it read."""
+    media = documents(spark, sf_dir, F.col("doc_id").cast("long").alias("doc_id"), "text").mapInArrow(_stored, "doc_id long, n_bytes long, media binary")
+    return media.mapInArrow(_digest, _OUT)
