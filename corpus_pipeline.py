@@ -6,6 +6,8 @@ from pyspark.sql import DataFrame, SparkSession
 from signgraph.llm import lines, packing, quality, simhash, suffix
 from signgraph.llm.common import settle
 
+PASSAGE = 240
+
 
 def quality_stage(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
     """Documents that the byte network rejects go."""
@@ -23,8 +25,8 @@ def near_stage(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
 
 
 def substring_stage(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
-    """Strings of 400 bytes that stand twice go."""
-    return suffix.without_repeats(docs)
+    """Strings of PASSAGE bytes that stand twice go: passages of over 50 words are longer, also in the languages of short words."""
+    return suffix.without_repeats(docs, PASSAGE)
 
 
 def packing_stage(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
