@@ -42,7 +42,8 @@ def settle(df: DataFrame, name: str) -> DataFrame:
     """Write df once as Parquet in the shared folder and read it back: cuts lineage and survives lost executors."""
     spark = df.sparkSession
     path = fresh_path(spark, name)
-    df.write.option("compression", "zstd").parquet(path)
+    # Hashes make no dictionary.
+    df.write.option("compression", "zstd").option("parquet.enable.dictionary", "false").parquet(path)
     out = spark.read.schema(df.schema).parquet(path)
     out._signgraph_path = path
     return out
