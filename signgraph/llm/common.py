@@ -12,11 +12,14 @@ from pyspark.sql import functions as F
 
 
 def shared_dir(spark: SparkSession) -> str:
-    """Folder that driver and executors share: spark.checkpoint.dir, or one of our own where it is unset."""
+    """Folder that driver and executors share: spark.checkpoint.dir; where it is unset, a folder of our own below the warehouse, or
+    on the one machine of a local master."""
     place = spark.conf.get("spark.checkpoint.dir", None)
     if not place:
         held = spark.sparkContext._jsc.sc().getCheckpointDir()
-        place = held.get() if held.isDefined() else "file://" + tempfile.mkdtemp(prefix="signgraph-")
+        local = spark.sparkContext.master.startswith("local") and not spark.sparkContext.master.startswith("local-cluster")
+        own = "file://" + tempfile.mkdtemp(prefix="signgraph-") if local else spark.conf.get("spark.sql.warehouse.dir").rstrip("/") + "/signgraph-shared"
+        place = held.get() if held.isDefined() else own
         spark.conf.set("spark.checkpoint.dir", place)
     return place.rstrip("/")
 

@@ -411,8 +411,9 @@ def similar_groups(docs: DataFrame, width: int = 5, similarity: float = 0.8, rad
 
 def one_of_each(docs: DataFrame) -> DataFrame:
     """docs, all columns: of each group of similar texts the row with the smallest doc_id."""
-    keep = similar_groups(docs).where(F.col("doc_id").eqNullSafe(F.col("component_id"))).select(F.col("doc_id").alias("_id")).distinct()
-    return docs.join(keep, F.col("doc_id").cast("long").eqNullSafe(F.col("_id")), "left_semi")
+    keep = similar_groups(docs).where(F.col("doc_id").eqNullSafe(F.col("component_id"))).select(F.col("doc_id").alias("kept")).distinct()
+    rows = docs.select(F.struct(*docs.columns).alias("r"), F.col("doc_id").cast("long").alias("k"))
+    return rows.join(keep, F.col("k").eqNullSafe(F.col("kept")), "left_semi").select("r.*")
 
 
 def op2_simhash(spark: SparkSession, sf_dir: str) -> DataFrame:

@@ -22,7 +22,7 @@ from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from .bytescan import prefix_sums, span_hash
-from .common import blocks, documents, settle, text_view
+from .common import blocks, documents, release, settle, text_view
 
 LENGTH, GRAM = 400, 64
 SALT = 64  # parts of a very common anchor
@@ -355,6 +355,8 @@ def repeat_tables(docs: DataFrame, length: int = LENGTH, gram: int = GRAM, part:
     cleaned = held.where("c = 1").select("tid", "text").join(spans.hint("shuffle_hash"), "tid").mapInArrow(_cleaner(length, keep_text), "tid binary, n_removed long, n_spans long, kept_sha256 string, kept string")
     copies = marks.where(F.col("n") >= length).groupBy("tid").agg(F.count("*").alias("c"), F.max("n").alias("n_removed")).where("c > 1").select("tid", "n_removed", F.lit(1).cast("long").alias("n_spans"), F.lit(_NONE).alias("kept_sha256"), F.lit("").alias("kept"))
     news = settle(cleaned.unionByName(copies), "cleaned")
+    for t in (twice, held, kinds, found):
+        release(t)
     return marks, news
 
 
@@ -370,10 +372,11 @@ def without_repeats(docs: DataFrame, length: int = LENGTH) -> DataFrame:
     """docs, all columns, with repeated strings taken out of text (n_chars follows where there is such a column)."""
     _, news = repeat_tables(docs, length, keep_text=True)
     key = F.expr("substring(unhex(sha2(coalesce(cast(text as string), ''), 256)), 1, 16)")
-    out = docs.join(news.select(F.col("tid").alias("_tid"), F.col("kept").alias("_kept")), key == F.col("_tid"), "left").withColumn("text", F.coalesce("_kept", "text"))
+    rows = docs.select(F.struct(*docs.columns).alias("r"), key.alias("k")).join(news.select(F.col("tid").alias("k"), "kept"), "k", "left")
+    new = {"text": F.coalesce("kept", F.col("r.text").cast("string")).cast(docs.schema["text"].dataType)}
     if "n_chars" in docs.columns:
-        out = out.withColumn("n_chars", F.coalesce(F.char_length("text"), F.lit(0)).cast(docs.schema["n_chars"].dataType))
-    return out.select(*docs.columns)
+        new["n_chars"] = F.when(F.col("kept").isNull(), F.col("r.n_chars")).otherwise(F.char_length("kept").cast(docs.schema["n_chars"].dataType))
+    return rows.select(*(new.get(c, F.col("r")[c]).alias(c) for c in docs.columns))
 
 
 def op1_suffix_dedup(spark: SparkSession, sf_dir: str) -> DataFrame:
