@@ -347,6 +347,88 @@ def posthoc_bq_search(s, d):
     return _ranked(i.search(q, ef=64, nav="bq2"))
 
 
+# -- streams and the SQL front end -----------------------------------------------------------------------------------------------
+
+
+@add("stream_search", f"{SPLIT}, {EXACT} SELECT qid, rank, vec_id, round(value, 6) AS sim FROM ex")
+def stream_search(s, d):
+    """Query vectors as a stream, searched on a static index with a pool of all nodes."""
+    from ..streaming import log
+
+    i, _, _ = build(s, d)
+    return log.searched(s, d, i, "vec_id % 10 = 0", _scratch(s), ef=i.hot.count()).select("qid", "rank", "vec_id", F.round("sim", 6).alias("sim"))
+
+
+@add("stream_recall", "SELECT CAST(count(*) * 10 AS BIGINT) AS hits FROM embeddings WHERE vec_id % 10 = 0")
+def stream_recall(s, d):
+    """Hits of a stream of rankings against the static truth; with a pool of all nodes every one is a hit."""
+    from ..streaming import log
+
+    i, q, t = build(s, d)
+    path = _scratch(s)
+    i.search(q, ef=i.hot.count()).write.parquet(path)
+    return log.running_recall(s, path, t).select("hits")
+
+
+@add("stream_dedup", "SELECT event_type, count(DISTINCT event_id) AS n FROM events GROUP BY event_type")
+def stream_dedup(s, d):
+    from ..streaming import log
+
+    return log.once_each(s, d)
+
+
+@add("sql_topk_merge", f"{SPLIT}, {BQ} SELECT qid, rank, vec_id, CAST(value AS DOUBLE) AS value FROM bq")
+def sql_topk_merge(s, d):
+    """The table function over all pairs of queries and rows."""
+    from ..functions import table as fn
+
+    fn.register(s)
+    q, b = halves(sm(s, d))
+    exact.paired(q_side(q, "p", "s"), b).select("qid", "vec_id", bq_expr().alias("value")).createOrReplaceTempView("sg_pairs")
+    return s.sql("SELECT * FROM topk_merge(TABLE(SELECT * FROM sg_pairs) PARTITION BY qid ORDER BY (value, vec_id), 10)")
+
+
+@add("sql_ann_search", f"{SPLIT}, {BQ} SELECT qid, rank, vec_id, CAST(value AS BIGINT) AS d FROM bq")
+def sql_ann_search(s, d):
+    """The table function on a saved index, with a pool of all nodes."""
+    from ..functions import table as fn
+
+    fn.register(s)
+    q, b = split(workload(s, d, "W0"))
+    path = _scratch(s)
+    i = Index.build(b, m=8, ef_c=64, alpha=1.0, shards=1, path=path)
+    q.select(F.col("vec_id").alias("qid"), F.col("embedding").cast("array<double>").alias("v"), F.pmod("vec_id", F.lit(8)).alias("part")).createOrReplaceTempView("sg_queries")
+    return s.sql(f"SELECT * FROM ann_search(TABLE(SELECT * FROM sg_queries) PARTITION BY (part), '{path}', 10, {i.hot.count()})")
+
+
+@add("sql_sm_encode", CODE_SQL["sm_planes"])
+def sql_sm_encode(s, d):
+    from ..functions import table as fn
+
+    fn.register(s)
+    vectors(s, d).createOrReplaceTempView("sg_vectors")
+    return s.sql("SELECT vec_id, c.p[0] AS p0, c.s[0] AS s0 FROM (SELECT vec_id, sm_encode(cast(embedding AS array<double>)) AS c FROM sg_vectors)")
+
+
+@add("vecs_round_trip", "SELECT count(*) AS n, round(sum(s), 3) AS total FROM (SELECT vec_id, list_sum(embedding::DOUBLE[]) AS s FROM embeddings)")
+def vecs_round_trip(s, d):
+    """Vectors written as a binary vector file and read back."""
+    import pyarrow as pa
+
+    from ..sources import vecs
+
+    v = vectors(s, d).select("vec_id", F.col("embedding").cast("array<double>"))
+    path = _scratch(s)
+
+    def run(batches):
+        for k, b in enumerate(batches):
+            if b.num_rows:
+                yield pa.RecordBatch.from_arrays([pa.array([k], pa.int32()), pa.array([vecs.to_fvecs(exact.matrix(b.column(1)).astype(np.float32))], pa.binary())], names=["k", "content"])
+
+    v.mapInArrow(run, "k int, content binary").write.parquet(path)
+    return vecs.parsed(s.read.parquet(path).select("content", F.lit(0).cast("long").alias("h"))).agg(F.count("*").alias("n"), F.round(F.sum(F.aggregate(F.col("embedding").cast("array<double>"), F.lit(0.0), lambda a, x: a + x)), 3).alias("total"))
+
+
 # -- text ---------------------------------------------------------------------------------------------------------------------
 
 

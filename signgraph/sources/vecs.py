@@ -9,8 +9,8 @@ from pyspark.sql import functions as F
 KINDS = {"fvecs": "<f4", "ivecs": "<i4", "bvecs": "u1"}
 
 
-def read_vecs(spark: SparkSession, path: str, kind: str = "fvecs") -> DataFrame:
-    """(vec_id, embedding): ids count within a file; several files get disjoint ranges by the hash of their name."""
+def parsed(files: DataFrame, kind: str = "fvecs") -> DataFrame:
+    """(vec_id, embedding) of file contents (content, h): ids count from h."""
     item = np.dtype(KINDS[kind])
 
     def run(batches):
@@ -27,10 +27,15 @@ def read_vecs(spark: SparkSession, path: str, kind: str = "fvecs") -> DataFrame:
                     flat = pa.ListArray.from_arrays(pa.array(np.arange(len(part) + 1, dtype=np.int32) * d), pa.array(part.ravel()))
                     yield pa.RecordBatch.from_arrays([pa.array(h + np.arange(lo, lo + len(part))), flat], names=["vec_id", "embedding"])
 
+    return files.select("content", "h").mapInArrow(run, "vec_id long, embedding array<float>")
+
+
+def read_vecs(spark: SparkSession, path: str, kind: str = "fvecs") -> DataFrame:
+    """(vec_id, embedding): ids count within a file; several files get disjoint ranges by the hash of their name."""
     files = spark.read.format("binaryFile").option("pathGlobFilter", f"*.{kind}").load(path)
     one = files.count() == 1
     base = F.lit(0).cast("long") if one else F.shiftleft(F.xxhash64("path").bitwiseAND(F.lit(0x3FFFFF)), 40)
-    return files.select("content", base.alias("h")).mapInArrow(run, "vec_id long, embedding array<float>")
+    return parsed(files.select("content", base.alias("h")), kind)
 
 
 def to_fvecs(x: np.ndarray) -> bytes:

@@ -53,3 +53,49 @@ def encode(spark: SparkSession, sf_dir: str) -> DataFrame:
 def search(stream: DataFrame, index, sink, k: int = 10, ef: int = 64):
     """Each micro-batch of query vectors searched on a static index; sink gets (frame, batch id)."""
     return stream.writeStream.foreachBatch(lambda df, i: sink(index.search(df, k=k, ef=ef), i)).trigger(availableNow=True).start()
+
+
+def once_each(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """Events of the log, read twice, each counted once: repeats within the watermark are dropped by their id."""
+    e = queries(spark, sf_dir)
+    twice = e.unionByName(e).withWatermark("ts", "30 days").dropDuplicatesWithinWatermark(["event_id"])
+    return drained(twice.select("event_id", "event_type"), "append").groupBy("event_type").agg(F.count("*").alias("n"))
+
+
+def late(stream: DataFrame, delay: str, by: str = "ts") -> DataFrame:
+    """Rows behind the greatest time seen before their batch by more than delay are kept apart, not dropped: (row columns, late)."""
+    import pandas as pd
+    from pyspark.sql.streaming.state import GroupState, GroupStateTimeout
+
+    limit = pd.Timedelta(delay)
+
+    def run(key, frames, state: GroupState):
+        top = pd.Timestamp(state.get[0]) if state.exists else None
+        for f in frames:
+            yield f.assign(late=False if top is None else f[by] < top - limit)
+            best = f[by].max()
+            top = best if top is None or best > top else top
+        if top is not None:
+            state.update((top.isoformat(),))
+
+    schema = stream.schema.add("late", "boolean")
+    return stream.groupBy("event_type").applyInPandasWithState(run, schema, "top string", "append", GroupStateTimeout.NoTimeout)
+
+
+def running_recall(spark: SparkSession, results: str, truth: DataFrame, k: int = 10) -> DataFrame:
+    """Recall of a stream of (qid, rank, vec_id) rows below a folder against a static truth: a stream-static join, counts as state."""
+    s = spark.readStream.schema("qid long, rank int, vec_id long, sim double").parquet(results)
+    t = truth.where(F.col("rank") <= k).select("qid", "vec_id", F.lit(1).alias("hit"))
+    hit = s.where(F.col("rank") <= k).join(F.broadcast(t), ["qid", "vec_id"], "left")
+    return drained(hit.groupBy().agg(F.count("hit").alias("hits"), F.approx_count_distinct("qid", 0.01).alias("queries")), "complete")
+
+
+def searched(spark: SparkSession, sf_dir: str, index, queries_: str, path: str, **how) -> DataFrame:
+    """A stream of query vectors searched on a static index batch by batch; rankings are appended below path."""
+    q = source(spark, sf_dir, "embeddings").where(queries_)
+
+    def sink(df: DataFrame, i: int) -> None:
+        df.write.mode("overwrite").parquet(f"{path}/batch={i}")  # a repeated batch replaces itself
+
+    search(q, index, sink, **how).awaitTermination()
+    return spark.read.parquet(path).drop("batch")
