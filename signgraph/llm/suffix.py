@@ -323,6 +323,7 @@ _NONE = hashlib.sha256(b"").hexdigest()
 def repeat_tables(docs: DataFrame, length: int = LENGTH, gram: int = GRAM, part: int = PART, keep_text: bool = False, target: int = TARGET) -> tuple[DataFrame, DataFrame]:
     """Two tables: each row's doc_id, text key (tid), digest and size; and per text key with something to remove: n_removed, n_spans,
     kept_sha256 and, with keep_text, what is left (kept; bytes of a character that was cut through are left out)."""
+    gram = min(gram, length)
     src = docs.select(F.col("doc_id").cast("long").alias("doc_id"), F.coalesce(F.col("text").cast("string"), F.lit("")).alias("text"))
     marks = settle(src.mapInArrow(_anchor_rows(length, gram), "doc_id long, tid binary, sha string, n long, anchors binary"), "anchors")
     texts = marks.where(F.col("n") >= length).groupBy("tid").agg(F.min("doc_id").alias("rep"), F.count("*").alias("c"), F.max("anchors").alias("anchors"))
