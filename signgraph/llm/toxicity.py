@@ -135,29 +135,39 @@ def sentence_scores(w: dict, data: np.ndarray, offs: np.ndarray) -> tuple[np.nda
     return 1 / (1 + np.exp(-np.clip(z, -30, 30))), d, at
 
 
+_SCORED = "doc_id long, score double, n_offending int, offending_starts array<int>, offending_lengths array<int>"
+
+
 def _scorer(w: dict):
     def run(batches):
         for b in batches:
             data, offs = text_view(b.column(1))
             n = len(offs) - 1
-            out, bad = np.zeros(n), np.zeros(n, np.int32)
+            out, bad, starts, lengths = np.zeros(n), np.zeros(n, np.int32), [], []
             for lo, hi in blocks(offs):
                 if "const" in w:
                     out[lo:hi] = w["const"]
                     continue
-                p, d, _ = sentence_scores(w, data[offs[lo] : offs[hi]], offs[lo : hi + 1] - offs[lo])
+                part, po = data[offs[lo] : offs[hi]], offs[lo : hi + 1] - offs[lo]
+                p, d, at = sentence_scores(w, part, po)
                 none = np.bincount(d, np.log1p(-np.minimum(p, 1 - 1e-12)), hi - lo)
                 none = np.where(np.bincount(d, minlength=hi - lo) > 0, none, -np.log1p(np.exp(w["b"])))
                 out[lo:hi] = -np.expm1(none)
-                bad[lo:hi] = np.bincount(d, p >= 0.5, hi - lo)
-            yield pa.RecordBatch.from_arrays([b.column(0), pa.array(out, pa.float64()), pa.array(bad, pa.int32())], names=["doc_id", "score", "n_offending"])
+                k = np.flatnonzero(p >= 0.5)
+                bad[lo:hi] = np.bincount(d[k], minlength=hi - lo)
+                starts.append(at[k] - po[d[k]])
+                lengths.append(np.minimum(np.append(at[1:], len(part))[k], po[d[k] + 1]) - at[k])
+            edge = pa.array(np.concatenate([[0], np.cumsum(bad)]).astype(np.int32))
+            where = [pa.ListArray.from_arrays(edge, pa.array(np.concatenate(v).astype(np.int32) if v else np.zeros(0, np.int32))) for v in (starts, lengths)]
+            yield pa.RecordBatch.from_arrays([b.column(0), pa.array(out, pa.float64()), pa.array(bad, pa.int32()), *where], names=[c.split()[0] for c in _SCORED.split(", ")])
 
     return run
 
 
 def scored(docs: DataFrame, w: dict) -> DataFrame:
-    """(doc_id, score, n_offending) for each row."""
-    return docs.select(F.col("doc_id").cast("long").alias("doc_id"), F.col("text").cast("string").alias("text")).mapInArrow(_scorer(w), "doc_id long, score double, n_offending int")
+    """(doc_id, score, n_offending, offending_starts, offending_lengths) for each row: sentences of a score of 0.5 or more, in bytes of
+    the UTF-8 text."""
+    return docs.select(F.col("doc_id").cast("long").alias("doc_id"), F.col("text").cast("string").alias("text")).mapInArrow(_scorer(w), _SCORED)
 
 
 def locate(docs: DataFrame, w: dict, least: float = 0.5) -> DataFrame:
@@ -183,4 +193,4 @@ def locate(docs: DataFrame, w: dict, least: float = 0.5) -> DataFrame:
 def op6_toxicity_mil(spark: SparkSession, sf_dir: str) -> DataFrame:
     docs = documents(spark, sf_dir, "doc_id", "text")
     w = train(docs, spark.read.parquet(f"{sf_dir}/labels.parquet"))
-    return scored(docs, w).select("doc_id", held_out(5, 0).alias("held_out"), "score", (F.col("score") >= 0.5).cast("int").alias("predicted"), "n_offending")
+    return scored(docs, w).select("doc_id", held_out(5, 0).alias("held_out"), "score", (F.col("score") >= 0.5).cast("int").alias("predicted"), "n_offending", "offending_starts", "offending_lengths")

@@ -177,6 +177,9 @@ def test_toxic_sentences_are_located(spark):
     w = toxicity.train(bad, bad.select("doc_id", "toxic"))
     got = toxicity.locate(bad, w).collect()
     assert {r.doc_id for r in got} == set(range(1, 80, 2)) and all("rotter" in r.sentence for r in got)
+    text = {r.doc_id: r.text.encode() for r in bad.collect()}
+    found = {r.doc_id: [text[r.doc_id][s : s + n] for s, n in zip(r.offending_starts, r.offending_lengths, strict=True)] for r in toxicity.scored(bad, w).collect()}
+    assert all((len(v) > 0) == (i % 2 == 1) and all(b"rotter" in x and b"Fine" not in x for x in v) for i, v in found.items())
 
 
 def test_warc(spark, tmp_path):
