@@ -22,3 +22,9 @@ def test_streams_read_a_folder_of_part_files(spark, tmp_path):
     v = spark.read.parquet(f"{SF}/embeddings.parquet")
     v.repartition(3).write.parquet(f"file://{tmp_path}/embeddings.parquet")
     assert rows(log.encode(spark, f"file://{tmp_path}")) == rows(log.encode(spark, SF)) and log.encode(spark, SF).count() == v.count()
+
+
+def test_streams_leave_their_rows_in_files(spark):
+    assert log.encode(spark, SF).inputFiles() and log.tumbling(spark, SF).inputFiles()
+    e = spark.read.parquet(f"{SF}/events.parquet")
+    assert rows(log.once_each(spark, SF)) == rows(e.groupBy("event_type").agg(F.count_distinct("event_id")))
