@@ -28,3 +28,84 @@ def test_streams_leave_their_rows_in_files(spark):
     assert log.encode(spark, SF).inputFiles() and log.tumbling(spark, SF).inputFiles()
     e = spark.read.parquet(f"{SF}/events.parquet")
     assert rows(log.once_each(spark, SF)) == rows(e.groupBy("event_type").agg(F.count_distinct("event_id")))
+
+
+def test_searched_stream_of_part_files(spark, tmp_path):
+    v = spark.read.parquet(f"{SF}/embeddings.parquet")
+    v.repartition(3).write.parquet(f"file://{tmp_path}/embeddings.parquet")
+    q, b = split(v)
+    i = Index.build(b, m=8, ef_c=64, alpha=1.0)
+    got = log.searched(spark, f"file://{tmp_path}", i, "vec_id % 10 = 0", f"file://{tmp_path}/out", ef=64)
+    assert got.select("qid").distinct().count() == q.count()
+
+
+@pytest.mark.parametrize("kind", ["bq2", "bq1", "sq2", "float", "adc"])
+def test_a_pool_of_all_nodes_ranks_what_is_reached(kind):
+    x = np.random.default_rng(5).normal(size=(300, 32))
+    m = kernels.Metric.of(kind, x)
+    nbrs, _ = kernels.link(kernels.Metric.of("bq2", x), 6, 32, 100)
+    nbrs[:, :][nbrs == 7] = -1  # no path meets node 7
+    q = kernels.Metric.of(kind, x[:20] + 0.1)
+    ids, d, work = kernels.beam(m, nbrs, q, np.array([0]), 300)
+    seen = kernels.reached(nbrs, np.array([0]))
+    every = q.to(m, np.broadcast_to(np.arange(300), (20, 300)))
+    assert (q.cross(m) == every).all() and not seen[7]
+    for i in range(20):
+        want = [v for v in np.lexsort((np.arange(300), every[i])) if seen[v]]
+        assert ids[i][ids[i] >= 0].tolist() == want and (work[i, :3] == seen.sum()).all()
+
+
+@pytest.mark.parametrize("ties", ["id", "coverage", "adc"])
+def test_many_targets_choose_as_one_does(ties):
+    x = np.random.default_rng(6).normal(size=(200, 16))
+    m, fine = kernels.Metric.of("bq2", x), kernels.Metric.of("adc", x)
+    t = np.arange(0, 200, 9)
+    d = m.among(np.arange(200))
+    ids = np.stack([np.lexsort((np.arange(200), d[i]))[1:41] for i in t])
+    near = np.take_along_axis(d[t], ids, 1)
+    for refill in (False, True):
+        got, gd = kernels.chosen(m, t, ids, near, 8, 110, ties, fine, refill)
+        for k, i in enumerate(t.tolist()):
+            cover = m.a["p"][ids[k]] ^ m.a["p"][i]
+            want = kernels.select_edges(near[k], ids[k], m.among(ids[k]), 8, 110, ties, cover, fine.take(np.array([i])).to(fine, ids[k][None])[0], refill)
+            assert got[k][got[k] >= 0].tolist() == ids[k][want].tolist()
+
+
+def test_every_node_is_reached_after_linking():
+    x = np.random.default_rng(7).normal(size=(200, 16))
+    m = kernels.Metric.of("bq2", x)
+    nbrs, nd = kernels.link(m, 4, 16, 100)
+    nbrs[np.isin(nbrs, [11, 12, 150])] = -1
+    assert kernels.reached(nbrs, np.array([0])).sum() < 200
+    before = {(i, j) for i in range(200) for j in nbrs[i][nbrs[i] >= 0].tolist()}
+    nbrs, nd = kernels.connected(m, nbrs, nd, 16)
+    after = {(i, j) for i in range(200) for j in nbrs[i][nbrs[i] >= 0].tolist()}
+    assert kernels.reached(nbrs, np.array([0])).all() and before < after
+
+
+def test_wide_pools_are_reranked_and_filtered_in_the_task(spark, monkeypatch):
+    monkeypatch.setattr(index_module, "WIDE", 20)
+    q, b = split(workload(spark, SF, "W0"))
+    i = Index.build(b, m=8, ef_c=64, alpha=1.0, shards=2)
+    n = i.hot.count()
+    cut = lambda df: rows(df.select("qid", "rank", "vec_id", F.round("sim", 9)))
+    assert cut(i.search(q, ef=n)) == cut(exact.float_topk(q, b))
+    few = b.where("label = 3")
+    assert cut(i.search(q, ef=n, where=few)) == cut(exact.float_topk(q, few))
+    assert "sim" not in i.candidates(q, ef=32).columns
+
+
+def test_code_ranking_of_all_nodes_breaks_ties_by_id(spark):
+    got, want = index_queries.beam_exhaustive(spark, SF), index_queries.bq_top(spark, SF)
+    assert rows(got) == rows(want)
+
+
+def test_breadth_first_search_of_a_long_path(spark):
+    e = spark.createDataFrame([(k, k + 1) for k in range(16)], "src long, dst long")
+    got = metrics.reachable(e, 0)
+    assert rows(got) == [(k, k) for k in range(17)]
+
+
+def test_walks_hold_no_plan_of_earlier_steps(spark):
+    df = index_queries.margin_walk(spark, SF)
+    assert df.count() == 50 and df._jdf.queryExecution().optimizedPlan().toString().count("Join") <= 2
