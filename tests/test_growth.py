@@ -3,11 +3,12 @@ import numpy as np
 import pytest
 from pyspark.sql import functions as F
 
+from signgraph import analysis, kernels, metrics
 from signgraph import index as index_module
-from signgraph import kernels, metrics
+from signgraph.functions import codec, distance
 from signgraph.index import Index
 from signgraph.operators import exact
-from signgraph.plans import index_queries
+from signgraph.plans import code_queries, index_queries, table_queries
 from signgraph.streaming import log
 from signgraph.workloads import split, workload
 
@@ -109,3 +110,65 @@ def test_breadth_first_search_of_a_long_path(spark):
 def test_walks_hold_no_plan_of_earlier_steps(spark):
     df = index_queries.margin_walk(spark, SF)
     assert df.count() == 50 and df._jdf.queryExecution().optimizedPlan().toString().count("Join") <= 2
+
+
+@pytest.mark.parametrize("limit", [None, 600])
+def test_angles_by_blocks_equal_the_expression(spark, monkeypatch, limit):
+    if limit:
+        monkeypatch.setattr(exact, "SIDE_BYTES", limit)  # the queries go in several passes
+    zero = spark.createDataFrame([(5000, [0.0] * 64, 0)], "vec_id long, embedding array<float>, label int")
+    v = code_queries.vectors(spark, SF).where("vec_id < 120").unionByName(zero)
+    c = distance.cosine(F.col("a_embedding"), F.col("b_embedding"))
+    p = analysis.pairs(v).select("a_vec_id", "b_vec_id", c.alias("c")).persist()
+    deg = F.degrees(F.acos(F.greatest(F.lit(-1.0), F.least(F.lit(1.0), F.col("c")))))
+    got = analysis.angle_estimates(v, 64)
+    want = p.select("a_vec_id", "b_vec_id", F.round(F.degrees(F.acos("c")), 6))
+    assert rows(got.where("true_deg is not null").select("a", "b", "true_deg")) == rows(want.where("c is not null")) and got.count() == want.count()
+    a, b = analysis.angle_stats(v).first(), p.agg(F.count("*"), F.avg(deg), F.stddev_pop(deg)).first()
+    assert a[0] == b[0] and np.allclose(a[1:], b[1:], atol=1e-9)
+    assert rows(analysis.angle_hist(v)) == rows(p.groupBy(F.floor(deg / 5).cast("int")).count())
+
+
+def test_no_pair_leaves_a_block_of_angle_statistics(spark):
+    v = code_queries.vectors(spark, SF)
+    for df in (analysis.angle_stats(v), analysis.angle_hist(v)):
+        assert "Cartesian" not in (p := df._jdf.queryExecution().optimizedPlan().toString()) and "acos" not in p.lower()
+
+
+def test_misranking_bound_of_brute_force(spark):
+    v = code_queries.vectors(spark, SF).where("vec_id < 200")
+    codes = code_queries.sm(spark, SF).where("vec_id < 200")
+    trip = analysis.triplets(v)
+    y = {r.vec_id: kernels.levels(np.array([r.embedding], float))[0] for r in v.collect()}
+    z = np.array([np.where(y[r.q] * y[r.w] < 0, abs(y[r.q] * y[r.w]), 0) - np.where(y[r.q] * y[r.v] < 0, abs(y[r.q] * y[r.v]), 0) for r in trip.collect()])
+    got = analysis.misrank_bound(codes, trip, 64).first()
+    assert np.allclose([got.mu, got.v], [z.mean(0).sum(), z.var(0).sum()])
+
+
+def test_scalar_codes_rank_as_the_expression_does(spark):
+    q, b = code_queries.halves(codec.encode_sq2(code_queries.vectors(spark, SF), span="global"))
+    want = exact.code_topk(code_queries.q_side(q, "code"), b, distance.l1(F.col("q_code"), F.col("code")), 10)
+    assert rows(code_queries.sq2_top(spark, SF)) == rows(want)
+
+
+def test_timed_totals_are_those_of_all_pairs(spark):
+    got = {r.setting: r.value for r in index_queries.exp_kernel(spark, SF).where("metric = 'total'").collect()}
+    assert len(got) == 4 and len(set(got.values())) == 1
+
+
+def test_distances_are_timed_in_tasks(spark):
+    x = np.random.default_rng(8).normal(size=(700, 64))
+    m = kernels.Metric.of("bq2", x)
+    got = index_queries.nanoseconds(spark, x, {"bq2": lambda a, b: index_queries._distances("bq2", a, b)})["bq2"]
+    assert got[0] > 0 and got[1] == m.cross(m).sum()
+
+
+@pytest.mark.parametrize("name", ["matched_recall", "pareto_front", "ef_for_recall", "scale_delta", "rsd", "tier_table", "memory_model"])
+def test_series_come_from_a_table(spark, name):
+    df = (table_queries.QUERIES | code_queries.QUERIES)[name](spark, SF)
+    assert df.count() and any(SF in f for f in df.inputFiles())
+
+
+def test_equal_points_of_a_front_stay_together(spark):
+    c = spark.createDataFrame([("a", 90.0, 5.0), ("b", 90.0, 5.0), ("c", 90.0, 4.0), ("d", 80.0, 5.0), ("e", 80.0, 6.0)], "system string, recall double, qps double")
+    assert sorted(r.system for r in metrics.pareto(c).collect()) == ["a", "b", "e"]
