@@ -82,3 +82,30 @@ def test_grid_measures_what_a_search_returns(spark):
     i, q, t = index_queries.build(spark, SF)
     got = {r[2]: r[3] for r in index_queries.grid(i, q, t, "W0", "x", [32])}
     assert got["recall"] == index_queries.recall_of(i.search(q, ef=32), t)
+
+
+def test_words_are_hashed_once_in_a_task(spark, monkeypatch):
+    import xxhash
+
+    from signgraph import workloads
+
+    texts = ["a b a C", "", None, "b b c d e", "x y"]
+    want = np.zeros((5, 8))
+    for r, t in enumerate(texts):
+        for w in (t or "").lower().split():
+            h = xxhash.xxh64_intdigest(w, 7)
+            want[r, h % 8] += 1 if h >> 63 else -1
+    n = np.linalg.norm(want, axis=1, keepdims=True)
+    want = want / np.where(n > 0, n, 1)
+    monkeypatch.setattr(workloads, "MET", 3)  # what is remembered is dropped in between
+    df = spark.createDataFrame(list(enumerate(texts)), "id long, t string").coalesce(1)
+    got = {r[0]: r[1] for r in workloads.text_vectors(df, "id", "t", dim=8, dense=False).collect()}
+    assert np.allclose([got[i] for i in range(5)], want, atol=1e-6)
+
+
+def test_best_of_the_pools_leave_the_tasks(spark):
+    i, q, _ = index_queries.build(spark, SF)
+    c = i.best(q, ef=32).persist()
+    assert c.count() == 10 * q.count()  # no pool of 32
+    assert rows(c.select("qid", "vec_id", "sim")) == rows(i.search(q, ef=32).select("qid", "vec_id", "sim"))
+    assert rows(c.select("qid", "evals", "touched").distinct()) == rows(i.candidates(q, ef=32).select("qid", "evals", "touched").distinct())
