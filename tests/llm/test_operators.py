@@ -275,3 +275,27 @@ def test_pipeline_stages(spark):
         df = stage(spark, df, SF)
         assert df.columns == cols, name
     assert df.count() > 0
+
+
+def test_lines_free_their_disk(spark, monkeypatch):
+    import os
+    import time
+
+    disk = spark._jvm.org.apache.spark.SparkEnv.get().blockManager().diskBlockManager()
+    before, real, held = disk.getAllFiles().size(), lines.settle, []
+
+    def watched(df, name):
+        if name == "marked":  # the largest table is gone before the postings move
+            held.extend(os.path.exists(t._signgraph_path.removeprefix("file:")) for t in made["lines"])
+        out = real(df, name)
+        made.setdefault(name, []).append(out)
+        return out
+
+    made = {}
+    monkeypatch.setattr(lines, "settle", watched)
+    df = spark.range(400).select(F.col("id").alias("doc_id"), F.expr("concat('one two three four five ', id div 2, '\n', 'six seven eight nine ', id)").alias("text"))
+    assert lines.line_decisions(df).count() == 400 and held == [False]
+    deadline = time.time() + 10
+    while disk.getAllFiles().size() > before + 30 and time.time() < deadline:  # count() above has a shuffle of its own
+        time.sleep(0.1)
+    assert disk.getAllFiles().size() <= before + 30
