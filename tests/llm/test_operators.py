@@ -299,3 +299,19 @@ def test_lines_free_their_disk(spark, monkeypatch):
     while disk.getAllFiles().size() > before + 30 and time.time() < deadline:  # count() above has a shuffle of its own
         time.sleep(0.1)
     assert disk.getAllFiles().size() <= before + 30
+
+
+def test_lines_post_common_words_of_few_sets(spark, monkeypatch):
+    n, real = [], lines._postings
+    monkeypatch.setattr(lines, "_postings", lambda sets: n.append(sets.count()) or real(sets))
+    df = spark.range(60).select(F.col("id").alias("doc_id"), F.expr("if(id < 5, 'most frequent words', concat_ws(' ', concat('a', id), concat('b', id), concat('c', id), 'most frequent words'))").alias("text"))
+    assert lines.line_decisions(df, block=4).where("n_removed > 0").count() == 4
+    assert n[0] == 56 and n[1] < 10  # the scan for common words leaves out sets whose prefix has none
+
+
+def test_heads_of_words():
+    data = np.frombuffer(b"a bb abcdefgh abcdefghi z", np.uint8)
+    s, e = bytescan.runs(~bytescan.SPACE[data], np.array([0, len(data)]))
+    want = [int.from_bytes(data[i:j].tobytes()[:8].ljust(8, b"\0"), "big") for i, j in zip(s, e, strict=True)]
+    mix = bytescan.mix
+    assert (lines._heads(data, s, e) == mix(np.array(want, np.uint64) ^ mix((e - s).astype(np.uint64)))).all()
