@@ -129,6 +129,49 @@ def test_angles_by_blocks_equal_the_expression(spark, monkeypatch, limit):
     assert rows(analysis.angle_hist(v)) == rows(p.groupBy(F.floor(deg / 5).cast("int")).count())
 
 
+def angle_rows(v):
+    """Brute force over all ordered pairs: the angle by signs, and by cosines summed in the order of the coordinates."""
+    x = {r.vec_id: np.array(r.embedding, float) for r in v.collect()}
+    out = {}
+    for a, y in x.items():
+        for b, z in x.items():
+            if a != b:
+                dot, n = 0.0, [0.0, 0.0]
+                for p, q in zip(y, z, strict=True):
+                    dot, n = dot + p * q, [n[0] + p * p, n[1] + q * q]
+                out[a, b] = int(((y > 0) != (z > 0)).sum()) * 180.0 / len(y), np.degrees(np.arccos(dot / (np.sqrt(n[0]) * np.sqrt(n[1]))))
+    return out
+
+
+@pytest.mark.parametrize("cell", [4096, 17])
+def test_angles_are_estimated_for_every_pair(spark, monkeypatch, cell):
+    monkeypatch.setattr(exact, "CELL", cell, raising=False)
+    v = code_queries.vectors(spark, SF).where("vec_id % 50 <> 0 and vec_id < 60")  # no id is divisible by 50
+    monkeypatch.setattr(code_queries, "vectors", lambda s, d: v)
+    got = code_queries.QUERIES["angle_estimate"](spark, SF).collect()
+    want = angle_rows(v)
+    assert len(got) == len(want) == 58 * 57 and {(r.a, r.b) for r in got} == set(want)
+    assert max(abs(r[k] - want[r.a, r.b][k - 2]) for r in got for k in (2, 3)) <= 5.1e-7
+
+
+def test_cells_of_many_batches_and_odd_rows(spark, monkeypatch):
+    monkeypatch.setattr(exact, "CELL", 40, raising=False)
+    monkeypatch.setattr(exact, "DEALT", 2, raising=False)  # several cells of a task, one behind another
+    held = spark.conf.get("spark.sql.execution.arrow.maxRecordsPerBatch")
+    spark.conf.set("spark.sql.execution.arrow.maxRecordsPerBatch", "7")
+    try:
+        odd = spark.createDataFrame([(None, [1.0] * 64, 0), (900, None, 0), (901, [], 0), (-3, [0.0] * 64, 0)], "vec_id long, embedding array<float>, label int")
+        v = code_queries.vectors(spark, SF).where("vec_id < 100")
+        got = rows(analysis.angle_estimates(v.unionByName(odd), 64, every=1).where("true_deg is not null"))
+        n = analysis.angle_estimates(v.unionByName(odd), 64, every=1).count()
+        none = analysis.angle_estimates(v.where("vec_id < 0"), 64, every=1).count()
+    finally:
+        spark.conf.set("spark.sql.execution.arrow.maxRecordsPerBatch", held)
+    monkeypatch.setattr(exact, "CELL", 4096, raising=False)
+    assert got == rows(analysis.angle_estimates(v, 64, every=1)) and len(got) == 100 * 99
+    assert n == 101 * 100 and none == 0  # a zero row has an angle by signs only; rows without an id or coordinates have none
+
+
 def test_no_pair_leaves_a_block_of_angle_statistics(spark):
     v = code_queries.vectors(spark, SF)
     for df in (analysis.angle_stats(v), analysis.angle_hist(v)):
