@@ -44,3 +44,25 @@ def test_orders_and_probe_index_every_row_in_shards(spark, monkeypatch, built):
     got = {r["workload"]: r for r in iq.exp_probe(spark, SF).collect()}
     assert len(got) == 11 and set(built) == {4} and min(r["recall"] for r in got.values()) >= 0.9
     assert iq.order_stability(spark, SF).first()["recall"] >= 0.9 and set(built) == {4}
+
+
+def test_every_row_is_walked_alone_in_every_shard(spark):
+    v = workload(spark, SF, "W1")
+    i = iq.Index.build(v, m=8, ef_c=64, alpha=1.0, shards=3)
+    want = i.candidates(v, ef=64).select("qid", "evals").distinct()  # the work of a shard, of those in the best 64 of all
+    got = i.walks(64).persist()
+    assert got.groupBy("qid").count().where("count = 3").count() == v.count() == 500
+    assert want.join(got, ["qid", "evals"], "left_anti").count() == 0 and got.where("took <= 0").count() == 0
+
+
+def test_tails_are_those_of_all_rows(spark, monkeypatch, built):
+    small = lambda s, d, n, size=0: workload(s, d, "W1").where("vec_id < 200")
+    monkeypatch.setattr(iq, "WALKED", 100, raising=False)
+    monkeypatch.setattr(iq.quantized, "sample", None)
+    monkeypatch.setattr(iq, "large", small)
+    monkeypatch.setattr(iq, "order_stability", lambda s, d: s.createDataFrame([(1.0, 0.0)], "recall double, rsd double"))
+    asked, real = [], iq.Index.walks
+    monkeypatch.setattr(iq.Index, "walks", lambda i, ef: asked.append((w := real(i, ef)).groupBy("qid").count().collect()) or w)
+    got = {(r["setting"], r["metric"]): r["value"] for r in iq.exp_robust(spark, SF).collect()}
+    assert len(got) == 8 and built == [5, 4] and len(asked[0]) == 500 and {r["count"] for r in asked[0]} == {5}
+    assert got["one query", "p50_ms"] > 0 and 1 <= got["one query", "p99/p50"] <= got["one query", "p999/p50"]
